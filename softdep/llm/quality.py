@@ -106,8 +106,8 @@ def certified(feats: DataFrame, labels: DataFrame, alpha: float = 0.05, delta: f
     over = lambda r: F.array(*(F.struct(F.lit(i).alias("step"), F.lit(c).alias("cutoff"), F.sum((F.col(r) > c).cast("long")).alias("k")) for i, c in enumerate(GRIDS[r])))
     counts = held.groupBy("stratum").agg(F.count("*").alias("n_good"), F.array(*(F.struct(F.lit(r).alias("rule"), over(r).alias("grid")) for r in GRIDS)).alias("rules"))
     flat = counts.select("stratum", "n_good", F.explode("rules").alias("r")).select("stratum", "n_good", "r.rule", F.explode("r.grid").alias("g")).select("stratum", "rule", "n_good", "g.*")
-    strata = counts.agg(F.count("*").alias("n_strata"))
-    tested = flat.crossJoin(F.broadcast(strata)).withColumn("p_value", binomial_tail("k", "n_good", alpha / len(GRIDS))).withColumn("ok", F.col("p_value") <= F.lit(delta / len(GRIDS)) / F.col("n_strata"))
+    strata = counts.agg(F.count("*").alias("n_strata")).withColumn("one", F.lit(1))
+    tested = flat.withColumn("one", F.lit(1)).join(F.broadcast(strata), "one").withColumn("p_value", binomial_tail("k", "n_good", alpha / len(GRIDS))).withColumn("ok", F.col("p_value") <= F.lit(delta / len(GRIDS)) / F.col("n_strata"))
     walk = F.struct("step", "cutoff", "k", "p_value", "ok")
     ordered = tested.groupBy("stratum", "rule", "n_good").agg(F.array_sort(F.collect_list(walk)).alias("steps"))
     best = F.expr("""aggregate(steps, named_struct('go', true, 'cutoff', cast(null as double), 'k', 0L, 'p', cast(null as double)),
