@@ -1,7 +1,7 @@
 """Toxicity scores from positive and unlabelled texts, with a non-negative risk estimator.
 
 Confirmed toxic texts (P) and texts drawn from all training folds without regard to labels (U) train a linear model in
-NumPy on the presence of words. With class prior c and logistic loss l, the risk is
+NumPy on the presence of words and word beginnings. With class prior c and logistic loss l, the risk is
 
     c * mean_P l(g) + max(0, mean_U l(-g) - c * mean_P l(-g)),
 
@@ -29,8 +29,15 @@ from pyspark.sql import functions as F
 _WORD = re.compile(r"\w+")
 
 
-def distinct_words(text: str | None) -> set[str]:
-    return set(_WORD.findall(text.lower())) if text else set()
+#: Word beginnings stand beside whole words, so that inflected forms share what is learnt.
+STEMS = (4, 5, 6, 7, 8)
+
+
+def features_of(text: str | None) -> set[str]:
+    """The distinct words of the whole text, and their beginnings marked by ^."""
+    words = set(_WORD.findall(text.lower())) if text else set()
+    stems = {w[:k] for k in STEMS for w in words if len(w) > k}
+    return words.union("^" + x for x in stems)
 
 
 def in_training(key: Column) -> Column:
@@ -47,7 +54,7 @@ class Model:
     def score(self, text: str | None) -> float:
         if not self.weights:
             return self.prior
-        z = self.bias + sum(self.weights[w] for w in distinct_words(text) & self.weights.keys())
+        z = self.bias + sum(self.weights[w] for w in features_of(text) & self.weights.keys())
         return float(1 / (1 + np.exp(-min(max(z, -700.0), 700.0))))
 
 
@@ -78,8 +85,13 @@ def fit(
     max_unlabelled: int = 8000,
     max_words: int = 256,
     min_g2: float = 24.0,
+    min_share: float = 0.6,
 ) -> Model:
-    """A model from the training folds. Only counts, the chosen words and their presence in the sample reach the driver."""
+    """A model from the training folds. Only counts, the chosen words and their presence in the sample reach the driver.
+
+    The words are those of the largest G2 between P and U for which c * P(word | P) / P(word | U), the share of toxic
+    texts among those with the word, is at least min_share.
+    """
     known = labels.where(in_training(F.col(key)) & F.col("toxic").isNotNull()).groupBy(F.col(key).alias("k")).agg(F.max("toxic").alias("toxic"))
     n, n_pos = known.agg(F.count("*"), F.coalesce(F.sum((F.col("toxic") == 1).cast("long")), F.lit(0))).first()
     if not n_pos:
@@ -91,7 +103,7 @@ def fit(
 
     @F.pandas_udf("array<string>")
     def words(t: pd.Series) -> pd.Series:
-        return t.map(lambda x: sorted(distinct_words(x)))
+        return t.map(lambda x: sorted(features_of(x)))
 
     sample = docs.select(F.col(key).alias("k"), F.col(text).cast("string").alias("t")).join(chosen, "k").select("pos", words("t").alias("w"))
     n_p, n_u = (sum(r["count"] for r in rows) for rows in (lambda c: ([r for r in c if r["pos"]], [r for r in c if not r["pos"]]))(sample.groupBy("pos").count().collect()))
@@ -105,7 +117,7 @@ def fit(
         sample.select("pos", F.explode("w").alias("word"))
         .groupBy("word")
         .agg(F.sum(F.col("pos").cast("long")).alias("p"), F.sum((~F.col("pos")).cast("long")).alias("u"))
-        .where((F.col("p") >= 3) & (in_p > 2 * in_u) & (share < 1))
+        .where((F.col("p") >= 3) & (prior * in_p >= min_share * in_u) & (in_p > 2 * in_u) & (share < 1))
         .select("word", g2.alias("g2"))
         .where(F.col("g2") >= min_g2)
         .orderBy(F.desc("g2"), "word")
