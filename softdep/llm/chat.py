@@ -59,15 +59,18 @@ def forest(messages: DataFrame) -> Forest:
     ids = m.select("tree", F.col("id").alias("parent")).distinct().withColumn("there", F.lit(True))
     size = m.groupBy("tree").count().agg(F.max("count")).first()[0] or 0
     reach = m.select("tree", "id", "parent", "score").join(ids, ["tree", "parent"], "left").select("tree", "id", F.when(F.col("there"), F.col("parent")).alias("up"), F.lit(1).cast("long").alias("depth"), F.coalesce(F.col("score"), F.lit(0.0)).cast("double").alias("total"))
-    jumps, step = [], 1
-    while True:
-        reach = written(reach, "reach")
-        if step > size or reach.where("up is not null").isEmpty():
-            return Forest(m, jumps, reach)
-        jumps.append(reach.where("up is not null").select("tree", "id", "up"))
-        above = reach.select("tree", F.col("id").alias("up"), F.col("up").alias("__up"), F.col("depth").alias("__depth"), F.col("total").alias("__total"))
-        reach = reach.join(above, ["tree", "up"], "left").select("tree", "id", F.col("__up").alias("up"), (F.col("depth") + F.coalesce("__depth", F.lit(0))).alias("depth"), (F.col("total") + F.coalesce("__total", F.lit(0.0))).alias("total"))
+    step = 1
+    reach = written(reach, "reach")
+    done, jumps = reach.where("up is null"), []
+    while step <= size and not reach.where("up is not null").isEmpty():
+        # Only messages that have not met their root yet are joined again.
+        ahead = reach.where("up is not null")
+        jumps.append(ahead.select("tree", "id", "up"))
+        above = done.unionByName(ahead).select("tree", F.col("id").alias("up"), F.col("up").alias("__up"), F.col("depth").alias("__depth"), F.col("total").alias("__total"))
+        reach = written(ahead.join(above, ["tree", "up"]).select("tree", "id", F.col("__up").alias("up"), (F.col("depth") + F.col("__depth")).alias("depth"), (F.col("total") + F.col("__total")).alias("total")), "reach")
+        done = done.unionByName(reach.where("up is null"))
         step *= 2
+    return Forest(m, jumps, done.unionByName(reach.where("up is not null")))
 
 
 def rootless(f: Forest) -> DataFrame:
