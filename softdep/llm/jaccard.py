@@ -9,10 +9,10 @@
    passages that many documents share stay out of the prefixes. Only prefix tokens held by two or more sets go on.
 4. Stars. Each token's holders are compared with one of them; what is alike falls together. Large families of near copies
    become one component here, with as many comparisons as members.
-5. Matrix. Members of a component are put in groups of similar documents (equal smallest prefix token, some tens each); a
-   group stores the union of its members' tokens. Documents query the groups of other, not smaller components in which a
-   prefix token occurs. |Q n union| >= t |Q| is necessary for a partner in the group: only then it is opened and its
-   members compared exactly.
+5. Matrix. Documents that share prefix tokens with other components are put in groups of similar ones (equal smallest
+   prefix token, some tens each); a group stores the union of its members' tokens, and the matrix says which tokens it has.
+   Where two groups share a token, one's members query the other: t / (1 + t) * (|Q| + least size in the group) tokens of Q
+   must be in the union for any partner there. Only then the group is opened and its members are compared exactly.
 No link is lost: two similar sets share a prefix token, so they are in one component already or meet in step 5.
 
 Edge cases. Null, empty and blank texts have an empty set and link with nothing. A text of fewer words than a shingle is
@@ -188,21 +188,29 @@ def linked(probed: DataFrame, percent: int = 80, stars: int = 2, group_size: int
     of = holds.join(comp, "id", "left").select("token", "id", "n", F.coalesce("component", "id").alias("component"))
     mixed_tokens = of.groupBy("token").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo != hi").select("token")
     open_ = written(of.join(mixed_tokens, "token"), "open")
-    # Groups: a component's members with the same smallest prefix token, split into parts of about group_size.
+    # Groups: documents of the same smallest prefix token, split into parts of about group_size; a component of that size
+    # or more has groups of its own, smaller ones share them.
     least = open_.groupBy("id", "component", "n").agg(F.min("token").alias("root"))
-    parts = least.groupBy("component", "root").agg(F.count("*").alias("members"))
     sizes = least.groupBy("component").agg(F.count("*").alias("comp_size"))
-    member = written(least.join(parts, ["component", "root"]).join(sizes, "component").select("id", "n", "component", "comp_size", F.xxhash64("component", "root", F.pmod(F.xxhash64("id"), F.ceil(F.col("members") / group_size))).alias("grp")), "members")
-    matrix = open_.join(member.select("id", "grp", "comp_size"), "id").groupBy("token", "grp").agg(F.first("component").alias("gc"), F.first("comp_size").alias("gs"), F.min("n").alias("lo"), F.max("n").alias("hi"))
-    query = open_.join(member.select("id", "comp_size"), "id")
-    later = F.struct("gs", "gc") > F.struct("comp_size", "component")
-    fits = (100 * F.col("n") >= percent * F.col("lo")) & (100 * F.col("hi") >= percent * F.col("n"))
-    asked = written(query.join(matrix, "token").where(later & fits).select(F.col("id").alias("q"), "grp").distinct(), "asked")
-    needed = member.join(asked.select("grp").distinct(), "grp", "left_semi")
-    union = needed.join(sets.select("id", "tokens"), "id").groupBy("grp").agg(F.array_distinct(F.flatten(F.collect_list("tokens"))).alias("all"))
-    q = sets.select(F.col("id").alias("q"), F.col("n").alias("nq"), F.col("tokens").alias("tq"))
-    opened = asked.join(union, "grp").join(q, "q").where(100 * F.size(F.array_intersect("tq", "all")) >= percent * F.col("nq")).select("q", "nq", "grp")
-    pairs = opened.join(needed.select("id", "n", "grp"), "grp").where(_sizes_fit("nq", "n", percent)).select(F.col("q").alias("a"), F.col("id").alias("b")).distinct()
+    rooted = least.join(sizes, "component").withColumn("gc", F.when(F.col("comp_size") >= group_size, F.col("component"))).withColumn("pool", F.struct("gc", "root"))
+    parts = rooted.groupBy("pool").agg(F.count("*").alias("members"))
+    member = written(rooted.join(parts, "pool").select("id", "n", "component", "gc", F.xxhash64("pool", F.pmod(F.xxhash64("id"), F.ceil(F.col("members") / group_size))).alias("grp")), "members")
+    matrix = written(open_.select("token", "id", "n").join(member.select("id", "grp", "gc"), "id").groupBy("token", "grp").agg(F.first("gc").alias("gc"), F.min("n").alias("lo"), F.max("n").alias("hi")), "matrix")
+    # The groups of a token's largest component do not query each other: all other groups query those and one another.
+    main = matrix.groupBy("token", "gc").agg(F.count("*").alias("k")).where("gc is not null").groupBy("token").agg(F.max(F.struct("k", "gc")).alias("m")).select("token", F.col("m.gc").alias("main"))
+    side = matrix.join(main, "token", "left").withColumn("asks", ~F.coalesce(F.col("gc") == F.col("main"), F.lit(False)))
+    asking = side.where("asks").select("token", F.col("grp").alias("qgrp"), F.col("lo").alias("qlo"), F.col("hi").alias("qhi"))
+    fits = (100 * F.col("qhi") >= percent * F.col("lo")) & (100 * F.col("hi") >= percent * F.col("qlo")) & (~F.col("asks") | (F.col("qgrp") <= F.col("grp")))
+    meet = asking.join(side, "token").where(fits).select("qgrp", "grp").distinct()
+    needed = written(member.join(sets.select("id", "tokens"), "id"), "needed")
+    union = needed.join(meet.select("grp").distinct(), "grp", "left_semi").groupBy("grp").agg(F.min("n").alias("lo"), F.array_distinct(F.flatten(F.collect_list("tokens"))).alias("all"))
+    query = needed.select(F.col("grp").alias("qgrp"), F.col("id").alias("a"), F.col("n").alias("na"), F.col("component").alias("ca"), F.col("tokens").alias("ta"))
+    # |A n B| / |A u B| >= t needs |A n B| >= t (|A| + |B|) / (1 + t), and the union's overlap is no less than |A n B|.
+    overlap = F.size(F.array_intersect("ta", "all"))
+    opened = meet.join(union, "grp").join(query, "qgrp").where((100 + percent) * overlap >= percent * (F.col("na") + F.col("lo"))).select("qgrp", "grp", "a", "na", "ca")
+    inside = needed.select("grp", F.col("id").alias("b"), "n", "component")
+    once = (F.col("qgrp") != F.col("grp")) | (F.col("a") < F.col("b"))
+    pairs = opened.join(inside, "grp").where((F.col("ca") != F.col("component")) & once & _sizes_fit("na", "n", percent)).select("a", "b").distinct()
     more = written(_alike(pairs, sets, percent), "opened")
     if more.isEmpty():
         return comp
