@@ -45,12 +45,12 @@ def lowered(data: np.ndarray) -> np.ndarray:
     return np.where((data >= 65) & (data <= 90), data + 32, data).astype(np.uint8)
 
 
-def spans(data: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(row, start, end) of each word, a run of bytes that are no blanks."""
+def spans(data: np.ndarray, offs: np.ndarray, apart: tuple[int, ...] = BLANK_BYTES) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(row, start, end) of each word, a run of bytes that are not in apart."""
     if not len(data):
         return (np.zeros(0, np.int64),) * 3
     blank = np.zeros(256, bool)
-    blank[list(BLANK_BYTES)] = True
+    blank[list(apart)] = True
     word = ~blank[data]
     first, last = word.copy(), word.copy()
     first[1:] &= ~word[:-1]
@@ -63,18 +63,32 @@ def spans(data: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray, n
     return np.searchsorted(offs, start, "right") - 1, start, end
 
 
+def _powers(pieces_long: int) -> tuple[np.ndarray, np.ndarray]:
+    """Powers of the base and of its inverse, for whole pieces. Kept by each process, not sent along with functions."""
+    held = globals().get("_held_powers")
+    if held is None or len(held[0]) < pieces_long * PIECE_BYTES:
+        base = np.full(pieces_long * PIECE_BYTES, _BASE, np.uint64)
+        base[0] = 1
+        power = np.cumprod(base)
+        base[1:] = pow(_BASE, -1, 1 << 64)
+        held = globals()["_held_powers"] = power, np.cumprod(base)
+    return held
+
+
+class Hashes:
+    """64-bit hashes of spans of data, by prefix sums of a polynomial of the bytes."""
+
+    def __init__(self, data: np.ndarray):
+        power, self.inverse = _powers(-(-(len(data) + 1) // PIECE_BYTES))
+        self.sums = np.zeros(len(data) + 1, np.uint64)
+        np.cumsum((data.astype(np.uint64) + np.uint64(1)) * power[: len(data)], out=self.sums[1:])
+
+    def of(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+        return mixed((self.sums[end] - self.sums[start]) * self.inverse[start] + (end - start).astype(np.uint64) * np.uint64(0xD1B54A32D192ED03))
+
+
 def word_hashes(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """64-bit hashes of the bytes of each span, by prefix sums of a polynomial."""
-    if not len(start):
-        return np.zeros(0, np.uint64)
-    base = np.full(len(data), _BASE, np.uint64)
-    base[0] = 1
-    power = np.cumprod(base)
-    base[1:] = pow(_BASE, -1, 1 << 64)
-    inverse = np.cumprod(base)
-    sums = np.zeros(len(data) + 1, np.uint64)
-    np.cumsum((data.astype(np.uint64) + np.uint64(1)) * power, out=sums[1:])
-    return mixed((sums[end] - sums[start]) * inverse[start] + (end - start).astype(np.uint64) * np.uint64(0xD1B54A32D192ED03))
+    return Hashes(data).of(start, end)
 
 
 def shingles(row: np.ndarray, hashes: np.ndarray, n_rows: int, size: int = 5) -> tuple[np.ndarray, np.ndarray]:

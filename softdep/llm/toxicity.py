@@ -18,26 +18,33 @@ are scored alike. A null id belongs to no fold: it is held out.
 
 from __future__ import annotations
 
-import re
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-_WORD = re.compile(r"\w+")
+from softdep.llm._text import Hashes, lowered, pieces, spans
 
+#: Beginnings of words, in bytes, stand beside whole words, so that inflected forms share what is learnt.
+STEMS = (4, 5, 6, 7, 8, 9)
+#: All ASCII but letters and digits separates words.
+APART = tuple(b for b in range(128) if not chr(b).isalnum())
 
-#: Word beginnings stand beside whole words, so that inflected forms share what is learnt.
-STEMS = (4, 5, 6, 7, 8)
 
-
-def features_of(text: str | None) -> set[str]:
-    """The distinct words of the whole text, and their beginnings marked by ^."""
-    words = set(_WORD.findall(text.lower())) if text else set()
-    stems = {w[:k] for k in STEMS for w in words if len(w) > k}
-    return words.union("^" + x for x in stems)
+def features(texts: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+    """(first row, rows, row, hash) of runs of texts: a hash for each word and each of its beginnings."""
+    for first, data, offs in pieces(texts):
+        data = lowered(data)
+        row, start, end = spans(data, offs, APART)
+        h = Hashes(data)
+        parts = [(row, h.of(start, end))]
+        for k in STEMS:
+            long = end - start > k
+            parts.append((row[long], h.of(start[long], start[long] + k) ^ np.uint64(0x5851F42D4C957F2D)))
+        yield first, len(offs) - 1, *map(np.concatenate, zip(*parts, strict=True))
 
 
 def in_training(key: Column) -> Column:
@@ -47,15 +54,30 @@ def in_training(key: Column) -> Column:
 
 @dataclass(frozen=True)
 class Model:
-    weights: dict[str, float]
+    """Feature hashes in order, their weights, the bias and the class prior."""
+
+    words: np.ndarray
+    weights: np.ndarray
     bias: float
     prior: float
 
-    def score(self, text: str | None) -> float:
-        if not self.weights:
-            return self.prior
-        z = self.bias + sum(self.weights[w] for w in features_of(text) & self.weights.keys())
-        return float(1 / (1 + np.exp(-min(max(z, -700.0), 700.0))))
+    def present(self, texts: pa.Array) -> np.ndarray:
+        """Text by feature, whether it occurs."""
+        out = np.zeros((len(texts), len(self.words)), bool)
+        if len(self.words):
+            for first, _, row, h in features(texts):
+                at = np.minimum(np.searchsorted(self.words, h), len(self.words) - 1)
+                hit = self.words[at] == h
+                out[row[hit] + first, at[hit]] = True
+        return out
+
+    def score(self, texts: pa.Array) -> np.ndarray:
+        if not len(self.words):
+            return np.full(len(texts), self.prior)
+        return 1 / (1 + np.exp(-np.clip(self.bias + self.present(texts) @ self.weights, -700, 700)))
+
+
+_NONE = (np.zeros(0, np.uint64), np.zeros(0))
 
 
 def fit_weights(pos: np.ndarray, unl: np.ndarray, prior: float, steps: int = 400, rate: float = 0.1, decay: float = 1e-4) -> tuple[np.ndarray, float]:
@@ -95,20 +117,24 @@ def fit(
     known = labels.where(in_training(F.col(key)) & F.col("toxic").isNotNull()).groupBy(F.col(key).alias("k")).agg(F.max("toxic").alias("toxic"))
     n, n_pos = known.agg(F.count("*"), F.coalesce(F.sum((F.col("toxic") == 1).cast("long")), F.lit(0))).first()
     if not n_pos:
-        return Model({}, 0.0, 0.0)
+        return Model(*_NONE, 0.0, 0.0)
     prior = min(max(n_pos / n, 1e-3), 0.999)
     pos = known.where("toxic = 1").select("k", F.lit(True).alias("pos")).orderBy(F.xxhash64("k"), "k").limit(max_positive)
     unl = docs.where(in_training(F.col(key))).select(F.col(key).alias("k"), F.lit(False).alias("pos")).orderBy(F.xxhash64("k", F.lit(17)), "k").limit(max_unlabelled)
     chosen = F.broadcast(pos.unionByName(unl))  # max_positive + max_unlabelled ids at most
 
-    @F.pandas_udf("array<string>")
-    def words(t: pd.Series) -> pd.Series:
-        return t.map(lambda x: sorted(features_of(x)))
+    @F.arrow_udf("array<long>")
+    def words(t: pa.Array) -> pa.Array:
+        own: list[np.ndarray] = []
+        for _, n, row, h in features(t):
+            order = np.argsort(row, kind="stable")
+            own += [np.unique(x).astype(np.int64) for x in np.split(h[order], np.searchsorted(row[order], np.arange(1, n)))]
+        return pa.array(own, pa.list_(pa.int64()))
 
     sample = docs.select(F.col(key).alias("k"), F.col(text).cast("string").alias("t")).join(chosen, "k").select("pos", words("t").alias("w"))
     n_p, n_u = (sum(r["count"] for r in rows) for rows in (lambda c: ([r for r in c if r["pos"]], [r for r in c if not r["pos"]]))(sample.groupBy("pos").count().collect()))
     if not n_p or not n_u:
-        return Model({}, 0.0, prior)
+        return Model(*_NONE, 0.0, prior)
     in_p, in_u = F.col("p") / n_p, F.col("u") / n_u
     term = lambda a, b: F.when(a > 0, a * F.log(a / b)).otherwise(0.0)
     share = (F.col("p") + F.col("u")) / (n_p + n_u)
@@ -123,9 +149,9 @@ def fit(
         .orderBy(F.desc("g2"), "word")
         .limit(max_words)
     )
-    vocabulary = [r["word"] for r in telling.collect()]
+    vocabulary = sorted(r["word"] for r in telling.collect())
     if not vocabulary:
-        return Model({}, 0.0, prior)
+        return Model(*_NONE, 0.0, prior)
     place = {w: i for i, w in enumerate(vocabulary)}
     held = sample.select("pos", F.array_intersect("w", F.array(*map(F.lit, vocabulary))).alias("w")).orderBy("pos", "w").collect()
     x = np.zeros((len(held), len(vocabulary)))
@@ -133,14 +159,16 @@ def fit(
         x[i, [place[w] for w in r["w"]]] = 1
     is_pos = np.array([r["pos"] for r in held])
     weights, bias = fit_weights(x[is_pos], x[~is_pos], prior)
-    return Model(dict(zip(vocabulary, map(float, weights), strict=True)), bias, prior)
+    words_u = np.array(vocabulary, np.int64).astype(np.uint64)
+    order = np.argsort(words_u)
+    return Model(words_u[order], weights[order], bias, prior)
 
 
 def scored(model: Model, text: Column) -> Column:
     """The score of each whole text, between 0 and 1."""
 
-    @F.pandas_udf("double")
-    def score(t: pd.Series) -> pd.Series:
-        return t.map(model.score, na_action=None).astype(float)
+    @F.arrow_udf("double")
+    def score(t: pa.Array) -> pa.Array:
+        return pa.array(model.score(t))
 
     return score(text.cast("string"))
