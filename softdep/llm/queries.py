@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from softdep.llm import chat, html, jaccard, lm, quality, toxicity, urls, warc
+from softdep.llm import chat, decontaminate, html, jaccard, lm, mixing, quality, toxicity, urls, warc
 from softdep.llm._store import table, written
 
 
@@ -52,6 +52,20 @@ def op5_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select(F.col("key").alias("doc_id"), "n_shingles", "component_id")
 
 
+#: Target weights of the sources; any other source weighs 1.
+MIX_WEIGHTS = {f"src{i}": 1.0 + i % 5 for i in range(20)}
+
+
+def op6_poisson_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "source", "text")
+    return mixing.replicated(docs, mixing.rates(docs, MIX_WEIGHTS), seed=11).select("doc_id", "source", "text", "copies", "copy", "shuffle_key")
+
+
+def op7_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    hits = decontaminate.leaks(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "benchmark"))
+    return hits.withColumnRenamed("key", "doc_id")
+
+
 def op8_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     out = lm.scores(docs, F.crc32(F.col("doc_id").cast("string")) % 5 != 1)
@@ -97,5 +111,5 @@ def op10_warc_revisits(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("id", "url_key", "outcome", "response_id", F.unix_micros("ts").alias("ts_micros"), F.unix_micros("response_ts").alias("response_micros"), F.col("headers")["etag"].alias("etag"), F.col("headers")["cache-control"].alias("cache_control"), F.col("headers")["content-type"].alias("content_type"))
 
 
-_ALL = (op1_quality_rules, op2_toxicity, op3_chat_formatting, op4_html_extraction, op5_ngram_jaccard_join, op8_lm_scoring, op9_url_filters, op10_warc_revisits)
+_ALL = (op1_quality_rules, op2_toxicity, op3_chat_formatting, op4_html_extraction, op5_ngram_jaccard_join, op6_poisson_mixing, op7_benchmark_decontamination, op8_lm_scoring, op9_url_filters, op10_warc_revisits)
 QUERIES = {f.__name__: f for f in _ALL}
