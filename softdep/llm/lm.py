@@ -21,6 +21,7 @@ from __future__ import annotations
 
 import math
 import mmap
+import zlib
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
@@ -167,21 +168,27 @@ class Trie:
         i = self.words.find(words)
         return np.where(i >= 0, self.counts[np.maximum(i, 0)] if self.words.size else 0, 0)
 
-    def _below(self, level: int, parent: np.ndarray, key: np.ndarray) -> np.ndarray:
-        """Place of key below each parent, -1 without parent or key. The pointers bound what the successor may be."""
+    def children(self, level: int, parent: int) -> np.ndarray:
+        """Keys below a parent, by its two pointers."""
         pointers, keys, _ = self.levels[level]
+        lo, hi = (int(x) for x in pointers.get(np.array([parent, parent + 1])))
+        return keys.get(np.arange(lo, hi)) & U64(0xFFFFFF)
+
+    def _below(self, level: int, parent: np.ndarray, key: np.ndarray) -> np.ndarray:
+        """Place of key below each parent, -1 without parent or key. Keys carry their parent's rank, so the successor search
+        is relative to the context and cannot leave its range."""
+        keys = self.levels[level][1]
         out = np.full(len(parent), -1, np.int64)
         known = np.flatnonzero(parent >= 0)
         if len(known) and keys.size:
-            p = parent[known]
-            at = keys.find(p.astype(np.uint64) << U64(24) | key[known])
-            inside = (at >= pointers.get(p).astype(np.int64)) & (at < pointers.get(p + 1).astype(np.int64))
-            out[known[inside]] = at[inside]
+            out[known] = keys.find(parent[known].astype(np.uint64) << U64(24) | key[known])
         return out
 
     def codes(self, pairs: np.ndarray, parent: np.ndarray, last: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """The byte codes of pairs, and of triples given by the places of their first two words in pairs."""
-        place = self._below(0, self.roots.find(pairs >> U64(24)), pairs & U64(0xFFFFFF))
+        first = pairs >> U64(24)
+        new = np.concatenate([[True], first[1:] != first[:-1]]) if len(first) else np.zeros(0, bool)
+        place = self._below(0, self.roots.find(first[new])[np.cumsum(new) - 1], pairs & U64(0xFFFFFF))
         below = self._below(1, place[parent], last)
         pick = lambda codes, i: np.where(i >= 0, codes[np.maximum(i, 0)], 0).astype(np.uint8) if len(codes) else np.zeros(len(i), np.uint8)
         return pick(self.levels[0][2], place), pick(self.levels[1][2], below)
@@ -199,6 +206,15 @@ def _unplaned(b: bytes, keep: int) -> np.ndarray:
     return out.view("<u8").ravel()
 
 
+def _packed(a: np.ndarray, keep: int) -> bytes:
+    """As _planes, deflated: for counts and codes, mostly 0 and 1."""
+    return zlib.compress(_planes(a, keep), 1)
+
+
+def _unpacked(b: bytes, keep: int) -> np.ndarray:
+    return _unplaned(zlib.decompress(b), keep)
+
+
 @dataclass
 class Chunk:
     """Distinct n-grams of some texts. Tokens are in text order, each text's words and then its end."""
@@ -276,7 +292,8 @@ def _sent(shards: int) -> Callable[[pa.Table], pa.Table]:
         out = []
         for s, w, p, r, parent in _slices(c, shards):
             gaps = np.diff(c.pairs[p] >> U64(24), prepend=U64(0))
-            out.append((s, key, _planes(c.words[w], 8), _planes(wc[w], 8), _planes(gaps, 4), _planes(c.pairs[p] & U64(0xFFFFFF), 3), _planes(pc[p], 4), _planes(np.bincount(parent, minlength=len(p)), 4), _planes(c.last[r], 3), _planes(tc[r], 4)))
+            spread = np.diff(c.words[w], prepend=U64(0))
+            out.append((s, key, _planes(spread, 8), _packed(wc[w], 8), _planes(gaps, 4), _planes(c.pairs[p] & U64(0xFFFFFF), 3), _packed(pc[p], 4), _packed(np.bincount(parent, minlength=len(p)), 4), _planes(c.last[r], 3), _packed(tc[r], 4)))
         return pa.Table.from_pylist([dict(zip(_SENT_NAMES, x, strict=True)) for x in out], _SENT_SCHEMA)
 
     return send
@@ -294,8 +311,8 @@ def _received(t: pa.Table) -> list[tuple[np.ndarray, ...]]:
     out = []
     for r in t.to_pylist():
         pairs = np.cumsum(_unplaned(r["pair_gaps"], 4)) << U64(24) | _unplaned(r["pair_lasts"], 3)
-        parent = np.repeat(np.arange(len(pairs)), _unplaned(r["children"], 4).astype(np.int64))
-        out.append((_unplaned(r["words"], 8), _unplaned(r["word_counts"], 8), pairs, _unplaned(r["pair_counts"], 4), parent, _unplaned(r["lasts"], 3), _unplaned(r["triple_counts"], 4)))
+        parent = np.repeat(np.arange(len(pairs)), _unpacked(r["children"], 4).astype(np.int64))
+        out.append((np.cumsum(_unplaned(r["words"], 8)), _unpacked(r["word_counts"], 8), pairs, _unpacked(r["pair_counts"], 4), parent, _unplaned(r["lasts"], 3), _unpacked(r["triple_counts"], 4)))
     return out
 
 
@@ -321,7 +338,7 @@ def _answer(t: pa.Table) -> pa.Table:
         back = []
         for (words, _, pairs, _, parent, last, _), chunk, shard in zip(parts, t["chunk"].to_pylist(), t["shard"].to_pylist(), strict=True):
             two, three = trie.codes(pairs, parent, last)
-            back.append({"chunk": chunk, "shard": shard, "n": n, "v": v, "counts": _planes(trie.count(words), 8), "pair_codes": two.tobytes(), "triple_codes": three.tobytes()})
+            back.append({"chunk": chunk, "shard": shard, "n": n, "v": v, "counts": _packed(trie.count(words), 8), "pair_codes": _packed(two, 1), "triple_codes": _packed(three, 1)})
         out = pa.Table.from_pylist(back, _BACK_SCHEMA)
         del trie
         try:
@@ -340,9 +357,9 @@ def _scored(shards: int, m2: float, m3: float) -> Callable[[pa.Table, pa.Table],
         for s, w, p, r, _ in _slices(c, shards):
             a = answers[s]
             n, v = n + a["n"], v + a["v"]
-            count[w] = _unplaned(a["counts"], 8)
-            two[p] = count_of(np.frombuffer(a["pair_codes"], np.uint8))
-            three[r] = count_of(np.frombuffer(a["triple_codes"], np.uint8))
+            count[w] = _unpacked(a["counts"], 8)
+            two[p] = count_of(_unpacked(a["pair_codes"], 1))
+            three[r] = count_of(_unpacked(a["triple_codes"], 1))
         own = count[c.word_at]
         p1 = (own + 0.5) / max(n + 0.5 * (v + 1), 0.5)
         p = p1.copy()
@@ -361,7 +378,7 @@ def _scored(shards: int, m2: float, m3: float) -> Callable[[pa.Table, pa.Table],
     return score
 
 
-def scores(docs: DataFrame, learn: Column, key: str = "doc_id", text: str = "text", m2: float = 400.0, m3: float = 4.0, chunk_chars: int = 8_000_000) -> DataFrame:
+def scores(docs: DataFrame, learn: Column, key: str = "doc_id", text: str = "text", m2: float = 4000.0, m3: float = 10.0, chunk_chars: int = 8_000_000) -> DataFrame:
     """(key, learn, n_tokens, n_known, train_tokens, base_score, score) of every document; learn marks the training documents."""
     texts = F.coalesce(F.col(text).cast("string"), F.lit(""))
     chars = docs.agg(F.coalesce(F.sum(F.length(texts)), F.lit(0))).first()[0]
