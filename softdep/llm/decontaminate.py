@@ -22,13 +22,14 @@ reported as null.
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 from dataclasses import dataclass
 from itertools import islice
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark import Broadcast
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from softdep.llm._text import Hashes, lowered, pieces, spans
@@ -281,18 +282,20 @@ def leaks(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str
     return out
 
 
+def _flag(held: Broadcast) -> Callable[[Column], Column]:
+    @F.arrow_udf("boolean")
+    def leaking(t: pa.Array) -> pa.Array:
+        hit = np.zeros(len(t), bool)
+        hit[[r for r, _ in held.value.found(t)]] = True
+        return pa.array(hit)
+
+    return leaking
+
+
 def clean(docs: DataFrame, benchmark: DataFrame, text: str = "text", item_key: str = "item_id", **options: float) -> DataFrame:
     """The documents that leak no item, with all their columns; no exchange."""
     out = docs
     for search in searches(docs, benchmark, text, item_key, **options):
         held = docs.sparkSession.sparkContext.broadcast(search)
-
-        @F.arrow_udf("boolean")
-        def leaking(t: pa.Array, held=held) -> pa.Array:
-            found = held.value.found(t)
-            hit = np.zeros(len(t), bool)
-            hit[[r for r, _ in found]] = True
-            return pa.array(hit)
-
-        out = out.where(~leaking(F.coalesce(F.col(text).cast("string"), F.lit(""))))
+        out = out.where(~_flag(held)(F.coalesce(F.col(text).cast("string"), F.lit(""))))
     return out
