@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import sys
 from collections.abc import Iterator
+from types import ModuleType
 
 import numpy as np
 import pyarrow as pa
@@ -45,6 +47,16 @@ def lowered(data: np.ndarray) -> np.ndarray:
     return np.where((data >= 65) & (data <= 90), data + 32, data).astype(np.uint8)
 
 
+def lowered_latin(data: np.ndarray) -> np.ndarray:
+    """As lowered, and the accented capitals of Latin-1 too (two bytes, the first C3)."""
+    out = lowered(data)
+    after = np.flatnonzero(data[:-1] == 0xC3) + 1
+    second = data[after]
+    capital = after[(second >= 0x80) & (second <= 0x9E) & (second != 0x97)]
+    out[capital] += 0x20
+    return out
+
+
 def spans(data: np.ndarray, offs: np.ndarray, apart: tuple[int, ...] = BLANK_BYTES) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(row, start, end) of each word, a run of bytes that are not in apart."""
     if not len(data):
@@ -64,14 +76,16 @@ def spans(data: np.ndarray, offs: np.ndarray, apart: tuple[int, ...] = BLANK_BYT
 
 
 def _powers(pieces_long: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of the base and of its inverse, for whole pieces. Kept by each process, not sent along with functions."""
-    held = globals().get("_held_powers")
+    """Powers of the base and of its inverse, for whole pieces. Kept once by each process, under a name of its own, since
+    functions reach workers by value and their globals come anew with each task."""
+    kept = sys.modules.setdefault("_softdep_kept", ModuleType("_softdep_kept"))
+    held = getattr(kept, "powers", None)
     if held is None or len(held[0]) < pieces_long * PIECE_BYTES:
         base = np.full(pieces_long * PIECE_BYTES, _BASE, np.uint64)
         base[0] = 1
         power = np.cumprod(base)
         base[1:] = pow(_BASE, -1, 1 << 64)
-        held = globals()["_held_powers"] = power, np.cumprod(base)
+        held = kept.powers = power, np.cumprod(base)
     return held
 
 
