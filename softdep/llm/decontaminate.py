@@ -14,7 +14,7 @@
 The benchmark is taken in blocks of at most block_items items, each with a pass over the documents, so that what goes to
 the executors is bounded whatever its size. Documents are never shuffled.
 
-Edge cases. Words are runs of ASCII letters, digits and non-ASCII bytes, A-Z in lower case. Null and empty texts hold
+Edge cases. Words are runs of ASCII letters, digits and non-ASCII bytes; Latin-1 capitals count as small letters. Null and empty texts hold
 nothing. Items of fewer than min_words words are too short to tell from chance and match nothing. Items of equal text are
 each reported; repeated document rows give repeated hits. An empty table on either side gives no hit. A null item id is
 reported as null.
@@ -22,21 +22,22 @@ reported as null.
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Callable, Iterable, Iterator
 from dataclasses import dataclass
 from itertools import islice
 
 import numpy as np
 import pyarrow as pa
-from pyspark import Broadcast
+from pyspark import Broadcast, cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from softdep.llm._text import Hashes, lowered, pieces, spans
+from softdep.llm._text import Hashes, lowered_latin, pieces, spans
 
 APART = tuple(b for b in range(128) if not chr(b).isalnum())
 #: Windows are made of blocks of so many words.
-BLOCK = 8
+BLOCK = 12
 
 
 def common_words(a: np.ndarray, b: np.ndarray) -> int:
@@ -57,7 +58,7 @@ def common_words(a: np.ndarray, b: np.ndarray) -> int:
 def word_rows(texts: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
     """(first row, rows, row, word hash) of runs of texts."""
     for first, data, offs in pieces(texts):
-        data = lowered(data)
+        data = lowered_latin(data)
         row, start, end = spans(data, offs, APART)
         yield first, len(offs) - 1, row, Hashes(data).of(start, end)
 
@@ -183,7 +184,7 @@ class Search:
             return
         of = base[row[some]] + (some - first[row[some]]) // BLOCK
         new = np.flatnonzero(np.concatenate([[True], of[1:] != of[:-1]]))
-        sums = np.zeros((base[-1] + 1, self.weights.shape[1]))
+        sums = np.zeros((base[-1] + 1, self.weights.shape[1]), np.float32)
         sums[of[new] + 1] = np.add.reduceat(self.weights[at[some]], new, axis=0)
         np.cumsum(sums, axis=0, out=sums)
         start = np.arange(base[-1])
@@ -191,12 +192,16 @@ class Search:
         end = np.minimum(start + self.window // BLOCK, base[owner + 1])
         size = np.linalg.norm(targets, axis=1)
         unit = targets / np.maximum(size, 1e-12)[:, None]
+        need = np.where(size > 0, self.min_projection * size, np.inf).astype(np.float32)
+        least = need.min(initial=np.inf)
         for s in range(0, len(start), 8192):
-            v = (sums[end[s : s + 8192]] - sums[start[s : s + 8192]]).astype(np.float32)
-            dot = v @ unit.T
-            norm = np.linalg.norm(v, axis=1)[:, None]
-            hit = (dot >= self.min_projection * size) & (dot >= self.min_cosine * norm) & (size > 0)
+            v = sums[end[s : s + 8192]] - sums[start[s : s + 8192]]
+            norm = np.sqrt(np.einsum("ij,ij->i", v, v))
+            far = np.flatnonzero(norm >= least)  # a shorter vector projects too little on any passage
+            dot = v[far] @ unit.T
+            hit = (dot >= need) & (dot >= self.min_cosine * norm[far, None])
             for w, p in zip(*np.nonzero(hit), strict=True):
+                w = far[w]
                 b = start[s + w]
                 r = owner[s + w]
                 yield int(r), self.items.passages[p][0], int((b - base[r]) * BLOCK), int(min((end[s + w] - base[r]) * BLOCK, first[r + 1] - first[r]))
@@ -241,7 +246,7 @@ def searches(
     window: int = 48,
     passage_words: int = 36,
     min_words: int = 8,
-    max_share: float = 0.2,
+    max_share: float = 0.1,
     min_cosine: float = 0.3,
     min_projection: float = 0.55,
     sure: float = 0.8,
@@ -277,16 +282,25 @@ def leaks(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str
     slim = docs.select(F.col(key).alias("key"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text"))
     out = spark.createDataFrame([], ddl)
     for search in searches(docs, benchmark, text, item_key, **options):
-        held = spark.sparkContext.broadcast(search)
-        out = out.unionByName(slim.mapInArrow(lambda batches, held=held: held.value.hits(batches, schema), ddl))
+        held = _sent(spark, search)
+        out = out.unionByName(slim.mapInArrow(lambda batches, held=held: pickle.loads(held.value).hits(batches, schema), ddl))
     return out
 
 
+def _sent(spark: SparkSession, search: Search) -> Broadcast:
+    """A search for the executors, its class along with it."""
+    return spark.sparkContext.broadcast(cloudpickle.dumps(search))
+
+
 def _flag(held: Broadcast) -> Callable[[Column], Column]:
+    kept: list[Search] = []  # filled once in each task
+
     @F.arrow_udf("boolean")
     def leaking(t: pa.Array) -> pa.Array:
+        if not kept:
+            kept.append(pickle.loads(held.value))
         hit = np.zeros(len(t), bool)
-        hit[[r for r, _ in held.value.found(t)]] = True
+        hit[[r for r, _ in kept[0].found(t)]] = True
         return pa.array(hit)
 
     return leaking
@@ -296,6 +310,5 @@ def clean(docs: DataFrame, benchmark: DataFrame, text: str = "text", item_key: s
     """The documents that leak no item, with all their columns; no exchange."""
     out = docs
     for search in searches(docs, benchmark, text, item_key, **options):
-        held = docs.sparkSession.sparkContext.broadcast(search)
-        out = out.where(~_flag(held)(F.coalesce(F.col(text).cast("string"), F.lit(""))))
+        out = out.where(~_flag(_sent(docs.sparkSession, search))(F.coalesce(F.col(text).cast("string"), F.lit(""))))
     return out

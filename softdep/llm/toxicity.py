@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from softdep.llm._text import Hashes, lowered, pieces, spans
+from softdep.llm._text import Hashes, lowered_latin, pieces, spans
 
 #: Beginnings of words, in bytes, stand beside whole words, so that inflected forms share what is learnt.
 STEMS = (4, 5, 6, 7, 8, 9)
@@ -37,7 +37,7 @@ APART = tuple(b for b in range(128) if not chr(b).isalnum())
 def features(texts: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
     """(first row, rows, row, hash) of runs of texts: a hash for each word and each of its beginnings."""
     for first, data, offs in pieces(texts):
-        data = lowered(data)
+        data = lowered_latin(data)
         row, start, end = spans(data, offs, APART)
         h = Hashes(data)
         parts = [(row, h.of(start, end))]

@@ -51,7 +51,7 @@ def resolved(captures: DataFrame, bucket_seconds: int = 86400) -> DataFrame:
     outcome: etag, last_modified or unvalidated where it is resolved; mismatch or no_prior, with null response columns,
     where it is not. Full responses are the rows of status 200.
     """
-    c = captures.select("id", canonical(F.col("url")).alias("url_key"), "ts", "status", lowered(F.col("headers")).alias("h"))
+    c = captures.select("id", canonical(F.col("url")).alias("url_key"), F.col("ts").cast("timestamp").alias("ts"), "status", lowered(F.col("headers")).alias("h"))
     slot = F.floor(F.unix_micros(F.col("ts")) / (bucket_seconds * 1_000_000)).alias("slot")
     is_full, is_304 = F.col("status") == 200, F.col("status") == 304
     full = F.struct("ts", "id", F.col("h")["etag"].alias("etag"), F.col("h")["last-modified"].alias("modified"))
