@@ -13,7 +13,7 @@ def op1_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
     feats = written(quality.measured(docs).drop("text", "lang"), "quality")
     cutoffs = quality.certified(feats, table(spark, sf_dir, "labels"))
-    return quality.judged(feats, cutoffs).select("doc_id", *quality.BASE, "base_failed", "kept", "stratum", "failed_rules")
+    return quality.judged(feats, cutoffs).select("doc_id", *quality.BASE, "base_failed", "kept", "stratum", F.array_join("failed_rules", ",").alias("failed_rules"))
 
 
 def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
