@@ -11,7 +11,7 @@ import pyarrow as pa
 
 BLANK_BYTES = (0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D)
 #: Text is taken in pieces of whole rows of about so many bytes, which bounds the arrays built from it.
-PIECE_BYTES = 1 << 20
+PIECE_BYTES = 1 << 18
 _BASE = 0x9E3779B97F4A7C15 | 1
 
 

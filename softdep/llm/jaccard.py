@@ -7,12 +7,13 @@
 3. Prefixes. If |A n B| >= t |A u B|, then A and B share one of the first |A| - ceil(t |A|) + 1 tokens of either, in any
    fixed order. The order is by frequency, then hash, so a document with that many tokens of its own has no partner, and
    passages that many documents share stay out of the prefixes. Only prefix tokens held by two or more sets go on.
-4. Stars. Each token's holders are compared with one of them; what is alike falls together. Large families of near copies
-   become one component here, with as many comparisons as members.
-5. Matrix. Documents that share prefix tokens with other components are put in groups of similar ones (equal smallest
-   prefix token, some tens each); a group stores the union of its members' tokens, and the matrix says which tokens it has.
+4. Stars. Each token's holders are compared with one of them, those left alone with a few more; what is alike falls
+   together. Large families of near copies mostly become one component here, with few comparisons for each member.
+5. Matrix. Documents that share prefix tokens with other components are put in groups of similar ones (equal most
+   frequent prefix token, some tens each); a group stores the union of its members' tokens, and the matrix says which tokens it has.
    Where two groups share a token, one's members query the other: t / (1 + t) * (|Q| + least size in the group) tokens of Q
-   must be in the union for any partner there. Only then the group is opened and its members are compared exactly.
+   must be in the union for any partner there. Only then the group is opened, to those of its members that may in turn have
+   a partner in Q's group, and they are compared exactly.
 No link is lost: two similar sets share a prefix token, so they are in one component already or meet in step 5.
 
 Edge cases. Null, empty and blank texts have an empty set and link with nothing. A text of fewer words than a shingle is
@@ -174,23 +175,27 @@ def _sizes_fit(na: str, nb: str, percent: int) -> F.Column:
     return (100 * F.col(na) >= percent * F.col(nb)) & (100 * F.col(nb) >= percent * F.col(na))
 
 
-def linked(probed: DataFrame, percent: int = 80, stars: int = 2, group_size: int = 48) -> DataFrame:
+def linked(probed: DataFrame, percent: int = 80, stars: tuple[int, ...] = (1, 3, 8, 16), group_size: int = 16) -> DataFrame:
     """(id, component) of the standing documents that link with others (steps 4 and 5)."""
     sets = written(probed.where("prefix is not null").select(F.col("key").alias("id"), "n", "prefix", "tokens"), "sets")
     holds = written(sets.select("id", "n", F.explode("prefix").alias("token")), "holds")
-    edges = None
-    for k in range(stars):
-        centre = holds.groupBy("token").agg(F.min(F.struct(F.xxhash64("id", F.lit(k)).alias("h"), F.col("id").alias("a"), F.col("n").alias("na"))).alias("c"), F.count("*").alias("held")).where("held > 1").select("token", "c.a", "c.na")
-        star = holds.join(centre, "token").where((F.col("id") != F.col("a")) & _sizes_fit("na", "n", percent)).select("a", F.col("id").alias("b")).distinct()
+    edges, seed = None, 0
+    for many in stars:
+        # After the first round only documents without a link ask, more centres at a time.
+        asks = holds if edges is None else holds.join(edges.select(F.col("a").alias("id")).union(edges.select("b")).distinct(), "id", "left_anti")
+        lead = lambda k: F.min(F.struct(F.xxhash64("id", F.lit(k)).alias("h"), F.col("id").alias("a"), F.col("n").alias("na")))
+        centres = holds.groupBy("token").agg(F.array(*(lead(seed + k) for k in range(many))).alias("c"), F.count("*").alias("held")).where("held > 1").select("token", F.explode(F.array_distinct(F.transform("c", lambda x: F.struct(x["a"].alias("a"), x["na"].alias("na"))))).alias("c"))
+        star = asks.join(centres, "token").where((F.col("id") != F.col("c.a")) & _sizes_fit("c.na", "n", percent)).select("c.a", F.col("id").alias("b")).distinct()
         found = _alike(star if edges is None else star.join(edges, ["a", "b"], "left_anti"), sets, percent)
         edges = written(found if edges is None else edges.union(found), "stars")
+        seed += many
     comp = written(components(edges), "components")
     of = holds.join(comp, "id", "left").select("token", "id", "n", F.coalesce("component", "id").alias("component"))
-    mixed_tokens = of.groupBy("token").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo != hi").select("token")
+    mixed_tokens = of.groupBy("token").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("held")).where("lo != hi").select("token", "held")
     open_ = written(of.join(mixed_tokens, "token"), "open")
-    # Groups: documents of the same smallest prefix token, split into parts of about group_size; a component of that size
+    # Groups: documents of the same most frequent prefix token, split into parts of about group_size; a component of that size
     # or more has groups of its own, smaller ones share them.
-    least = open_.groupBy("id", "component", "n").agg(F.min("token").alias("root"))
+    least = open_.groupBy("id", "component", "n").agg(F.max(F.struct("held", "token"))["token"].alias("root"))
     sizes = least.groupBy("component").agg(F.count("*").alias("comp_size"))
     rooted = least.join(sizes, "component").withColumn("gc", F.when(F.col("comp_size") >= group_size, F.col("component"))).withColumn("pool", F.struct("gc", "root"))
     parts = rooted.groupBy("pool").agg(F.count("*").alias("members"))
@@ -203,14 +208,20 @@ def linked(probed: DataFrame, percent: int = 80, stars: int = 2, group_size: int
     fits = (100 * F.col("qhi") >= percent * F.col("lo")) & (100 * F.col("hi") >= percent * F.col("qlo")) & (~F.col("asks") | (F.col("qgrp") <= F.col("grp")))
     meet = asking.join(side, "token").where(fits).select("qgrp", "grp").distinct()
     needed = written(member.join(sets.select("id", "tokens"), "id"), "needed")
-    union = needed.join(meet.select("grp").distinct(), "grp", "left_semi").groupBy("grp").agg(F.min("n").alias("lo"), F.array_distinct(F.flatten(F.collect_list("tokens"))).alias("all"))
-    query = needed.select(F.col("grp").alias("qgrp"), F.col("id").alias("a"), F.col("n").alias("na"), F.col("component").alias("ca"), F.col("tokens").alias("ta"))
-    # |A n B| / |A u B| >= t needs |A n B| >= t (|A| + |B|) / (1 + t), and the union's overlap is no less than |A n B|.
-    overlap = F.size(F.array_intersect("ta", "all"))
-    opened = meet.join(union, "grp").join(query, "qgrp").where((100 + percent) * overlap >= percent * (F.col("na") + F.col("lo"))).select("qgrp", "grp", "a", "na", "ca")
-    inside = needed.select("grp", F.col("id").alias("b"), "n", "component")
+    union = written(needed.groupBy("grp").agg(F.min("n").alias("lo"), F.array_distinct(F.flatten(F.collect_list("tokens"))).alias("all")), "unions")
+
+    def opened(own: str, other: str) -> DataFrame:
+        """(own, other, id, n, component) of own's members that may have a partner in other: |A n B| / |A u B| >= t needs
+        |A n B| >= t (|A| + |B|) / (1 + t), and A's overlap with the union is no less than |A n B|."""
+        members = needed.withColumnRenamed("grp", own)
+        overlap = F.size(F.array_intersect("tokens", "all"))
+        met = meet.join(union.withColumnRenamed("grp", other), other).join(members, own)
+        return met.where((100 + percent) * overlap >= percent * (F.col("n") + F.col("lo"))).select(own, other, "id", "n", "component")
+
+    a = opened("qgrp", "grp").select("qgrp", "grp", F.col("id").alias("a"), F.col("n").alias("na"), F.col("component").alias("ca"))
+    b = opened("grp", "qgrp").select("qgrp", "grp", F.col("id").alias("b"), "n", "component")
     once = (F.col("qgrp") != F.col("grp")) | (F.col("a") < F.col("b"))
-    pairs = opened.join(inside, "grp").where((F.col("ca") != F.col("component")) & once & _sizes_fit("na", "n", percent)).select("a", "b").distinct()
+    pairs = a.join(b, ["qgrp", "grp"]).where((F.col("ca") != F.col("component")) & once & _sizes_fit("na", "n", percent)).select("a", "b").distinct()
     more = written(_alike(pairs, sets, percent), "opened")
     if more.isEmpty():
         return comp
