@@ -8,9 +8,10 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def agreement_agg(left: pd.Series, right: pd.Series) -> float:
     """Agreement of right given left over a group's rows, which must fit one task."""
     d = pd.DataFrame({"x": left, "a": right}).dropna()
@@ -18,7 +19,7 @@ def agreement_agg(left: pd.Series, right: pd.Series) -> float:
     return float((f**2).groupby(level=0).sum().div(f.groupby(level=0).sum()).sum() / len(d)) if len(d) else float("nan")
 
 
-@F.udtf(returnType="subset long, size int")
+@F.udtf(returnType=T.StructType([T.StructField("subset", T.LongType()), T.StructField("size", T.IntegerType())]))
 class SubsetsOf:
     """The non-empty subsets of a bit mask."""
 

@@ -13,6 +13,11 @@ from softdep.functions import measures
 Watched = tuple[tuple[str, ...], str]
 
 
+def timed(events: DataFrame, ts: str) -> DataFrame:
+    """Event times without zone become instants, as watermarks need them."""
+    return events.withColumn(ts, F.col(ts).cast("timestamp"))
+
+
 def joint_counts(events: DataFrame, ad: Watched, by: list | None = None) -> DataFrame:
     """(by..., lhs_key, rhs_value, f) of an AD over a batch or a stream; NULLs are left out."""
     lhs, rhs = ad
@@ -50,7 +55,7 @@ def stream_counts(stream: DataFrame, ad: Watched, table: str, checkpoint: str, w
     """A started query that keeps the joint counts of all rows so far in a table of the catalogue, replaced by each batch in
     complete mode, or of finished windows appended once their watermark has passed. Trigger: what is there now."""
     if window:
-        counts = joint_counts(stream.withWatermark(ts, watermark or "0 seconds").withColumn("__w", F.window(ts, window)), ad, [F.col("__w").alias("w")])
+        counts = joint_counts(timed(stream, ts).withWatermark(ts, watermark or "0 seconds").withColumn("__w", F.window(ts, window)), ad, [F.col("__w").alias("w")])
         mode = "append"
     else:
         counts, mode = joint_counts(stream, ad), "complete"
@@ -63,7 +68,7 @@ def stream_counts(stream: DataFrame, ad: Watched, table: str, checkpoint: str, w
 
 
 def deduplicated(stream: DataFrame, key: str = "event_id", ts: str = "ts", watermark: str = "1 day") -> DataFrame:
-    return stream.withWatermark(ts, watermark).dropDuplicatesWithinWatermark([key])
+    return timed(stream, ts).withWatermark(ts, watermark).dropDuplicatesWithinWatermark([key])
 
 
 def violation_alerts(stream: DataFrame, lhs: str, rhs: str) -> DataFrame:
