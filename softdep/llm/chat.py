@@ -46,7 +46,7 @@ def unescaped_role(role: Column) -> Column:
 @dataclass(frozen=True)
 class Forest:
     """messages: tree, id, parent, score, role, text. jumps[k]: (tree, id, up), up being 2^k levels above id.
-    reach: (tree, id, up, depth, total); up is null where the root was reached."""
+    reach: (tree, id, up, depth, total); up is null where the root was reached. tree is a struct of the messages' tree."""
 
     messages: DataFrame
     jumps: list[DataFrame]
@@ -55,7 +55,8 @@ class Forest:
 
 def forest(messages: DataFrame) -> Forest:
     """The jump tables of messages(tree, id, parent, score, role, text)."""
-    m = written(messages.select("tree", "id", F.when(F.col("parent") != F.col("id"), F.col("parent")).alias("parent"), "score", "role", "text"), "messages")
+    # A struct of a null is no null, so that the null tree joins like any other.
+    m = written(messages.select(F.struct(F.col("tree").alias("v")).alias("tree"), "id", F.when(F.col("parent") != F.col("id"), F.col("parent")).alias("parent"), "score", "role", "text"), "messages")
     ids = m.select("tree", F.col("id").alias("parent")).distinct().withColumn("there", F.lit(True))
     size = m.groupBy("tree").count().agg(F.max("count")).first()[0] or 0
     reach = m.select("tree", "id", "parent", "score").join(ids, ["tree", "parent"], "left").select("tree", "id", F.when(F.col("there"), F.col("parent")).alias("up"), F.lit(1).cast("long").alias("depth"), F.coalesce(F.col("score"), F.lit(0.0)).cast("double").alias("total"))
@@ -75,7 +76,7 @@ def forest(messages: DataFrame) -> Forest:
 
 def rootless(f: Forest) -> DataFrame:
     """Messages on or below a cycle."""
-    return f.reach.where("up is not null").select("tree", "id")
+    return f.reach.where("up is not null").select("tree.v", "id").withColumnRenamed("v", "tree")
 
 
 def branches(f: Forest, best: int | None = 1) -> DataFrame:
@@ -83,16 +84,16 @@ def branches(f: Forest, best: int | None = 1) -> DataFrame:
     parents = f.messages.where("parent is not null").select("tree", F.col("parent").alias("id")).distinct()
     leaves = f.reach.where("up is null").join(parents, ["tree", "id"], "left_anti").select("tree", F.col("id").alias("leaf"), "depth", (F.col("total") / F.col("depth")).alias("score"))
     ranked = leaves.withColumn("rank", F.row_number().over(Window.partitionBy("tree").orderBy(F.desc("score"), F.desc("depth"), "leaf")))
-    return ranked if best is None else ranked.where(F.col("rank") <= best)
+    return (ranked if best is None else ranked.where(F.col("rank") <= best)).withColumn("tree", F.col("tree.v"))
 
 
 def paths(f: Forest, chosen: DataFrame) -> DataFrame:
     """(tree, leaf, rank, pos, role, text) of every message from the root (pos 0) to each chosen leaf."""
-    out = chosen.select("tree", "leaf", "rank", "depth", F.col("leaf").alias("id"), F.lit(0).cast("long").alias("above"))
+    out = chosen.select(F.struct(F.col("tree").alias("v")).alias("tree"), "leaf", "rank", "depth", F.col("leaf").alias("id"), F.lit(0).cast("long").alias("above"))
     for k, jump in enumerate(f.jumps):
         out = out.unionByName(out.join(jump, ["tree", "id"]).select("tree", "leaf", "rank", "depth", F.col("up").alias("id"), (F.col("above") + 2**k).alias("above")))
         out = written(out, "path") if k % 3 == 2 else out
-    return out.join(f.messages.select("tree", "id", "role", "text"), ["tree", "id"]).select("tree", "leaf", "rank", (F.col("depth") - 1 - F.col("above")).alias("pos"), "role", "text")
+    return out.join(f.messages.select("tree", "id", "role", "text"), ["tree", "id"]).select(F.col("tree.v").alias("tree"), "leaf", "rank", (F.col("depth") - 1 - F.col("above")).alias("pos"), "role", "text")
 
 
 def formatted(path_rows: DataFrame, trained: tuple[str, ...] = ("assistant",)) -> DataFrame:
@@ -128,5 +129,5 @@ def read_loss(text: Column, spans: Column) -> Column:
 def conversations(rows: DataFrame) -> DataFrame:
     """Messages of the forest from rows(conv_id, turn, role, text): each row replies to the one before it."""
     pos = F.row_number().over(Window.partitionBy("conv_id").orderBy("turn", "role", "text")).cast("long")
-    m = rows.select(F.struct("conv_id").alias("tree"), pos.alias("id"), "role", "text")
+    m = rows.select(F.col("conv_id").alias("tree"), pos.alias("id"), "role", "text")
     return m.select("tree", "id", F.when(F.col("id") > 1, F.col("id") - 1).alias("parent"), F.length("text").cast("double").alias("score"), "role", "text")

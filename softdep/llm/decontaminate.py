@@ -237,6 +237,16 @@ class Search:
             yield pa.RecordBatch.from_arrays([keys, ids, *(pa.array([x[k] for _, x in rows], schema.field(2 + k).type) for k in range(4))], schema=schema)
 
 
+def _telling(items: Items, terms: np.ndarray, df: np.ndarray, most: float, least: int = 8) -> np.ndarray:
+    """The terms in at most that many documents, and of every passage at least its few rarest."""
+    keep = df <= most
+    for i, a, b in items.passages:
+        own = np.unique(_place(terms, items.words[i][a:b]))
+        if keep[own].sum() < least:
+            keep[own[np.lexsort((own, df[own]))[:least]]] = True
+    return keep
+
+
 def searches(
     docs: DataFrame,
     benchmark: DataFrame,
@@ -253,8 +263,8 @@ def searches(
     likely: float = 0.65,
     block_items: int = 20_000,
 ) -> Iterator[Search]:
-    """A search for each block of the benchmark. Terms in more than max_share of all documents do not count in the vectors;
-    all words count in the check."""
+    """A search for each block of the benchmark. Terms in more than max_share of all documents do not count in the vectors,
+    unless a passage has few others; all words count in the check."""
     spark = docs.sparkSession
     answer = F.col("answer").cast("string") if "answer" in benchmark.columns else F.lit(None).cast("string")
     rows = benchmark.select(F.col(item_key), F.col("text").cast("string"), answer).toLocalIterator()
@@ -265,7 +275,7 @@ def searches(
             continue
         terms = np.unique(np.concatenate(items.words))
         n, df = document_frequency(slim, terms)
-        rare = df <= max(max_share * n, 1)
+        rare = _telling(items, terms, df, max_share * n)
         terms, idf = terms[rare], np.log((n + 1) / (df[rare] + 1)) + 1e-3
         if len(terms):
             space = latent_space(spark, items, terms, idf, rank)

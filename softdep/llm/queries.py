@@ -32,7 +32,7 @@ def op3_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     turns = chat.read_turns(F.col("formatted"))
     loss = chat.read_loss(F.col("formatted"), F.col("loss_spans"))
     told = F.array_join(F.transform("turns", lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")
-    return out.select(F.col("tree.conv_id").alias("conv_id"), turns.alias("turns"), loss.alias("loss"), F.length("formatted").cast("long").alias("formatted_chars")).select(
+    return out.select(F.col("tree").alias("conv_id"), turns.alias("turns"), loss.alias("loss"), F.length("formatted").cast("long").alias("formatted_chars")).select(
         "conv_id",
         F.size("turns").cast("long").alias("n_turns"),
         F.sha2(told, 256).alias("turns_sha256"),
