@@ -2,23 +2,19 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+from softdep.shared import shared_dir
 
-def shared_dir(spark: SparkSession) -> str:
-    """The session's spark.checkpoint.dir; a folder of its own only where that is unset (tests, one machine)."""
-    context = spark.sparkContext
-    named = context.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        return named.rstrip("/")
-    held = context._jsc.sc().getCheckpointDir()
-    if held.isEmpty():
-        context.setCheckpointDir(tempfile.mkdtemp(prefix="softdep-"))
-        held = context._jsc.sc().getCheckpointDir()
-    return held.get().rstrip("/")
+
+def bounded_batches(spark: SparkSession, rows: int = 1000) -> None:
+    """Arrow batches of whole texts hold at most so many rows from now on: Spark's own limit of rows lets a batch grow to
+    many MB in both the JVM and Python. A lower limit of the session stays."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(name)) <= rows:
+        spark.conf.set(name, str(rows))
 
 
 def written(df: DataFrame, name: str) -> DataFrame:

@@ -33,6 +33,7 @@ from pyspark import Broadcast, cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from softdep.llm._store import bounded_batches
 from softdep.llm._text import Hashes, lowered_latin, pieces, spans
 
 APART = tuple(b for b in range(128) if not chr(b).isalnum())
@@ -266,6 +267,7 @@ def searches(
     """A search for each block of the benchmark. Terms in more than max_share of all documents do not count in the vectors,
     unless a passage has few others; all words count in the check."""
     spark = docs.sparkSession
+    bounded_batches(spark)
     answer = F.col("answer").cast("string") if "answer" in benchmark.columns else F.lit(None).cast("string")
     rows = benchmark.select(F.col(item_key), F.col("text").cast("string"), answer).toLocalIterator()
     slim = docs.select(F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text"))

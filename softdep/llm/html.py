@@ -27,7 +27,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from softdep.llm._store import written
+from softdep.llm._store import bounded_batches, written
 from softdep.llm.urls import host_of
 
 # Fixed values of HTML.
@@ -236,6 +236,7 @@ def main_text(html: str | None, noise: frozenset[str] = frozenset()) -> str:
 
 def extracted(pages: DataFrame, url: str = "url", html: str = "html", max_broadcast_rows: int = 20_000, **options: float) -> DataFrame:
     """pages with a column text. Columns of that name or of the names host and noise are replaced or dropped."""
+    bounded_batches(pages.sparkSession)
     noise = written(noise_nodes(node_importance(pages, url, html), **options), "noise")
     few = noise.agg(F.coalesce(F.sum(F.size("noise")), F.lit(0))).first()[0] <= max_broadcast_rows
     base = pages.drop("noise", "host", "text").withColumn("host", host_of(F.col(url)))

@@ -26,6 +26,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from softdep.llm._store import bounded_batches
 from softdep.llm._text import Hashes, lowered_latin, pieces, spans
 
 #: Beginnings of words, in bytes, stand beside whole words, so that inflected forms share what is learnt.
@@ -103,8 +104,8 @@ def fit(
     labels: DataFrame,
     key: str = "doc_id",
     text: str = "text",
-    max_positive: int = 4000,
-    max_unlabelled: int = 8000,
+    max_positive: int = 3000,
+    max_unlabelled: int = 6000,
     max_words: int = 256,
     min_g2: float = 24.0,
     min_share: float = 0.6,
@@ -114,6 +115,7 @@ def fit(
     The words are those of the largest G2 between P and U for which c * P(word | P) / P(word | U), the share of toxic
     texts among those with the word, is at least min_share.
     """
+    bounded_batches(docs.sparkSession)
     known = labels.where(in_training(F.col(key)) & F.col("toxic").isNotNull()).groupBy(F.col(key).alias("k")).agg(F.max("toxic").alias("toxic"))
     n, n_pos = known.agg(F.count("*"), F.coalesce(F.sum((F.col("toxic") == 1).cast("long")), F.lit(0))).first()
     if not n_pos:
