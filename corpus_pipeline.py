@@ -22,12 +22,12 @@ def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that pass the base rules and every certified cutoff; texts without words fail."""
-    columns = [F.col(f"`{c}`") for c in docs.columns]
-    clash = [c for c in docs.columns if c in (*quality.BASE, *quality.GRIDS, "base_failed", "stratum", "failed_rules", "kept")]
-    held = docs.select(F.struct(*columns).alias("__doc"), *(F.col(c) for c in ("doc_id", "text", "lang") if c not in clash))
-    feats = written(quality.measured(held).drop("text", "lang"), "measured")
-    cutoffs = quality.certified(feats, table(spark, sf_dir, "labels"))
-    return quality.judged(feats, cutoffs).where("kept").select("__doc.*")
+    slim = docs.select("doc_id", "text", "lang")
+    feats = written(quality.measured(slim).drop("text", "lang"), "measured")
+    cutoffs = written(quality.certified(feats, table(spark, sf_dir, "labels")), "cutoffs")
+    # The counts are made again beside the whole rows: cheaper in memory and disk than to write every text once more.
+    held = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("__doc"), "doc_id", "text", "lang")
+    return quality.judged(quality.measured(held), cutoffs).where("kept").select("__doc.*")
 
 
 def jaccard_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -120,6 +120,6 @@ def judged(feats: DataFrame, cutoffs: DataFrame) -> DataFrame:
     wide = cutoffs.where("cutoff is not null").groupBy("stratum").agg(*(F.min(F.when(F.col("rule") == r, F.col("cutoff"))).alias(f"__{r}") for r in GRIDS))
     joined = feats.drop("failed_rules", "kept").join(F.broadcast(wide), "stratum", "left")
     failed = F.filter(F.array(*(F.when(F.col(r) > F.col(f"__{r}"), F.lit(r)) for r in GRIDS)), lambda x: x.isNotNull())
-    return joined.withColumn("failed_rules", failed).withColumn("kept", ~F.col("base_failed") & (F.size("failed_rules") == 0)).drop(*(f"__{r}" for r in GRIDS))
+    return joined.withColumn("failed_rules", failed).withColumn("kept", F.when(F.col("base_failed"), False).otherwise(F.size("failed_rules") == 0)).drop(*(f"__{r}" for r in GRIDS))
 
 
