@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from functools import reduce
+from math import prod
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -38,8 +39,14 @@ def chunk_tables(rel: Relation, sets: list[Z]) -> tuple[DataFrame, dict[Z, int],
     names = [p for i in attributes for p in rel.physical(i)]
     width = len(names)
     gid = {z: sum(1 << (width - 1 - names.index(p)) for i in attributes if i not in z for p in rel.physical(i)) for z in sets}
-    grouped = rel.codes.select(*names).groupingSets([[F.col(p) for i in z for p in rel.physical(i)] for z in sets], *names)
-    table = grouped.agg(F.count(F.lit(1)).alias("f"), F.grouping_id().alias("gid"))
+    base = rel.codes.select(*names, "w")
+    if len(sets) > 1 and rel.null_free:
+        most = prod(rel.marginals[i][0] for i in attributes if i in rel.marginals)
+        if 4 * most <= rel.size:
+            # The chunk's columns have few combinations: count these once and roll the sets up from them.
+            base = base.groupBy(*names).agg(F.sum("w").alias("w"))
+    grouped = base.groupingSets([[F.col(p) for i in z for p in rel.physical(i)] for z in sets], *names)
+    table = grouped.agg(F.sum("w").alias("f"), F.grouping_id().alias("gid"))
     nulls = reduce(lambda a, b: a + b, [F.col(n).isNull().cast("int") for n in names])
     return table.where(nulls == F.bit_count("gid")), gid, attributes
 

@@ -47,7 +47,7 @@ def rfi_prime_plus(rel: Relation, lhs: list[str], rhs: str, permutations: int =
 def rfi_frame(rel: Relation, cands: list[Candidate], permutations: int = 100, seed: int = 0) -> DataFrame:
     """(lhs, rhs, n, rfi) of candidates on a relation whose coded columns fit one task: a task for each candidate."""
     spark = rel.df.sparkSession
-    codes = rel.codes.select(*(F.col(rel.physical(i)[0]).alias(f"c{i}") for i in range(rel.m))).toPandas()
+    codes = rel.codes.select(*(F.col(rel.physical(i)[0]).alias(f"c{i}") for i in range(rel.m)), F.explode(F.sequence(F.lit(1), F.col("w"))).alias("w")).drop("w").toPandas()
     held = spark.sparkContext.broadcast(codes)
     rows = [(i, list(x), a) for i, (x, a) in enumerate(cands)]
 

@@ -50,8 +50,14 @@ def _joint_counts(rel: Relation, cands: list[tuple[int, Candidate]], chunk_size:
         own = F.element_at("v", F.col("a") + 1)
         left = F.struct(F.lit(0).alias("side"), F.xxhash64(others).alias("k1"), F.xxhash64(F.lit(1), others).alias("k2"))
         right = F.struct(F.lit(1).alias("side"), own["x"].alias("k1"), own["y"].alias("k2"))
-        parts.append(coded.join(listed, "gid").select("cid", "f", F.explode(F.array(left, right)).alias("e")).select("cid", "e.*", "f"))
-    return _folded(reduce(DataFrame.union, parts))
+        # Without NULLs the right side's counts are those of the whole relation: they are taken once, not for each candidate.
+        sides = F.array(left) if rel.null_free else F.array(left, right)
+        parts.append(coded.join(listed, "gid").select("cid", "f", F.explode(sides).alias("e")).select("cid", "e.*", "f"))
+    folded = _folded(reduce(DataFrame.union, parts))
+    if not rel.null_free:
+        return folded
+    known = spark.createDataFrame([(cid, *rel.marginals[rhs]) for cid, (_, rhs) in cands if rhs in rel.marginals], "cid int, d_rhs long, disagree_rhs double")
+    return folded.drop("d_rhs", "disagree_rhs").join(known, "cid").select("cid", "n", "d_lhs", "d_joint", "max_sum", "d_rhs", "disagree_lhs", "disagree_rhs")
 
 
 def _shared_counts(rel: Relation, cands: list[tuple[int, Candidate]]) -> DataFrame:
@@ -64,8 +70,8 @@ def _shared_counts(rel: Relation, cands: list[tuple[int, Candidate]]) -> DataFra
         keys = [F.col(p) for i in lhs for p in rel.physical(i)]
         whole = reduce(lambda a, b: a & b, [k.isNotNull() for k in keys])
         each = F.array(*(F.struct(F.lit(cid).alias("cid"), F.col(rel.physical(a)[0]).alias("x"), F.col(rel.physical(a)[-1]).alias("y")) for cid, a in rights))
-        slim = rel.codes.where(whole).select(F.xxhash64(*keys).alias("k1"), F.xxhash64(F.lit(1), *keys).alias("k2"), F.explode(each).alias("e")).where("e.x is not null")
-        joint = slim.groupBy("e.cid", "k1", "k2", "e.x", "e.y").agg(F.count(F.lit(1)).alias("f"))
+        slim = rel.codes.where(whole).select(F.xxhash64(*keys).alias("k1"), F.xxhash64(F.lit(1), *keys).alias("k2"), "w", F.explode(each).alias("e")).where("e.x is not null")
+        joint = slim.groupBy("e.cid", "k1", "k2", "e.x", "e.y").agg(F.sum("w").alias("f"))
         left = F.struct(F.lit(0).alias("side"), "k1", "k2")
         right = F.struct(F.lit(1).alias("side"), F.col("x").alias("k1"), F.col("y").alias("k2"))
         parts.append(joint.select("cid", "f", F.explode(F.array(left, right)).alias("s")).select("cid", "s.*", "f"))

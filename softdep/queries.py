@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from softdep import fixtures
+from softdep import fixtures, workloads
 from softdep.operators import audit, joint, reliable, score, temporal, theory
 from softdep.plans import lattice, report
 from softdep.plans.search import Options, exact_dependencies, search, threshold_discovery
@@ -296,3 +296,11 @@ def stream_counts_events(spark: SparkSession, sf_dir: str) -> DataFrame:
 def rank_by_rhs_dirty(spark: SparkSession, sf_dir: str) -> DataFrame:
     s = score_table(relation(spark, sf_dir, "dirty"), 2).where("n > 1 and not is_exact")
     return s.select("lhs", "rhs", "mu_plus", F.rank().over(Window.partitionBy("rhs").orderBy(F.desc("mu_plus"))).alias("rank"))
+
+
+# Workloads whose results hold run times or search costs: rows only.
+QUERIES["workload_scale_k"] = lambda s, d: workloads.scale_k(s, d, ("dirty",), 2).drop("seconds")
+QUERIES["workload_ablation_orders"] = lambda s, d: workloads.ablation(s, d, ("orders",)).drop("seconds")
+QUERIES["workload_null_bound"] = lambda s, d: workloads.null_bound(s, d).drop("seconds")
+QUERIES["workload_depth_doc"] = lambda s, d: workloads.depth(s, d, ("doc",), 3).drop("seconds")
+QUERIES["workload_case_study"] = lambda s, d: workloads.case_study(s, d, max_lhs=2, k=5)

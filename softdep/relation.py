@@ -15,7 +15,8 @@ class Relation:
 
     wide keys strings and floating-point values by 128 hash bits instead of 64; integral values are always keyed exactly.
     null_policy 'ignore' leaves tuples with a NULL among a candidate's columns out of that candidate; 'as_value' takes NULL
-    as one more value.
+    as one more value. collapse keeps equal tuples as one with a weight; None does so where a sketch says that at most half
+    of them differ.
     """
 
     df: DataFrame
@@ -23,7 +24,11 @@ class Relation:
     name: str = "r"
     wide: bool = True
     null_policy: str = "ignore"
+    collapse: bool | None = None
     _codes: DataFrame | None = field(default=None, repr=False)
+    _marginals: dict[int, tuple[int, float]] | None = field(default=None, repr=False)
+    _null_free: bool | None = field(default=None, repr=False)
+    _size: int | None = field(default=None, repr=False)
 
     @staticmethod
     def of(df: DataFrame, include: list[str] | None = None, exclude: tuple[str, ...] = (), name: str = "r", **options: object) -> Relation:
@@ -43,7 +48,7 @@ class Relation:
 
     @property
     def codes(self) -> DataFrame:
-        """One or two long columns for each attribute; equal codes mean equal values. Persisted on first use."""
+        """One or two long columns for each attribute, equal for equal values, and a weight w. Persisted on first use."""
         if self._codes is None:
             out = []
             for i, name in enumerate(self.columns):
@@ -51,13 +56,48 @@ class Relation:
                 for k, alias in enumerate(self.physical(i)):
                     code = _code(F.col(f"`{name}`"), kind, k)
                     out.append((F.coalesce(code, F.lit(-(2**62) - k)) if self.null_policy == "as_value" else code).alias(alias))
-            self._codes = self.df.select(*out).persist()
+            coded = self.df.select(*out)
+            every = coded.columns
+            fewer = self.collapse
+            if fewer is None:
+                n, d = coded.agg(F.count(F.lit(1)), F.approx_count_distinct(F.xxhash64(*every))).first()
+                fewer = 2 * d <= n
+            self._codes = (coded.groupBy(*every).agg(F.count(F.lit(1)).alias("w")) if fewer else coded.withColumn("w", F.lit(1).cast("long"))).persist()
         return self._codes
 
+    @property
+    def size(self) -> int:
+        """Number of rows of codes."""
+        if self._size is None:
+            self._size = self.codes.count()
+        return self._size
+
+    @property
+    def null_free(self) -> bool:
+        """Whether no tuple is left out of any candidate."""
+        if self._null_free is None:
+            firsts = [self.physical(i)[0] for i in range(self.m)]
+            self._null_free = self.codes.where(" or ".join(f"{c} is null" for c in firsts)).isEmpty()
+        return self._null_free
+
+    @property
+    def marginals(self) -> dict[int, tuple[int, float]]:
+        """Of each attribute the number of values and the chance disagreement over all its tuples, by one aggregation."""
+        if self._marginals is None:
+            sets = [[F.col(p) for p in self.physical(i)] for i in range(self.m)]
+            names = [p for i in range(self.m) for p in self.physical(i)]
+            grouped = self.codes.groupingSets(sets, *names).agg(F.sum("w").alias("s"), F.grouping_id().alias("gid"))
+            rows = grouped.groupBy("gid").agg(F.count(F.lit(1)).alias("d"), F.sum("s").alias("n"), F.sum(F.col("s").cast("double") * F.col("s")).alias("q")).collect()
+            width = len(names)
+            by = {r["gid"]: r for r in rows}
+            gid = lambda i: sum(1 << (width - 1 - k) for k, p in enumerate(names) if p not in self.physical(i))
+            self._marginals = {i: (r["d"], 0.0 if r["d"] == 1 else 1 - r["q"] / r["n"] / r["n"]) for i in range(self.m) if (r := by.get(gid(i)))}
+        return self._marginals
+
     def release(self) -> None:
         if self._codes is not None:
             self._codes.unpersist()
-            self._codes = None
+        self._codes = self._marginals = self._null_free = self._size = None
 
 
 def _is_integral(kind: T.DataType) -> bool:
