@@ -155,7 +155,8 @@ def fit(
     if not vocabulary:
         return Model(*_NONE, 0.0, prior)
     place = {w: i for i, w in enumerate(vocabulary)}
-    held = sample.select("pos", F.array_intersect("w", F.array(*map(F.lit, vocabulary))).alias("w")).orderBy("pos", "w").collect()
+    held = sample.select("pos", F.array_intersect("w", F.array(*map(F.lit, vocabulary))).alias("w")).collect()
+    held.sort(key=lambda r: (r["pos"], r["w"]))
     x = np.zeros((len(held), len(vocabulary)))
     for i, r in enumerate(held):
         x[i, [place[w] for w in r["w"]]] = 1

@@ -78,7 +78,11 @@ def resolved(captures: DataFrame, bucket_seconds: int = 86400) -> DataFrame:
     judged = found.select("id", outcome.alias("outcome"), "prior").select("id", "outcome", F.when(fits, F.col("prior.id")).alias("response_id"), F.when(fits, F.col("prior.ts")).alias("response_ts")).distinct()
     stored = c.where(is_full).select(F.col("id").alias("response_id"), F.col("h").alias("stored")).dropDuplicates(["response_id"])
     revisits = c.where(is_304).select("id", "url_key", "ts", "h")
-    out = revisits.join(judged, "id", "left").withColumn("outcome", F.coalesce("outcome", F.lit("no_prior"))).join(stored, "response_id", "left")
+    out = revisits.join(judged, "id", "left").withColumn("outcome", F.coalesce("outcome", F.lit("no_prior")))
+    # Unresolved rows join on ids of their own that no response has, so that nulls do not meet in one task.
+    none = F.struct(F.lit(False).alias("is"), F.col("id").alias("v"))
+    some = F.struct(F.lit(True).alias("is"), F.col("response_id").alias("v"))
+    out = out.withColumn("__k", F.when(F.col("response_id").isNull(), none).otherwise(some)).join(stored.select(some.alias("__k"), "stored"), "__k", "left").drop("__k")
     update = F.map_filter("h", lambda k, _: k.isin(*PERMITTED))
     merged = F.map_concat(F.map_filter("stored", lambda k, _: ~F.map_contains_key(update, k)), update)
     return out.select("id", "url_key", "ts", "outcome", "response_id", "response_ts", F.when(F.col("response_id").isNotNull(), merged).alias("headers"))
