@@ -17,8 +17,8 @@
 No link is lost: two similar sets share a prefix token, so they are in one component already or meet in step 5.
 
 Edge cases. Null, empty and blank texts have an empty set and link with nothing. A text of fewer words than a shingle is
-one token. Repeated rows are one class. An id with several texts joins their classes. Ids must not be null. An empty table
-gives no rows. Tokens are 64-bit hashes.
+one token. Repeated rows are one class. An id with several texts joins their classes. A null id comes
+before all others; where it would name a component, the smallest other id or null does. An empty table gives no rows. Tokens are 64-bit hashes.
 """
 
 from __future__ import annotations

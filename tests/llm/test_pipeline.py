@@ -75,6 +75,14 @@ def test_stages_on_empty_and_odd_tables(spark, sf):
         assert stage(spark, odd.limit(0), sf).count() == 0, name
 
 
+def test_rows_without_ids_survive_the_join_stage(spark, sf):
+    t = "alpha beta gamma delta epsilon zeta eta theta iota kappa lambda mu"
+    rows = [(None, t, "en", "a", 1), (1, t, "en", "a", 1), (2, t, "en", "a", 1), (None, None, None, None, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    got = corpus_pipeline.jaccard_stage(spark, docs, sf).collect()
+    assert sorted(r["doc_id"] or 0 for r in got) == [0, 0, 1]
+
+
 def test_run_gives_whole_copies(spark, sf):
     out = corpus_pipeline.run(spark, sf).select("doc_id", "copies", "copy").collect()
     assert out and all(1 <= r["copy"] <= r["copies"] for r in out)
