@@ -7,7 +7,10 @@
 3. Search. Every document, whole, becomes overlapping windows of words; a window's latent vector is compared with all
    passages of the benchmark block. Candidates have a cosine of at least min_cosine and project on the passage's vector
    at least min_projection of its length (a window that contains the passage among other words projects in full).
-4. Check. A candidate's item and the words around the window are compared word by word: coverage is the length of the
+4. Counting. What the space holds badly is found without it: a leak keeps T of an item's L words, so of any L - T + r of
+   them it keeps r. Each item is watched for by its rarest words, r of them within a stretch of a quarter more than its
+   length, with the r of least expected work. No leak within such a stretch is lost, whatever the rank and the cosines.
+5. Check. A candidate's item and the words around it are compared word by word: coverage is the length of the
    longest common subsequence over that of the item. It is a leak at coverage >= sure, or at >= likely where the item's
    answer (its last line, or else its last quarter) is covered as well as that.
 
@@ -25,7 +28,7 @@ from __future__ import annotations
 import pickle
 from collections.abc import Callable, Iterable, Iterator
 from dataclasses import dataclass
-from itertools import islice
+from itertools import chain, islice
 
 import numpy as np
 import pyarrow as pa
@@ -100,23 +103,28 @@ def _place(terms: np.ndarray, words: np.ndarray) -> np.ndarray:
     return np.where(terms[at] == words, at, -1)
 
 
-def document_frequency(docs: DataFrame, terms: np.ndarray, text: str = "text") -> tuple[int, np.ndarray]:
-    """Number of documents, and of those with each term; all documents count."""
+def document_frequency(docs: DataFrame, terms: np.ndarray, text: str = "text") -> tuple[int, np.ndarray, int, np.ndarray]:
+    """Number of documents, of those with each term, of words, and of occurrences of each term; all documents count."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total, docs_seen = np.zeros(len(terms), np.int64), 0
+        total, times = np.zeros(len(terms), np.int64), np.zeros(len(terms), np.int64)
+        docs_seen = words_seen = 0
         for batch in batches:
             docs_seen += batch.num_rows
             for _, _, row, h in word_rows(batch.column(0)):
                 at = _place(terms, h)
+                words_seen += len(at)
+                times += np.bincount(at[at >= 0], minlength=len(terms))
                 pairs = np.unique(row[at >= 0] * len(terms) + at[at >= 0])
                 total += np.bincount(pairs % len(terms), minlength=len(terms))
         some = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(np.append(some, -1)), pa.array(np.append(total[some], docs_seen))], ["term", "n"])
+        yield pa.RecordBatch.from_arrays([pa.array(np.append(some, -1)), pa.array(np.append(total[some], docs_seen)), pa.array(np.append(times[some], words_seen))], ["term", "n", "times"])
 
-    got = docs.select(F.col(text).cast("string")).mapInArrow(count, "term long, n long").groupBy("term").agg(F.sum("n").alias("n")).toArrow()
-    by = dict(zip(got["term"].to_pylist(), got["n"].to_pylist(), strict=True))
-    return by.get(-1, 0), np.array([by.get(i, 0) for i in range(len(terms))], np.int64)
+    got = docs.select(F.col(text).cast("string")).mapInArrow(count, "term long, n long, times long").groupBy("term").agg(F.sum("n").alias("n"), F.sum("times").alias("times")).toArrow()
+    df, times = np.zeros(len(terms) + 1, np.int64), np.zeros(len(terms) + 1, np.int64)
+    at = got["term"].to_numpy()  # -1, the totals, is the last place
+    df[at], times[at] = got["n"].to_numpy(), got["times"].to_numpy()
+    return int(df[-1]), df[:-1], int(times[-1]), times[:-1]
 
 
 def gram_times(passages: DataFrame, terms: np.ndarray, idf: np.ndarray, m: np.ndarray, block: int = 2048) -> np.ndarray:
@@ -154,9 +162,81 @@ def latent_space(spark: SparkSession, items: Items, terms: np.ndarray, idf: np.n
     return (q @ vector[:, keep]).astype(np.float32)
 
 
+def _stretch(words: int) -> tuple[int, int]:
+    """Length of the parts compared with an item, and the step from one to the next."""
+    return words + words // 2, max(1, words // 4)
+
+
+@dataclass(frozen=True)
+class Watch:
+    """Word hashes in order, the items each is watched for (from start on), and how many of an item's make a candidate."""
+
+    words: np.ndarray
+    start: np.ndarray
+    items: np.ndarray
+    need: np.ndarray
+    span: np.ndarray
+
+    @staticmethod
+    def of(items: Items, terms: np.ndarray, share: np.ndarray, least: float, check_cost: float = 2000.0) -> Watch:
+        """share: of all words of the documents, by term; least: the coverage below which nothing is a leak; check_cost: a
+        candidate's work over that of an occurrence of a watched word."""
+        pairs, needs, spans_ = [], [], []
+        for i, words in enumerate(items.words):
+            n = len(words)
+            kept = max(1, int(np.ceil(least * n - 1e-9)))
+            at = _place(terms, words)
+            at = at[np.lexsort((at, share[at]))]
+            new = np.concatenate([[True], at[1:] != at[:-1]])
+            part, step = _stretch(n)
+            need = np.arange(1, kept + 1)
+            rate = np.maximum(np.cumsum(np.where(new, share[at], 0.0)), 1e-15)[n - kept + need - 1]
+            # Poisson tail of need - 1 more within the span, by its exponential bound.
+            mean, more = rate * (part - step), need - 1
+            tail = np.exp(np.where(more > mean, more - mean - more * np.log(np.maximum(more, 1) / mean), 0.0))
+            r = int(np.argmin(rate * (1 + check_cost * tail))) + 1
+            own = np.unique(at[: n - kept + r])
+            pairs.append(np.stack([own, np.full(len(own), i)]))
+            needs.append(r)
+            spans_.append(part - step)
+        at, of = np.concatenate(pairs, axis=1)
+        order = np.argsort(at, kind="stable")
+        seen, start = np.unique(at[order], return_index=True)
+        return Watch(terms[seen], np.append(start, len(at)), of[order], np.array(needs), np.array(spans_))
+
+    def candidates(self, n: int, row: np.ndarray, h: np.ndarray) -> Iterator[tuple[int, int, int, int]]:
+        """(row, item, first word, end) of stretches that hold enough of an item's watched words, each with all the words
+        that a leak there can reach."""
+        at = _place(self.words, h)
+        some = np.flatnonzero(at >= 0)
+        if not len(some):
+            return
+        at = at[some]
+        many = self.start[at + 1] - self.start[at]
+        within = np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many)
+        item, place = np.divmod(np.sort(self.items[np.repeat(self.start[at], many) + within] * len(h) + np.repeat(some, many)), len(h))
+        last = np.arange(len(item)) + self.need[item] - 1
+        a = np.flatnonzero(last < len(item))
+        b = last[a]
+        near = (item[a] == item[b]) & (place[b] - place[a] < self.span[item[a]])
+        a, b = a[near], b[near]
+        a, b = (x[row[place[a]] == row[place[b]]] for x in (a, b))
+        if not len(a):
+            return
+        first = np.searchsorted(row, np.arange(n + 1))
+        i, r = item[a], row[place[a]]
+        lo = np.maximum(place[b] + 1 - self.span[i], first[r]) - first[r]
+        hi = np.minimum(place[a] + self.span[i], first[r + 1]) - first[r]
+        new = np.concatenate([[True], (i[1:] != i[:-1]) | (r[1:] != r[:-1]) | (lo[1:] > hi[:-1])])
+        begin = np.flatnonzero(new)
+        end = np.append(begin[1:], len(a)) - 1
+        yield from zip(r[begin].tolist(), i[begin].tolist(), lo[begin].tolist(), hi[end].tolist(), strict=True)
+
+
 @dataclass(frozen=True)
 class Search:
     items: Items
+    watch: Watch
     terms: np.ndarray
     weights: np.ndarray  # terms x rank: idf times latent vector
     window: int
@@ -173,7 +253,7 @@ class Search:
         return out
 
     def candidates(self, n: int, row: np.ndarray, h: np.ndarray, targets: np.ndarray) -> Iterator[tuple[int, int, int, int]]:
-        """(row, item, first word, end) of windows to check; words count from the row's first."""
+        """(row, item, first word, end) of windows near a passage in the space; words count from the row's first."""
         first = np.searchsorted(row, np.arange(n + 1))
         blocks = -(-np.diff(first) // BLOCK)
         base = np.concatenate([[0], np.cumsum(blocks)])
@@ -207,6 +287,13 @@ class Search:
                 r = owner[s + w]
                 yield int(r), self.items.passages[p][0], int((b - base[r]) * BLOCK), int(min((end[s + w] - base[r]) * BLOCK, first[r + 1] - first[r]))
 
+    def stretches(self, n: int, row: np.ndarray, h: np.ndarray, targets: np.ndarray, first: np.ndarray) -> Iterator[tuple[int, int, int, int]]:
+        """The candidates with the words around them."""
+        for r, i, a, b in self.candidates(n, row, h, targets):
+            size = len(self.items.words[i])
+            slack = max(self.window // 2, size + size // 4 - (b - a) // 2)
+            yield r, i, max(0, a - slack), int(min(first[r + 1] - first[r], b + slack))
+
     def found(self, texts: pa.Array) -> dict[tuple[int, int], tuple[float, float, int, int]]:
         """(row, item): (coverage, answer's coverage, first word, end) of each leak."""
         targets = self.passages()
@@ -214,20 +301,21 @@ class Search:
         for origin, n, row, h in word_rows(texts):
             first = np.searchsorted(row, np.arange(n + 1))
             seen: set[tuple[int, int, int, int]] = set()
-            for r, i, a, b in self.candidates(n, row, h, targets):
-                item, text = self.items.words[i], h[first[r] : first[r + 1]]
-                slack = max(self.window // 2, len(item) + len(item) // 4 - (b - a) // 2)
-                lo, hi = max(0, a - slack), min(len(text), b + slack)
+            for r, i, lo, hi in chain(self.stretches(n, row, h, targets, first), self.watch.candidates(n, row, h)):
                 if (r, i, lo, hi) in seen or found.get((origin + r, i), (0.0,))[0] == 1.0:
                     continue
                 seen.add((r, i, lo, hi))
+                item, answer, text = self.items.words[i], self.items.answers[i], h[first[r] : first[r + 1]]
                 # The item may begin anywhere in the stretch: the best of parts of one and a half times its length.
-                part, step = len(item) + len(item) // 2, max(1, len(item) // 4)
-                best, x = max((common_words(item, text[x : min(x + part, hi)]) / len(item), -x) for x in range(lo, max(lo + 1, hi - part + step), step))
-                x, answer = -x, self.items.answers[i]
-                told = common_words(answer, text[x : min(x + part, hi)]) / len(answer) if len(answer) else 1.0
-                if (best >= self.sure or (best >= self.likely and told >= self.likely)) and best > found.get((origin + r, i), (0.0,))[0]:
-                    found[(origin + r, i)] = (best, told, x, min(x + part, hi))
+                part, step = _stretch(len(item))
+                for x in range(lo, max(lo + 1, hi - part + step), step):
+                    words = text[x : min(x + part, hi)]
+                    best = common_words(item, words) / len(item)
+                    if best < min(self.sure, self.likely) or best <= found.get((origin + r, i), (0.0,))[0]:
+                        continue
+                    told = common_words(answer, words) / len(answer) if len(answer) else 1.0
+                    if best >= self.sure or told >= self.likely:
+                        found[(origin + r, i)] = (best, told, x, min(x + part, hi))
         return found
 
     def hits(self, batches: Iterator[pa.RecordBatch], schema: pa.Schema) -> Iterator[pa.RecordBatch]:
@@ -276,12 +364,13 @@ def searches(
         if not items.ids:
             continue
         terms = np.unique(np.concatenate(items.words))
-        n, df = document_frequency(slim, terms)
+        n, df, n_words, times = document_frequency(slim, terms)
+        watch = Watch.of(items, terms, times / max(n_words, 1), min(sure, likely))
         rare = _telling(items, terms, df, max_share * n)
         terms, idf = terms[rare], np.log((n + 1) / (df[rare] + 1)) + 1e-3
         if len(terms):
             space = latent_space(spark, items, terms, idf, rank)
-            yield Search(items, terms, (space * idf[:, None]).astype(np.float32), window, min_cosine, min_projection, sure, likely)
+            yield Search(items, watch, terms, (space * idf[:, None]).astype(np.float32), window, min_cosine, min_projection, sure, likely)
 
 
 def leaks(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str = "text", item_key: str = "item_id", **options: float) -> DataFrame:

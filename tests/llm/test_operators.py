@@ -445,6 +445,33 @@ def test_leaks_found_and_decoys_left(spark):
     assert {r["doc_id"] for r in decontaminate.clean(d, b).collect()} == {k for k, _ in docs} - {k for k, _ in truth}
 
 
+def test_leaks_of_common_words_are_found_whatever_the_space(spark):
+    """Items of common words beside many of rare ones, in a space of few dimensions: whole and with a fifth or a quarter changed."""
+    rng = random.Random(5)
+    common = [(i, " ".join(f"c{rng.randrange(40)}" for _ in range(20))) for i in range(12)]
+    rare = [(100 + i, " ".join(f"r{i}x{k}" for k in range(30))) for i in range(60)]
+    docs, truth = [], set()
+    for d in range(120):
+        body = [f"c{rng.randrange(40)}" if rng.random() < 0.7 else f"r{rng.randrange(60)}x{rng.randrange(30)}" for _ in range(200)]
+        if d % 2 == 0:
+            i = d // 2 % 12
+            w = common[i][1].split()
+            for k in rng.sample(range(20), (0, 4, 5)[d // 2 % 3]):
+                w[k] = f"z{k}"
+            at = rng.randrange(len(body))
+            body[at:at] = w
+        docs.append((d, " ".join(body)))
+        text = [decontaminate.words_of(x) for x in (docs[-1][1], *(w for _, w in common))]
+        for i, item in enumerate(text[1:]):
+            parts = [text[0][x : x + 25] for x in range(max(1, len(text[0]) - 24))]
+            if any((c := decontaminate.common_words(item, p)) >= 16 or (c >= 13 and decontaminate.common_words(item[-5:], p) >= 4) for p in parts):
+                truth.add((d, i))
+    d, b = spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(common + rare, "item_id long, text string")
+    got = {(r["key"], r["item_id"]) for r in decontaminate.leaks(d, b, rank=8).collect()}
+    assert len(truth) >= 40 and truth <= got
+    assert {r["doc_id"] for r in decontaminate.clean(d, b, rank=8).collect()} <= {k for k, _ in docs} - {k for k, _ in truth}
+
+
 def test_random_projection_finds_the_singular_space(spark):
     rng = random.Random(3)
     items = decontaminate.Items.of([(i, made(rng, 40, 300), None) for i in range(40)], 8, 36)
