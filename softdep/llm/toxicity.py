@@ -8,8 +8,10 @@ NumPy on the presence of words and word beginnings. With class prior c and logis
 the second term being the negatives' risk with the positives' share taken out of U. Where a step makes that term
 negative, the step goes against it instead, so that the model cannot fit by driving it below zero.
 
-The fit is bounded: at most max_positive and max_unlabelled rows, the first in the order of a hash of their ids. The class
-prior is the share of toxic rows among all labelled training rows. Every text is scored, whole.
+The words are chosen by their frequencies in P and in all documents of the training folds; every word that tells has a
+weight. Only the positives and the rows of the gradient fit are bounded: at most max_positive and max_unlabelled, the first in
+the order of a hash of their ids. The class prior is the share of toxic rows among all labelled training rows. Every text is
+scored, whole.
 
 Edge cases. A null or empty text has no words and gets the bias's score. Without labels, or with no telling word, every
 text gets the prior (0 without labels). Null labels are ignored; conflicting ones of one id count as toxic. Repeated rows
@@ -53,6 +55,28 @@ def in_training(key: Column) -> Column:
     return F.coalesce(F.crc32(key.cast("string")) % 5 != 0, F.lit(False))
 
 
+def present(words: np.ndarray, texts: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+    """(first row, rows, row, place in words) of runs of texts: each of the sorted words that occurs in a row once."""
+    for first, n, row, h in features(texts):
+        at = np.minimum(np.searchsorted(words, h), len(words) - 1)
+        hit = words[at] == h
+        pairs = np.unique(row[hit] * len(words) + at[hit])
+        yield first, n, *np.divmod(pairs, len(words))
+
+
+class Sparse:
+    """Rows of zeros and ones by the columns of the ones."""
+
+    def __init__(self, row: np.ndarray, column: np.ndarray, shape: tuple[int, int]):
+        self.row, self.column, self.shape = row, column, shape
+
+    def times(self, w: np.ndarray) -> np.ndarray:
+        return np.bincount(self.row, w[self.column], self.shape[0])
+
+    def back(self, v: np.ndarray) -> np.ndarray:
+        return np.bincount(self.column, v[self.row], self.shape[1])
+
+
 @dataclass(frozen=True)
 class Model:
     """Feature hashes in order, their weights, the bias and the class prior."""
@@ -62,43 +86,55 @@ class Model:
     bias: float
     prior: float
 
-    def present(self, texts: pa.Array) -> np.ndarray:
-        """Text by feature, whether it occurs."""
-        out = np.zeros((len(texts), len(self.words)), bool)
-        if len(self.words):
-            for first, _, row, h in features(texts):
-                at = np.minimum(np.searchsorted(self.words, h), len(self.words) - 1)
-                hit = self.words[at] == h
-                out[row[hit] + first, at[hit]] = True
-        return out
-
     def score(self, texts: pa.Array) -> np.ndarray:
         if not len(self.words):
             return np.full(len(texts), self.prior)
-        return 1 / (1 + np.exp(-np.clip(self.bias + self.present(texts) @ self.weights, -700, 700)))
+        sums = np.zeros(len(texts))
+        for first, n, row, at in present(self.words, texts):
+            sums[first : first + n] = np.bincount(row, self.weights[at], n)
+        return 1 / (1 + np.exp(-np.clip(self.bias + sums, -700, 700)))
 
 
 _NONE = (np.zeros(0, np.uint64), np.zeros(0))
 
 
-def fit_weights(pos: np.ndarray, unl: np.ndarray, prior: float, steps: int = 400, rate: float = 0.1, decay: float = 1e-4) -> tuple[np.ndarray, float]:
+def fit_weights(pos: np.ndarray | Sparse, unl: np.ndarray | Sparse, prior: float, steps: int = 400, rate: float = 0.1, decay: float = 1e-4) -> tuple[np.ndarray, float]:
     """Weights and bias by Adam on whole-sample gradients of the non-negative risk."""
-    d = pos.shape[1]
+    p, u = (x if isinstance(x, Sparse) else Sparse(*np.nonzero(x), x.shape) for x in (pos, unl))
+    d = p.shape[1]
     w = np.zeros(d + 1)
-    p, u = (np.hstack([x, np.ones((len(x), 1))]) for x in (pos, unl))
     m, v = np.zeros(d + 1), np.zeros(d + 1)
     sig = lambda z: 1 / (1 + np.exp(-np.clip(z, -500, 500)))
+    mean = lambda x, y: np.append(x.back(y), y.sum()) / x.shape[0]
     for t in range(1, steps + 1):
-        gp, gu = p @ w, u @ w
+        gp, gu = p.times(w[:-1]) + w[-1], u.times(w[:-1]) + w[-1]
         away = np.logaddexp(0, gu).mean() - prior * np.logaddexp(0, gp).mean()
-        g_neg = u.T @ sig(gu) / len(u) - prior * (p.T @ sig(gp)) / len(p)
-        g = -g_neg if away < 0 else prior * (p.T @ (sig(gp) - 1)) / len(p) + g_neg
+        g_neg = mean(u, sig(gu)) - prior * mean(p, sig(gp))
+        g = -g_neg if away < 0 else prior * mean(p, sig(gp) - 1) + g_neg
         g = g + decay * np.append(w[:-1], 0)
         m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
         w = w - rate * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.999**t)) + 1e-8)
     return w[:-1], float(w[-1])
 
 
+def row_frequency(texts: DataFrame, words: np.ndarray) -> tuple[int, np.ndarray]:
+    """Number of rows of texts, and of those with each of the sorted words."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total, seen = np.zeros(len(words), np.int64), 0
+        for batch in batches:
+            seen += batch.num_rows
+            for _, _, _, at in present(words, batch.column(0)):
+                total += np.bincount(at, minlength=len(words))
+        some = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(np.append(some, -1)), pa.array(np.append(total[some], seen))], ["word", "n"])
+
+    got = texts.mapInArrow(count, "word long, n long").groupBy("word").agg(F.sum("n").alias("n")).toArrow()
+    n = np.zeros(len(words) + 1, np.int64)
+    n[got["word"].to_numpy()] = got["n"].to_numpy()  # -1, the total, is the last place
+    return int(n[-1]), n[:-1]
+
+
 def fit(
     docs: DataFrame,
     labels: DataFrame,
@@ -106,14 +142,13 @@ def fit(
     text: str = "text",
     max_positive: int = 3000,
     max_unlabelled: int = 6000,
-    max_words: int = 256,
     min_g2: float = 24.0,
     min_share: float = 0.6,
 ) -> Model:
-    """A model from the training folds. Only counts, the chosen words and their presence in the sample reach the driver.
+    """A model from the training folds. Only counts, the words and their presence in the sample reach the driver.
 
-    The words are those of the largest G2 between P and U for which c * P(word | P) / P(word | U), the share of toxic
-    texts among those with the word, is at least min_share.
+    The words are those in three positives or more, of a G2 between P and all training rows of at least min_g2, for which
+    c * P(word | P) / P(word | U), the share of toxic texts among those with the word, is at least min_share.
     """
     bounded_batches(docs.sparkSession)
     known = labels.where(in_training(F.col(key)) & F.col("toxic").isNotNull()).groupBy(F.col(key).alias("k")).agg(F.max("toxic").alias("toxic"))
@@ -137,34 +172,36 @@ def fit(
     n_p, n_u = (sum(r["count"] for r in rows) for rows in (lambda c: ([r for r in c if r["pos"]], [r for r in c if not r["pos"]]))(sample.groupBy("pos").count().collect()))
     if not n_p or not n_u:
         return Model(*_NONE, 0.0, prior)
-    in_p, in_u = F.col("p") / n_p, F.col("u") / n_u
-    term = lambda a, b: F.when(a > 0, a * F.log(a / b)).otherwise(0.0)
-    share = (F.col("p") + F.col("u")) / (n_p + n_u)
-    g2 = 2 * (n_p * (term(in_p, share) + term(1 - in_p, 1 - share)) + n_u * (term(in_u, share) + term(1 - in_u, 1 - share)))
-    telling = (
-        sample.select("pos", F.explode("w").alias("word"))
-        .groupBy("word")
-        .agg(F.sum(F.col("pos").cast("long")).alias("p"), F.sum((~F.col("pos")).cast("long")).alias("u"))
-        .where((F.col("p") >= 3) & (prior * in_p >= min_share * in_u) & (in_p > 2 * in_u) & (share < 1))
-        .select("word", g2.alias("g2"))
-        .where(F.col("g2") >= min_g2)
-        .orderBy(F.desc("g2"), "word")
-        .limit(max_words)
-    )
-    vocabulary = sorted(r["word"] for r in telling.collect())
-    if not vocabulary:
+    told = sample.where("pos").select(F.explode("w").alias("word")).groupBy("word").agg(F.count("*").alias("p")).where("p >= 3").toArrow()
+    vocabulary = told["word"].to_numpy().astype(np.uint64)
+    order = np.argsort(vocabulary)
+    vocabulary, p = vocabulary[order], told["p"].to_numpy()[order]
+    if not len(vocabulary):
         return Model(*_NONE, 0.0, prior)
-    place = {w: i for i, w in enumerate(vocabulary)}
-    held = sample.select("pos", F.array_intersect("w", F.array(*map(F.lit, vocabulary))).alias("w")).collect()
+    # The positives are few and bounded; how often their words occur is counted over every training row.
+    n_all, u = row_frequency(docs.where(in_training(F.col(key))).select(F.col(text).cast("string")), vocabulary)
+    in_p, in_u, share = p / n_p, u / n_all, (p + u) / (n_p + n_all)
+    term = lambda a, b: np.where(a > 0, a * np.log(np.maximum(a, 1e-300) / np.maximum(b, 1e-300)), 0.0)
+    g2 = 2 * (n_p * (term(in_p, share) + term(1 - in_p, 1 - share)) + n_all * (term(in_u, share) + term(1 - in_u, 1 - share)))
+    vocabulary = vocabulary[(prior * in_p >= min_share * in_u) & (in_p > 2 * in_u) & (share < 1) & (g2 >= min_g2)]
+    if not len(vocabulary):
+        return Model(*_NONE, 0.0, prior)
+
+    @F.arrow_udf("array<long>")
+    def places(w: pa.Array) -> pa.Array:
+        found = []
+        for x in w:
+            h = np.array(x.as_py(), np.int64).astype(np.uint64)
+            at = np.minimum(np.searchsorted(vocabulary, h), len(vocabulary) - 1)
+            found.append(at[vocabulary[at] == h])
+        return pa.array(found, pa.list_(pa.int64()))
+
+    held = sample.select("pos", F.array_sort(places("w")).alias("w")).collect()
     held.sort(key=lambda r: (r["pos"], r["w"]))
-    x = np.zeros((len(held), len(vocabulary)))
-    for i, r in enumerate(held):
-        x[i, [place[w] for w in r["w"]]] = 1
-    is_pos = np.array([r["pos"] for r in held])
-    weights, bias = fit_weights(x[is_pos], x[~is_pos], prior)
-    words_u = np.array(vocabulary, np.int64).astype(np.uint64)
-    order = np.argsort(words_u)
-    return Model(words_u[order], weights[order], bias, prior)
+    sides = []
+    for side in ([r["w"] for r in held if r["pos"]], [r["w"] for r in held if not r["pos"]]):
+        sides.append(Sparse(np.repeat(np.arange(len(side)), [len(w) for w in side]), np.array([x for w in side for x in w], np.int64), (len(side), len(vocabulary))))
+    return Model(vocabulary, *fit_weights(*sides, prior), prior)
 
 
 def scored(model: Model, text: Column) -> Column:

@@ -157,6 +157,19 @@ def test_toxicity_held_out_accuracy(spark):
     assert (again.words == model.words).all() and np.allclose(again.weights, model.weights)
 
 
+def test_toxicity_counts_words_of_all_rows(spark):
+    """No cap on the words, and a word's frequency is that of all training rows, not of the fit's sample."""
+    rng = random.Random(4)
+    docs = [(i, f"{made(rng, 10)} {i % 300:03d}slur") for i in range(2700)] + [(i, f"{made(rng, 10)} fine") for i in range(2700, 11_700)]
+    d = spark.createDataFrame(docs, "doc_id long, text string")
+    marks = spark.createDataFrame([(i, int(i < 2700)) for i in range(11_700)], "doc_id long, toxic int")
+    model = toxicity.fit(d, marks, min_g2=3.0)
+    assert len(model.words) > 256
+    n, u = toxicity.row_frequency(d.select("text"), np.sort(decontaminate.words_of("fine other")))
+    assert n == 11_700 and sorted(u) == [0, 9000]
+    assert (model.score(pa.array([f"{i:03d}slur" for i in range(300)])) >= 0.5).mean() > 0.9
+
+
 def test_non_negative_risk_on_toy_data():
     rng = np.random.default_rng(0)
     pos = (rng.random((200, 2)) < [0.9, 0.5]).astype(float)
