@@ -3,8 +3,8 @@
 The documents are dealt into chunks of a few MB by a hash. A chunk lists its distinct words, pairs and triples of words
 once, with their training counts, and sends each to the shard that its hash names (a pair or triple by its first two
 words). A shard merges what all chunks sent into one trie: level by level the keys below their parents, as Elias-Fano
-sequences, with monotone Elias-Fano pointers to the children and a byte for each entry, the quantised logarithm of its
-joint probability. It answers every chunk's list by context-relative successor search, a byte for each n-gram, and the
+sequences, with monotone Elias-Fano pointers to the children and a byte for each entry, its
+quantised count, smoothed when a text is scored. It answers every chunk's list by context-relative successor search, a byte for each n-gram, and the
 chunk scores its documents from the answers. An n-gram moves once for each chunk that has it, so frequent ones are no
 burden; shards and chunks are as many as the input's size asks for; no model is broadcast.
 
