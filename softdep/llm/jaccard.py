@@ -17,8 +17,9 @@
 No link is lost: two similar sets share a prefix token, so they are in one component already or meet in step 5.
 
 Edge cases. Null, empty and blank texts have an empty set and link with nothing. A text of fewer words than a shingle is
-one token. Repeated rows are one class. An id with several texts joins their classes. A null id comes
-before all others; where it would name a component, the smallest other id or null does. An empty table gives no rows. Tokens are 64-bit hashes.
+one token. Repeated rows are one class. An id with several texts joins their classes. A null id
+stands for a class only where no other does, then by a number of its own above all ids, and links like others; a component
+is named by its smallest other id, or null. An empty table gives no rows. Tokens are 64-bit hashes.
 """
 
 from __future__ import annotations
@@ -154,7 +155,7 @@ def probes(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int =
     number = F.pmod(F.xxhash64(F.col(key), texts), F.lit(chunks)).cast("int")
     dealt = docs.select(F.col(key).alias("key"), texts.alias("text"), number.alias("chunk")).repartition(chunks, "chunk")
     info = dealt.groupBy("chunk").applyInArrow(_described(size), f"chunk int, key {kind}, n long, s1 long, s2 long")
-    standing = info.where("n > 0").groupBy("n", "s1", "s2").agg(F.min(F.struct("key", "chunk")).alias("r")).select("r.chunk", "r.key", "s1", "s2")
+    standing = info.where("n > 0").groupBy("n", "s1", "s2").agg(F.min(F.struct(F.col("key").isNull(), "key", "chunk")).alias("r")).select("r.chunk", "r.key", "s1", "s2")
     told = dealt.groupBy("chunk").cogroup(standing.groupBy("chunk")).applyInArrow(_told(size, shards, bits), "shard int, chunk int, gaps binary, held binary")
     codes = told.groupBy("shard").applyInArrow(_counted, "chunk int, shard int, codes binary")
     side = standing.unionByName(codes, allowMissingColumns=True)
@@ -175,9 +176,24 @@ def _sizes_fit(na: str, nb: str, percent: int) -> F.Column:
     return (100 * F.col(na) >= percent * F.col(nb)) & (100 * F.col(nb) >= percent * F.col(na))
 
 
+def _ids(probed: DataFrame) -> tuple[F.Column, F.Column]:
+    """The id that stands for a class of (key, n, s1, s2), and whether an id in "component" is a real one: without a key, an
+    id above all keys made from the class's signature."""
+    kind = dict(probed.dtypes)["key"]
+    top = probed.agg(F.max("key")).first()[0]
+    if kind == "string":
+        mine = F.concat(F.lit(top or ""), F.lit("\x00"), F.sha2(F.concat_ws(" ", "n", "s1", "s2"), 256))
+        real = F.col("component") <= F.lit(top or "") if top is not None else F.lit(False)
+    else:
+        top = max(top or 0, 0)
+        mine = F.lit(top) + 1 + F.pmod(F.xxhash64("n", "s1", "s2"), F.lit(max((1 << 63) - 2 - top, 1)))
+        real = F.col("component") <= F.lit(top)
+    return F.coalesce(F.col("key").cast("string" if kind == "string" else "long"), mine), real
+
+
 def linked(probed: DataFrame, percent: int = 80, stars: tuple[int, ...] = (1, 3, 8, 16), group_size: int = 16) -> DataFrame:
     """(id, component) of the standing documents that link with others (steps 4 and 5)."""
-    sets = written(probed.where("prefix is not null").select(F.col("key").alias("id"), "n", "prefix", "tokens"), "sets")
+    sets = written(probed.where("prefix is not null").select(_ids(probed)[0].alias("id"), "n", "prefix", "tokens"), "sets")
     holds = written(sets.select("id", "n", F.explode("prefix").alias("token")), "holds")
     edges, seed = None, 0
     for many in stars:
@@ -233,6 +249,8 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int
     """(key, n_shingles, component_id) of every document; component_id is the smallest id reachable by links."""
     probed = probes(docs, key, text, size, percent, **options)
     comp = written(linked(probed, percent), "linked")
-    stands = probed.where("n > 0").groupBy("n", "s1", "s2").agg(F.min("key").alias("id")).join(comp, "id", "left").select("n", "s1", "s2", F.coalesce("component", "id").alias("component_id"))
+    own, real = _ids(probed)
+    stands = probed.where("n > 0").groupBy("n", "s1", "s2").agg(F.min("key").alias("key")).withColumn("id", own).join(comp, "id", "left").withColumn("component", F.coalesce("component", "id"))
+    stands = stands.select("n", "s1", "s2", F.when(real, F.col("component")).cast(dict(probed.dtypes)["key"]).alias("component_id"))
     out = probed.select("key", F.col("n").alias("n_shingles"), "n", "s1", "s2").join(stands, ["n", "s1", "s2"], "left")
     return out.select("key", "n_shingles", F.coalesce("component_id", "key").alias("component_id"))

@@ -356,6 +356,20 @@ def test_jaccard_on_odd_rows(odd, empty):
     assert jaccard.classes(empty).count() == 0
 
 
+@pytest.mark.parametrize("kind", ["long", "string"])
+def test_rows_without_ids_keep_links(spark, kind):
+    """A copy without an id beside one with, its near copy, and a text without any id between two that link by it alone."""
+    w = [f"t{k}" for k in range(100)]
+    near = [*w[:-3], "x", "y", "z"]
+    mid = [f"m{k}" for k in range(100)]
+    left, right = [*(f"l{k}" for k in range(9)), *mid[9:]], [*mid[:-9], *(f"r{k}" for k in range(9))]
+    rows = [(None, w), (3, w), (5, near), (8, left), (None, mid), (9, right), (7, ["u", "v"])]
+    cast = (lambda k: k) if kind == "long" else (lambda k: None if k is None else str(k))
+    docs = spark.createDataFrame([(cast(k), " ".join(t)) for k, t in rows], f"doc_id {kind}, text string")
+    got = {r["key"]: r["component_id"] for r in jaccard.classes(docs).where("key is not null").collect()}
+    assert got == {cast(k): cast(v) for k, v in {3: 3, 5: 3, 7: 7, 8: 8, 9: 8}.items()}
+
+
 def test_components_against_union_find(spark):
     rng = random.Random(3)
     edges = [(rng.randrange(200), rng.randrange(200)) for _ in range(150)] + [(i, i + 1) for i in range(300, 380)]
