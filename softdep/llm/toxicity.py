@@ -1,26 +1,30 @@
 """Toxicity scores from positive and unlabelled texts, with a non-negative risk estimator.
 
-Confirmed toxic texts (P) and texts drawn from all training folds without regard to labels (U) train a linear model in
-NumPy on the presence of words and word beginnings. With class prior c and logistic loss l, the risk is
+Confirmed toxic texts (P) and all texts of the training folds without regard to labels (U) train a linear model in NumPy on
+the presence of words and word beginnings. With class prior c and logistic loss l, the risk is
 
     c * mean_P l(g) + max(0, mean_U l(-g) - c * mean_P l(-g)),
 
 the second term being the negatives' risk with the positives' share taken out of U. Where a step makes that term
 negative, the step goes against it instead, so that the model cannot fit by driving it below zero.
 
-The words are chosen by their frequencies in P and in all documents of the training folds; every word that tells has a
-weight. Only the positives and the rows of the gradient fit are bounded: at most max_positive and max_unlabelled, the first in
-the order of a hash of their ids. The class prior is the share of toxic rows among all labelled training rows. Every text is
-scored, whole.
+Features are hashes of words. Candidates are those of three positives or more, and those in a hundredth or more of all
+training rows; how many rows of U hold each is counted over every training row. Features are those whose frequencies in P and U differ by a G2
+of min_g2, if c * P(word | P) / P(word | U), the share of toxic texts among those with the word, is min_share or more (they
+tell toxic texts) or under c (they tell others). Their number has no cap, their weights either sign. U's part of risk and
+gradient is summed over every training row, a pass over the rows' feature numbers for each step. Only P is bounded, at
+max_positive rows, the first in the order of a hash of their ids. The class prior is the share of toxic rows among all
+labelled training rows. Every text is scored, whole.
 
 Edge cases. A null or empty text has no words and gets the bias's score. Without labels, or with no telling word, every
 text gets the prior (0 without labels). Null labels are ignored; conflicting ones of one id count as toxic. Repeated rows
-are scored alike. A null id belongs to no fold: it is held out.
+each count and are scored alike; texts of equal words tie. A null id belongs to no fold: it is held out. Very long texts are
+read in pieces of whole rows. Other columns, whatever their names, are neither read nor changed.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -28,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from softdep.llm._store import bounded_batches
+from softdep.llm._store import bounded_batches, written
 from softdep.llm._text import Hashes, lowered_latin, pieces, spans
 
 #: Beginnings of words, in bytes, stand beside whole words, so that inflected forms share what is learnt.
@@ -98,23 +102,56 @@ class Model:
 _NONE = (np.zeros(0, np.uint64), np.zeros(0))
 
 
-def fit_weights(pos: np.ndarray | Sparse, unl: np.ndarray | Sparse, prior: float, steps: int = 400, rate: float = 0.1, decay: float = 1e-4) -> tuple[np.ndarray, float]:
-    """Weights and bias by Adam on whole-sample gradients of the non-negative risk."""
-    p, u = (x if isinstance(x, Sparse) else Sparse(*np.nonzero(x), x.shape) for x in (pos, unl))
-    d = p.shape[1]
-    w = np.zeros(d + 1)
-    m, v = np.zeros(d + 1), np.zeros(d + 1)
-    sig = lambda z: 1 / (1 + np.exp(-np.clip(z, -500, 500)))
-    mean = lambda x, y: np.append(x.back(y), y.sum()) / x.shape[0]
+def softplus(x: np.ndarray) -> np.ndarray:
+    return np.logaddexp(0, x)
+
+
+def sigmoid(x: np.ndarray) -> np.ndarray:
+    return 1 / (1 + np.exp(-np.clip(x, -500, 500)))
+
+
+@dataclass(frozen=True)
+class Side:
+    """Sums over rows at some weights: their number, of softplus(g), of sigmoid(g), and of sigmoid(g) by feature."""
+
+    n: float
+    loss: float
+    bias: float
+    weights: np.ndarray
+
+    @staticmethod
+    def of(x: Sparse, w: np.ndarray) -> Side:
+        g = x.times(w[:-1]) + w[-1]
+        s = sigmoid(g)
+        return Side(x.shape[0], float(softplus(g).sum()), float(s.sum()), x.back(s))
+
+    @property
+    def gradient(self) -> np.ndarray:
+        """Of the mean of softplus(g)."""
+        return np.append(self.weights, self.bias) / self.n
+
+
+def risk(pos: Side, unl: Side, share: np.ndarray, g_mean: float, prior: float) -> tuple[float, float, np.ndarray, np.ndarray]:
+    """(risk without the correction, the negatives' part, gradient of the risk, gradient of the negatives' part). share: of
+    the positives with each feature, and 1; g_mean: the positives' mean of g."""
+    away = unl.loss / unl.n - prior * pos.loss / pos.n
+    down = unl.gradient - prior * pos.gradient
+    # l(g) = softplus(-g) = softplus(g) - g.
+    return prior * (pos.loss / pos.n - g_mean) + away, away, prior * (pos.gradient - share) + down, down
+
+
+def fit_weights(pos: Sparse, unlabelled: Callable[[np.ndarray], Side], prior: float, steps: int = 40, rate: float = 0.3, decay: float = 1e-4) -> np.ndarray:
+    """Weights, then the bias, by Adam with a falling rate on gradients of the non-negative risk over all rows. unlabelled
+    gives U's sums at some weights."""
+    d = pos.shape[1]
+    w, m, v = np.zeros(d + 1), np.zeros(d + 1), np.zeros(d + 1)
+    share = np.append(pos.back(np.ones(pos.shape[0])) / pos.shape[0], 1.0)
     for t in range(1, steps + 1):
-        gp, gu = p.times(w[:-1]) + w[-1], u.times(w[:-1]) + w[-1]
-        away = np.logaddexp(0, gu).mean() - prior * np.logaddexp(0, gp).mean()
-        g_neg = mean(u, sig(gu)) - prior * mean(p, sig(gp))
-        g = -g_neg if away < 0 else prior * mean(p, sig(gp) - 1) + g_neg
-        g = g + decay * np.append(w[:-1], 0)
+        _, away, g, down = risk(Side.of(pos, w), unlabelled(w), share, float(share @ w), prior)
+        g = (-down if away < 0 else g) + decay * np.append(w[:-1], 0)
         m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
-        w = w - rate * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.999**t)) + 1e-8)
-    return w[:-1], float(w[-1])
+        w = w - rate * (1.03 - t / steps) * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.999**t)) + 1e-8)
+    return w
 
 
 def row_frequency(texts: DataFrame, words: np.ndarray) -> tuple[int, np.ndarray]:
@@ -135,73 +172,129 @@ def row_frequency(texts: DataFrame, words: np.ndarray) -> tuple[int, np.ndarray]
     return int(n[-1]), n[:-1]
 
 
+def frequent(texts: DataFrame, share: float) -> np.ndarray:
+    """Hashes that may be in at least that share of all rows: each is so in some partition, which names it."""
+
+    def name(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        words, counts, since = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        fresh: list[np.ndarray] = []
+        rows = before = 0
+
+        def merged() -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+            """A word that falls short of the share since it came is forgotten: if it reaches the share of all rows, it does
+            so in those to come alone."""
+            w, n = np.unique(np.concatenate(fresh), return_counts=True)
+            both, at = np.unique(np.concatenate([words, w]), return_inverse=True)
+            total = np.bincount(at, np.concatenate([counts, n]), len(both)).astype(np.int64)
+            came = np.full(len(both), before, np.int64)
+            came[at[: len(words)]] = since
+            keep = total >= share * (rows - came)
+            return both[keep], total[keep], came[keep]
+
+        for batch in batches:
+            for _, n, row, h in features(batch.column(0)):
+                order = np.lexsort((h, row))
+                row, h = row[order], h[order]
+                new = np.ones(len(h), bool)
+                new[1:] = (row[1:] != row[:-1]) | (h[1:] != h[:-1])
+                fresh.append(h[new])
+                rows += n
+                if sum(map(len, fresh)) > 1 << 20:
+                    words, counts, since = merged()
+                    fresh, before = [], rows
+        if fresh:
+            words, counts, since = merged()
+        yield pa.RecordBatch.from_arrays([pa.array(words.astype(np.int64))], ["word"])
+
+    got = texts.mapInArrow(name, "word long").distinct().toArrow()
+    return np.sort(got["word"].to_numpy().astype(np.uint64))
+
+
+def numbered(texts: DataFrame, words: np.ndarray) -> DataFrame:
+    """(w array<int>): for each row the places of the sorted words that it holds, as a written table."""
+
+    def number(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for _, n, row, at in present(words, batch.column(0)):
+                cuts = np.searchsorted(row, np.arange(n + 1)).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array(cuts), pa.array(at.astype(np.int32)))], ["w"])
+
+    return written(texts.mapInArrow(number, "w array<int>"), "numbered")
+
+
+def _sparse(lists: pa.Array, d: int) -> Sparse:
+    sizes = np.diff(lists.offsets.to_numpy())
+    return Sparse(np.repeat(np.arange(len(lists)), sizes), lists.flatten().to_numpy(), (len(lists), d))
+
+
+def summed(rows: DataFrame, d: int) -> Callable[[np.ndarray], Side]:
+    """U's sums at given weights, by a pass over rows(w array<int>); a value for each feature reaches the driver."""
+
+    def at(w: np.ndarray) -> Side:
+        def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            n, loss, bias, weights = 0.0, 0.0, 0.0, np.zeros(d)
+            for batch in batches:
+                if batch.num_rows:
+                    own = Side.of(_sparse(batch.column(0), d), w)
+                    n, loss, bias, weights = n + own.n, loss + own.loss, bias + own.bias, weights + own.weights
+            some = np.flatnonzero(weights)
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([some, [d, d + 1, d + 2]])), pa.array(np.concatenate([weights[some], [n, loss, bias]]))], ["k", "x"])
+
+        got = rows.mapInArrow(add, "k long, x double").groupBy("k").agg(F.sum("x").alias("x")).toArrow()
+        x = np.zeros(d + 3)
+        x[got["k"].to_numpy()] = got["x"].to_numpy()
+        return Side(max(x[d], 1.0), x[d + 1], x[d + 2], x[:d])
+
+    return at
+
+
 def fit(
     docs: DataFrame,
     labels: DataFrame,
     key: str = "doc_id",
     text: str = "text",
     max_positive: int = 3000,
-    max_unlabelled: int = 6000,
     min_g2: float = 24.0,
     min_share: float = 0.6,
+    frequent_share: float = 0.01,
+    **options: float,
 ) -> Model:
-    """A model from the training folds. Only counts, the words and their presence in the sample reach the driver.
-
-    The words are those in three positives or more, of a G2 between P and all training rows of at least min_g2, for which
-    c * P(word | P) / P(word | U), the share of toxic texts among those with the word, is at least min_share.
-    """
+    """A model from the training folds; options are those of fit_weights. Counts by word, sums by feature and the feature
+    numbers of the positives reach the driver."""
     bounded_batches(docs.sparkSession)
     known = labels.where(in_training(F.col(key)) & F.col("toxic").isNotNull()).groupBy(F.col(key).alias("k")).agg(F.max("toxic").alias("toxic"))
     n, n_pos = known.agg(F.count("*"), F.coalesce(F.sum((F.col("toxic") == 1).cast("long")), F.lit(0))).first()
     if not n_pos:
         return Model(*_NONE, 0.0, 0.0)
     prior = min(max(n_pos / n, 1e-3), 0.999)
-    pos = known.where("toxic = 1").select("k", F.lit(True).alias("pos")).orderBy(F.xxhash64("k"), "k").limit(max_positive)
-    unl = docs.where(in_training(F.col(key))).select(F.col(key).alias("k"), F.lit(False).alias("pos")).orderBy(F.xxhash64("k", F.lit(17)), "k").limit(max_unlabelled)
-    chosen = F.broadcast(pos.unionByName(unl))  # max_positive + max_unlabelled ids at most
-
-    @F.arrow_udf("array<long>")
-    def words(t: pa.Array) -> pa.Array:
-        own: list[np.ndarray] = []
-        for _, n, row, h in features(t):
-            order = np.argsort(row, kind="stable")
-            own += [np.unique(x).astype(np.int64) for x in np.split(h[order], np.searchsorted(row[order], np.arange(1, n)))]
-        return pa.array(own, pa.list_(pa.int64()))
-
-    sample = docs.select(F.col(key).alias("k"), F.col(text).cast("string").alias("t")).join(chosen, "k").select("pos", words("t").alias("w"))
-    n_p, n_u = (sum(r["count"] for r in rows) for rows in (lambda c: ([r for r in c if r["pos"]], [r for r in c if not r["pos"]]))(sample.groupBy("pos").count().collect()))
-    if not n_p or not n_u:
-        return Model(*_NONE, 0.0, prior)
-    told = sample.where("pos").select(F.explode("w").alias("word")).groupBy("word").agg(F.count("*").alias("p")).where("p >= 3").toArrow()
-    vocabulary = told["word"].to_numpy().astype(np.uint64)
-    order = np.argsort(vocabulary)
-    vocabulary, p = vocabulary[order], told["p"].to_numpy()[order]
+    chosen = F.broadcast(known.where("toxic = 1").select("k").orderBy(F.xxhash64("k"), "k").limit(max_positive))  # max_positive ids at most
+    everything = docs.where(in_training(F.col(key))).select(F.col(text).cast("string").alias("t"))
+    # The positives' texts are read again rather than kept: they are few, but each is whole.
+    positives = docs.select(F.col(key).alias("k"), F.col(text).cast("string").alias("t")).join(chosen, "k", "left_semi").select("t")
+
+    def words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for _, _, row, h in features(batch.column(0)):
+                pairs = np.unique(np.stack([row.astype(np.uint64), h]), axis=1)
+                yield pa.RecordBatch.from_arrays([pa.array(pairs[1].astype(np.int64))], ["word"])
+
+    told = positives.mapInArrow(words, "word long").groupBy("word").agg(F.count("*").alias("p")).where("p >= 3").select("word").toArrow()
+    vocabulary = np.union1d(told["word"].to_numpy().astype(np.uint64), frequent(everything, frequent_share))
     if not len(vocabulary):
         return Model(*_NONE, 0.0, prior)
-    # The positives are few and bounded; how often their words occur is counted over every training row.
-    n_all, u = row_frequency(docs.where(in_training(F.col(key))).select(F.col(text).cast("string")), vocabulary)
+    (n_p, p), (n_all, u) = row_frequency(positives, vocabulary), row_frequency(everything, vocabulary)
+    if not n_p or not n_all:
+        return Model(*_NONE, 0.0, prior)
     in_p, in_u, share = p / n_p, u / n_all, (p + u) / (n_p + n_all)
     term = lambda a, b: np.where(a > 0, a * np.log(np.maximum(a, 1e-300) / np.maximum(b, 1e-300)), 0.0)
     g2 = 2 * (n_p * (term(in_p, share) + term(1 - in_p, 1 - share)) + n_all * (term(in_u, share) + term(1 - in_u, 1 - share)))
-    vocabulary = vocabulary[(prior * in_p >= min_share * in_u) & (in_p > 2 * in_u) & (share < 1) & (g2 >= min_g2)]
+    toxic = prior * in_p / np.maximum(in_u, 1e-300)
+    vocabulary = vocabulary[(share < 1) & (g2 >= min_g2) & ((toxic >= min_share) | (toxic < prior))]
     if not len(vocabulary):
         return Model(*_NONE, 0.0, prior)
-
-    @F.arrow_udf("array<long>")
-    def places(w: pa.Array) -> pa.Array:
-        found = []
-        for x in w:
-            h = np.array(x.as_py(), np.int64).astype(np.uint64)
-            at = np.minimum(np.searchsorted(vocabulary, h), len(vocabulary) - 1)
-            found.append(at[vocabulary[at] == h])
-        return pa.array(found, pa.list_(pa.int64()))
-
-    held = sample.select("pos", F.array_sort(places("w")).alias("w")).collect()
-    held.sort(key=lambda r: (r["pos"], r["w"]))
-    sides = []
-    for side in ([r["w"] for r in held if r["pos"]], [r["w"] for r in held if not r["pos"]]):
-        sides.append(Sparse(np.repeat(np.arange(len(side)), [len(w) for w in side]), np.array([x for w in side for x in w], np.int64), (len(side), len(vocabulary))))
-    return Model(vocabulary, *fit_weights(*sides, prior), prior)
+    own = numbered(positives, vocabulary).toArrow()["w"].combine_chunks()
+    w = fit_weights(_sparse(own, len(vocabulary)), summed(numbered(everything, vocabulary), len(vocabulary)), prior, **options)
+    return Model(vocabulary, w[:-1], float(w[-1]), prior)
 
 
 def scored(model: Model, text: Column) -> Column:
