@@ -17,9 +17,11 @@
 No link is lost: two similar sets share a prefix token, so they are in one component already or meet in step 5.
 
 Edge cases. Null, empty and blank texts have an empty set and link with nothing. A text of fewer words than a shingle is
-one token. Repeated rows are one class. An id with several texts joins their classes. A null id
-stands for a class only where no other does, then by a number of its own above all ids, and links like others; a component
-is named by its smallest other id, or null. An empty table gives no rows. Tokens are 64-bit hashes.
+one token. Repeated rows are counted before they are dealt, and are one class. A document is a row: rows of one id but unlike
+texts are of different components, unless the texts link. A class without an id, or whose smallest id is also that of
+another class, goes by a number of its own above all ids; a component is named by the smallest id in it, or null. Of equally
+frequent tokens the smaller hash comes first. A chunk holds whole texts, so a very long one makes a long chunk. Columns other
+than id and text are not read. An empty table gives no rows. Tokens are 64-bit hashes.
 """
 
 from __future__ import annotations
@@ -31,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from softdep.llm._store import written
+from softdep.llm._store import collapsed, written
 from softdep.llm._text import lowered, mixed, pieces, shingles, spans, word_hashes
 from softdep.llm.graph import components
 from softdep.llm.lm import _planes, _unplaned
@@ -116,7 +118,7 @@ def _counted(t: pa.Table) -> pa.Table:
 
 def _probes(size: int, percent: int, shards: int, bits: int, kind: pa.DataType) -> Callable[[pa.Table, pa.Table], pa.Table]:
     """Of each document its class; of standing documents that may have partners also the shared prefix tokens and the set."""
-    schema = pa.schema([("key", kind), ("n", pa.int64()), ("s1", pa.int64()), ("s2", pa.int64()), ("prefix", pa.list_(pa.int64())), ("tokens", pa.list_(pa.int64()))])
+    schema = pa.schema([("key", kind), ("mark", pa.int64()), ("times", pa.int64()), ("n", pa.int64()), ("s1", pa.int64()), ("s2", pa.int64()), ("prefix", pa.list_(pa.int64())), ("tokens", pa.list_(pa.int64()))])
 
     def probe(docs: pa.Table, side: pa.Table) -> pa.Table:
         if not docs.num_rows:
@@ -140,27 +142,28 @@ def _probes(size: int, percent: int, shards: int, bits: int, kind: pa.DataType)
                     shared = tokens[first][f[first] > 1]
             prefixes.append(shared.astype(np.int64) if len(shared) else None)
             sets.append(tokens.astype(np.int64) if len(shared) else None)
-        return pa.table([docs["key"], pa.array([len(x) for x in found], pa.int64()), pa.array([s[0] for s in sigs], pa.int64()), pa.array([s[1] for s in sigs], pa.int64()), pa.array(prefixes, pa.list_(pa.int64())), pa.array(sets, pa.list_(pa.int64()))], schema=schema)
+        return pa.table([docs["key"], docs["mark"], docs["times"], pa.array([len(x) for x in found], pa.int64()), pa.array([s[0] for s in sigs], pa.int64()), pa.array([s[1] for s in sigs], pa.int64()), pa.array(prefixes, pa.list_(pa.int64())), pa.array(sets, pa.list_(pa.int64()))], schema=schema)
 
     return probe
 
 
 def probes(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = 5, percent: int = 80, chunk_chars: int = 8_000_000) -> DataFrame:
-    """(key, n, s1, s2, prefix, tokens) of every document, as a written table (steps 1 to 3)."""
-    texts = F.coalesce(F.col(text).cast("string"), F.lit(""))
-    chars = docs.agg(F.coalesce(F.sum(F.length(texts)), F.lit(0))).first()[0]
+    """(key, mark, times, n, s1, s2, prefix, tokens) of the documents, as a written table (steps 1 to 3). Rows of equal key
+    and text are one, times says how many; mark is xxhash64 of the text."""
+    rows = collapsed(docs, key, text)
+    chars = rows.agg(F.coalesce(F.sum(F.length("text")), F.lit(0))).first()[0]
     chunks = int(chars // chunk_chars) + 1
     shards, bits = chunks // 2 + 1, min(54, max(20, int(chars).bit_length() + 12))
-    kind = dict(docs.select(F.col(key).alias("key")).dtypes)["key"]
-    number = F.pmod(F.xxhash64(F.col(key), texts), F.lit(chunks)).cast("int")
-    dealt = docs.select(F.col(key).alias("key"), texts.alias("text"), number.alias("chunk")).repartition(chunks, "chunk")
+    kind = dict(rows.dtypes)["key"]
+    number = F.pmod(F.xxhash64("key", "text"), F.lit(chunks)).cast("int")
+    dealt = rows.select("key", "text", F.xxhash64("text").alias("mark"), "times", number.alias("chunk")).repartition(chunks, "chunk")
     info = dealt.groupBy("chunk").applyInArrow(_described(size), f"chunk int, key {kind}, n long, s1 long, s2 long")
     standing = info.where("n > 0").groupBy("n", "s1", "s2").agg(F.min(F.struct(F.col("key").isNull(), "key", "chunk")).alias("r")).select("r.chunk", "r.key", "s1", "s2")
     told = dealt.groupBy("chunk").cogroup(standing.groupBy("chunk")).applyInArrow(_told(size, shards, bits), "shard int, chunk int, gaps binary, held binary")
     codes = told.groupBy("shard").applyInArrow(_counted, "chunk int, shard int, codes binary")
     side = standing.unionByName(codes, allowMissingColumns=True)
     arrow_kind = pa.int64() if kind == "bigint" else pa.int32() if kind == "int" else pa.string()
-    out = dealt.groupBy("chunk").cogroup(side.groupBy("chunk")).applyInArrow(_probes(size, percent, shards, bits, arrow_kind), f"key {kind}, n long, s1 long, s2 long, prefix array<long>, tokens array<long>")
+    out = dealt.groupBy("chunk").cogroup(side.groupBy("chunk")).applyInArrow(_probes(size, percent, shards, bits, arrow_kind), f"key {kind}, mark long, times long, n long, s1 long, s2 long, prefix array<long>, tokens array<long>")
     return written(out, "probes")
 
 
@@ -176,24 +179,32 @@ def _sizes_fit(na: str, nb: str, percent: int) -> F.Column:
     return (100 * F.col(na) >= percent * F.col(nb)) & (100 * F.col(nb) >= percent * F.col(na))
 
 
-def _ids(probed: DataFrame) -> tuple[F.Column, F.Column]:
-    """The id that stands for a class of (key, n, s1, s2), and whether an id in "component" is a real one: without a key, an
-    id above all keys made from the class's signature."""
+def named(probed: DataFrame) -> DataFrame:
+    """(n, s1, s2, key, members, id) of each class, as a written table: its smallest key, its number of rows, and an id that
+    no other class has: the key, or where another class has that too, or there is none, one above all keys made from the
+    signature."""
     kind = dict(probed.dtypes)["key"]
+    each = probed.where("n > 0").groupBy("n", "s1", "s2").agg(F.min("key").alias("key"), F.sum("times").alias("members"))
+    twice = each.where("key is not null").groupBy("key").agg(F.count("*").alias("c")).where("c > 1").select(F.col("key").alias("again"))
     top = probed.agg(F.max("key")).first()[0]
     if kind == "string":
-        mine = F.concat(F.lit(top or ""), F.lit("\x00"), F.sha2(F.concat_ws(" ", "n", "s1", "s2"), 256))
-        real = F.col("component") <= F.lit(top or "") if top is not None else F.lit(False)
+        own = F.concat(F.lit(top or ""), F.lit("\x00"), F.sha2(F.concat_ws(" ", "n", "s1", "s2"), 256))
     else:
         top = max(top or 0, 0)
-        mine = F.lit(top) + 1 + F.pmod(F.xxhash64("n", "s1", "s2"), F.lit(max((1 << 63) - 2 - top, 1)))
-        real = F.col("component") <= F.lit(top)
-    return F.coalesce(F.col("key").cast("string" if kind == "string" else "long"), mine), real
+        own = F.lit(top) + 1 + F.pmod(F.xxhash64("n", "s1", "s2"), F.lit(max((1 << 63) - 2 - top, 1)))
+    mine = F.col("key").cast("string" if kind == "string" else "long")
+    joined = each.join(twice, F.col("key") == F.col("again"), "left")
+    return written(joined.select("n", "s1", "s2", "key", "members", F.when(F.col("key").isNotNull() & F.col("again").isNull(), mine).otherwise(own).alias("id")), "named")
 
 
-def linked(probed: DataFrame, percent: int = 80, stars: tuple[int, ...] = (1, 3, 8, 16), group_size: int = 16) -> DataFrame:
+def linked(probed: DataFrame, classes_: DataFrame, percent: int = 80, stars: tuple[int, ...] = (1, 3, 8, 16), group_size: int = 16) -> DataFrame:
     """(id, component) of the standing documents that link with others (steps 4 and 5)."""
-    sets = written(probed.where("prefix is not null").select(_ids(probed)[0].alias("id"), "n", "prefix", "tokens"), "sets")
+    asking = probed.where("prefix is not null")
+    if classes_.where("key is null or key != id").isEmpty():
+        asking = asking.withColumn("id", F.col("key").cast(dict(classes_.dtypes)["id"]))
+    else:
+        asking = asking.join(classes_.select("n", "s1", "s2", "id"), ["n", "s1", "s2"])
+    sets = written(asking.select("id", "n", "prefix", "tokens"), "sets")
     holds = written(sets.select("id", "n", F.explode("prefix").alias("token")), "holds")
     edges, seed = None, 0
     for many in stars:
@@ -245,12 +256,30 @@ def linked(probed: DataFrame, percent: int = 80, stars: tuple[int, ...] = (1, 3,
     return components(comp.select(F.col("id").alias("a"), F.col("component").alias("b")).union(links))
 
 
+def members(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = 5, percent: int = 80, **options: int) -> DataFrame:
+    """(key, mark, times, n_shingles, component, component_id) of the distinct rows: component tells the groups of linked
+    documents apart (null without words), component_id is the smallest key in it."""
+    probed = probes(docs, key, text, size, percent, **options)
+    each = named(probed)
+    comp = linked(probed, each, percent)
+    stands = written(each.join(comp, "id", "left").select("n", "s1", "s2", "key", "members", "id", F.coalesce("component", "id").alias("component")), "stands")
+    rows, odd = stands.agg(F.coalesce(F.sum("members"), F.lit(0)), F.coalesce(F.sum((F.col("key").isNull() | (F.col("key") != F.col("id"))).cast("long")), F.lit(0))).first()
+    if odd:  # else ids are keys, and a component's id is its smallest key
+        least = stands.groupBy("component").agg(F.min("key").alias("component_id"))
+        stands = stands.join(least, "component")
+    else:
+        stands = stands.withColumn("component_id", F.col("component").cast(dict(probed.dtypes)["key"]))
+    slim = probed.select("key", "mark", "times", F.col("n").alias("n_shingles"), "n", "s1", "s2")
+    told = stands.select("n", "s1", "s2", "members", "component", "component_id")
+    # Classes of a five-thousandth of all rows or more are five thousand at most: they are broadcast, and meet in no task.
+    large = F.col("members") >= max(100, rows // 5000)
+    hot = F.broadcast(told.where(large).drop("members"))
+    rest = slim.join(hot.select("n", "s1", "s2"), ["n", "s1", "s2"], "left_anti").join(told.where(~large).drop("members"), ["n", "s1", "s2"], "left")
+    both = slim.join(hot, ["n", "s1", "s2"]).unionByName(rest)
+    return both.select("key", "mark", "times", "n_shingles", "component", F.when(F.col("component").isNull(), F.col("key")).otherwise(F.col("component_id")).alias("component_id"))
+
+
 def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = 5, percent: int = 80, **options: int) -> DataFrame:
     """(key, n_shingles, component_id) of every document; component_id is the smallest id reachable by links."""
-    probed = probes(docs, key, text, size, percent, **options)
-    comp = written(linked(probed, percent), "linked")
-    own, real = _ids(probed)
-    stands = probed.where("n > 0").groupBy("n", "s1", "s2").agg(F.min("key").alias("key")).withColumn("id", own).join(comp, "id", "left").withColumn("component", F.coalesce("component", "id"))
-    stands = stands.select("n", "s1", "s2", F.when(real, F.col("component")).cast(dict(probed.dtypes)["key"]).alias("component_id"))
-    out = probed.select("key", F.col("n").alias("n_shingles"), "n", "s1", "s2").join(stands, ["n", "s1", "s2"], "left")
-    return out.select("key", "n_shingles", F.coalesce("component_id", "key").alias("component_id"))
+    out = members(docs, key, text, size, percent, **options)
+    return out.withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), "times"))).select("key", "n_shingles", "component_id")
