@@ -68,7 +68,7 @@ def op7_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame
 
 def op8_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    out = lm.scores(docs, F.crc32(F.col("doc_id").cast("string")) % 5 != 1)
+    out = lm.scores(docs, F.crc32(F.col("key").cast("string")) % 5 != 1)
     return out.select(F.col("key").alias("doc_id"), (~F.col("learn")).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
 
 
