@@ -17,10 +17,13 @@
 The benchmark is taken in blocks of at most block_items items, each with a pass over the documents, so that what goes to
 the executors is bounded whatever its size. Documents are never shuffled.
 
-Edge cases. Words are runs of ASCII letters, digits and non-ASCII bytes; Latin-1 capitals count as small letters. Null and empty texts hold
-nothing. Items of fewer than min_words words are too short to tell from chance and match nothing. Items of equal text are
-each reported; repeated document rows give repeated hits. An empty table on either side gives no hit. A null item id is
-reported as null.
+Items of fewer than min_words words are too short for a share of them to tell: they match where all their words stand in a
+row, items of one or two words only where they are the whole document.
+
+Edge cases. Words are runs of ASCII letters, digits and non-ASCII bytes; Latin-1 capitals count as small letters. Null and
+empty texts, and items without words, hold nothing. Very long texts are searched whole. Items of equal text are each
+reported, and of equally good stretches the first; repeated document rows give repeated hits. An empty table on either side
+gives no hit. A null item id is reported as null. clean keeps all columns, whatever their names; leaks reads only id and text.
 """
 
 from __future__ import annotations
@@ -37,7 +40,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from softdep.llm._store import bounded_batches
-from softdep.llm._text import Hashes, lowered_latin, pieces, spans
+from softdep.llm._text import Hashes, lowered_latin, mixed, pieces, spans
 
 APART = tuple(b for b in range(128) if not chr(b).isalnum())
 #: Windows are made of blocks of so many words.
@@ -73,19 +76,27 @@ def words_of(text: str | None) -> np.ndarray:
 
 @dataclass(frozen=True)
 class Items:
-    """A block of the benchmark: ids, words and answers; passages are (item, first word, end)."""
+    """A block of the benchmark: ids, words and answers; passages are (item, first word, end) of the long items, and short
+    holds the places of the others."""
 
     ids: list
     words: list[np.ndarray]
     answers: list[np.ndarray]
     passages: list[tuple[int, int, int]]
+    short: list[int]
 
     @staticmethod
     def of(rows: Iterable[tuple], min_words: int, passage_words: int) -> Items:
-        out = Items([], [], [], [])
+        out = Items([], [], [], [], [])
         for key, text, answer in rows:
             w = words_of(text)
+            if not len(w):
+                continue
             if len(w) < min_words:
+                out.short.append(len(out.ids))
+                out.ids.append(key)
+                out.words.append(w)
+                out.answers.append(w)
                 continue
             last = words_of(answer) if answer is not None else words_of((text or "").strip().rpartition("\n")[2]) if "\n" in (text or "").strip() else w[-max(3, len(w) // 4) :]
             n = -(-len(w) // passage_words)
@@ -97,6 +108,42 @@ class Items:
         return out
 
 
+def _runs(h: np.ndarray, size: int) -> np.ndarray:
+    """A hash of each run of size words."""
+    n = max(0, len(h) - size + 1)
+    out = np.zeros(n, np.uint64)
+    for k in range(size):
+        out = mixed(out * np.uint64(0x9E3779B97F4A7C15) + h[k : k + n])
+    return out
+
+
+@dataclass(frozen=True)
+class Short:
+    """Items matched by all their words in a row: of each length the hashes in order and their items."""
+
+    by_length: dict[int, tuple[np.ndarray, np.ndarray]]
+
+    @staticmethod
+    def of(items: Items) -> Short:
+        lengths: dict[int, list[tuple[int, int]]] = {}
+        for i in items.short:
+            w = items.words[i]
+            lengths.setdefault(len(w), []).append((int(_runs(w, len(w))[0]), i))
+        return Short({n: (np.array([h for h, _ in sorted(x)], np.uint64), np.array([i for _, i in sorted(x)])) for n, x in lengths.items()})
+
+    def found(self, n: int, row: np.ndarray, h: np.ndarray) -> Iterator[tuple[int, int, int, int]]:
+        """(row, item, first word, end)."""
+        first = np.searchsorted(row, np.arange(n + 1))
+        for size, (hashes, of) in self.by_length.items():
+            runs = _runs(h, size)
+            lo, hi = np.searchsorted(hashes, runs, "left"), np.searchsorted(hashes, runs, "right")
+            for x in np.flatnonzero(hi > lo):
+                r = row[x]
+                if row[x + size - 1] == r and (size > 2 or first[r + 1] - first[r] == size):
+                    for k in range(lo[x], hi[x]):
+                        yield int(r), int(of[k]), int(x - first[r]), int(x - first[r] + size)
+
+
 def _place(terms: np.ndarray, words: np.ndarray) -> np.ndarray:
     """Index of each word in the sorted terms, -1 for others."""
     at = np.minimum(np.searchsorted(terms, words), len(terms) - 1)
@@ -181,8 +228,13 @@ class Watch:
     def of(items: Items, terms: np.ndarray, share: np.ndarray, least: float, check_cost: float = 2000.0) -> Watch:
         """share: of all words of the documents, by term; least: the coverage below which nothing is a leak; check_cost: a
         candidate's work over that of an occurrence of a watched word."""
-        pairs, needs, spans_ = [], [], []
+        pairs, needs, spans_ = [np.zeros((2, 0), np.int64)], [], []
+        short = set(items.short)
         for i, words in enumerate(items.words):
+            if i in short:  # watched for by none of its words
+                needs.append(1)
+                spans_.append(1)
+                continue
             n = len(words)
             kept = max(1, int(np.ceil(least * n - 1e-9)))
             at = _place(terms, words)
@@ -207,6 +259,8 @@ class Watch:
     def candidates(self, n: int, row: np.ndarray, h: np.ndarray) -> Iterator[tuple[int, int, int, int]]:
         """(row, item, first word, end) of stretches that hold enough of an item's watched words, each with all the words
         that a leak there can reach."""
+        if not len(self.words):
+            return
         at = _place(self.words, h)
         some = np.flatnonzero(at >= 0)
         if not len(some):
@@ -237,6 +291,7 @@ class Watch:
 class Search:
     items: Items
     watch: Watch
+    short: Short
     terms: np.ndarray
     weights: np.ndarray  # terms x rank: idf times latent vector
     window: int
@@ -254,6 +309,8 @@ class Search:
 
     def candidates(self, n: int, row: np.ndarray, h: np.ndarray, targets: np.ndarray) -> Iterator[tuple[int, int, int, int]]:
         """(row, item, first word, end) of windows near a passage in the space; words count from the row's first."""
+        if not len(targets):
+            return
         first = np.searchsorted(row, np.arange(n + 1))
         blocks = -(-np.diff(first) // BLOCK)
         base = np.concatenate([[0], np.cumsum(blocks)])
@@ -300,6 +357,8 @@ class Search:
         found: dict[tuple[int, int], tuple[float, float, int, int]] = {}
         for origin, n, row, h in word_rows(texts):
             first = np.searchsorted(row, np.arange(n + 1))
+            for r, i, lo, hi in self.short.found(n, row, h):
+                found.setdefault((origin + r, i), (1.0, 1.0, lo, hi))
             seen: set[tuple[int, int, int, int]] = set()
             for r, i, lo, hi in chain(self.stretches(n, row, h, targets, first), self.watch.candidates(n, row, h)):
                 if (r, i, lo, hi) in seen or found.get((origin + r, i), (0.0,))[0] == 1.0:
@@ -368,9 +427,8 @@ def searches(
         watch = Watch.of(items, terms, times / max(n_words, 1), min(sure, likely))
         rare = _telling(items, terms, df, max_share * n)
         terms, idf = terms[rare], np.log((n + 1) / (df[rare] + 1)) + 1e-3
-        if len(terms):
-            space = latent_space(spark, items, terms, idf, rank)
-            yield Search(items, watch, terms, (space * idf[:, None]).astype(np.float32), window, min_cosine, min_projection, sure, likely)
+        space = latent_space(spark, items, terms, idf, rank) if items.passages and len(terms) else np.zeros((len(terms), 0))
+        yield Search(items, watch, Short.of(items), terms, (space * idf[:, None]).astype(np.float32), window, min_cosine, min_projection, sure, likely)
 
 
 def leaks(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str = "text", item_key: str = "item_id", **options: float) -> DataFrame:
