@@ -6,8 +6,10 @@ A step of Shift-And moves all of them at once: states shift by one (carrying bet
 word row, and positions before a * keep themselves alive. URLs of a batch advance together, a byte at a time, so the cost
 is bytes x words for any number of rules; the masks are as large as the rule list, a parameter.
 
-Edge cases. A null URL, or one without "://", has an empty host and path. Ties between rules of one length go to the
-earlier rule. Repeated rows are judged alike; an empty rule list matches nothing.
+Edge cases. A null URL, or one without "://", has an empty host and path; very long ones are read whole, and only they are
+still alive in later steps. Ties between rules of one length go to the earlier rule. Repeated rows are judged alike; an empty
+rule list matches nothing, an empty table gives no rows. judged is a column: it reads the two it is given, whatever the names
+of the others.
 """
 
 from __future__ import annotations
@@ -127,17 +129,16 @@ def judged(rules: list[Rule], host: Column, path: Column, default: str = "allow"
     automaton = Automaton([rules[i].glob for i in best])
     ranked = [rules[i] for i in best]
 
+    # What is said of each rule, and last of none.
+    said = np.array([(r.name if r.rank else None, r.action, None if r.rank else r.name) for r in ranked] + [(None, default, None)], dtype=object)
+
     @F.pandas_udf("rule string, verdict string, glob string")
     def judge(h: pd.Series, p: pd.Series) -> pd.DataFrame:
-        pairs = [(a or "", b or "") for a, b in zip(h, p, strict=True)]
-        rows = []
-        for at in range(0, len(pairs), 4096):
-            some = pairs[at : at + 4096]
-            hit = automaton.match([b"." + a.encode() + BORDER + b.encode() for a, b in some]) if ranked else np.zeros((len(some), 0), bool)
-            for x in hit:
-                k = int(x.argmax()) if x.any() else -1
-                r = ranked[k] if k >= 0 else None
-                rows.append((r.name if r and r.rank else None, r.action if r else default, r.name if r and not r.rank else None))
-        return pd.DataFrame(rows, columns=["rule", "verdict", "glob"])
+        texts = [b"." + (a or "").encode() + BORDER + (b or "").encode() for a, b in zip(h, p, strict=True)]
+        deciding = np.full(len(texts), len(ranked))
+        for at in range(0, len(texts), 4096) if ranked else ():
+            hit = automaton.match(texts[at : at + 4096])
+            deciding[at : at + 4096] = np.where(hit.any(axis=1), hit.argmax(axis=1), len(ranked))
+        return pd.DataFrame(said[deciding], columns=["rule", "verdict", "glob"])
 
     return judge(host, path)
