@@ -83,6 +83,14 @@ def test_rows_without_ids_survive_the_join_stage(spark, sf):
     assert sorted(r["doc_id"] or 0 for r in got) == [0, 0, 1]
 
 
+def test_the_join_stage_keeps_unlike_texts_of_one_id(spark, sf):
+    t = " ".join(f"w{k}" for k in range(40))
+    rows = [(1, t), (1, "no link with the other text of this id"), (2, t), (1, t), (3, "no link with the other text of this id"), (4, "")]
+    docs = spark.createDataFrame([(k, x, "en", "a", 1) for k, x in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    got = sorted((r["doc_id"], r["text"]) for r in corpus_pipeline.jaccard_stage(spark, docs, sf).collect())
+    assert got == sorted([(1, t), (1, "no link with the other text of this id"), (4, "")])
+
+
 def test_run_gives_whole_copies(spark, sf):
     out = corpus_pipeline.run(spark, sf).select("doc_id", "copies", "copy").collect()
     assert out and all(1 <= r["copy"] <= r["copies"] for r in out)
