@@ -1,4 +1,10 @@
-"""From documents to a training mix: STAGES in order, each written and read again between."""
+"""From documents to a training mix: STAGES in order, each written and read again between.
+
+Edge cases of all stages: null and empty texts fail the quality rules, so that the later stages see none; very long texts
+are read whole; of tied documents in a group the smallest id stays, then the least hash of the text; repeated rows are each
+judged, and are one document from the join stage on; empty tables give empty ones. Extra columns go through unchanged until
+mixing, whose own (copies, copy, shuffle_key) replace columns of these names.
+"""
 
 from __future__ import annotations
 
@@ -31,10 +37,14 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def jaccard_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each class of linked documents the one of the smallest id; of repeated ids one row. Rows without an id stay, as
-    none can stand for another."""
-    kept = jaccard.classes(docs).where(F.col("key") == F.col("component_id")).select(F.col("key").alias("doc_id")).distinct()
-    one = docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    """Of each group of linked documents the one of the smallest id, and of its texts then the one of the least hash. Rows
+    equal in id and text are one document. Documents of one id but unlike texts are each other's equals: none stands for
+    another. Rows without an id stay, as none can stand for another."""
+    found = jaccard.members(docs).where("key is not null")
+    first = found.where("component is not null").groupBy("component").agg(F.min(F.struct("key", "mark")).alias("f")).select("f.key", "f.mark")
+    kept = first.unionByName(found.where("component is null").select("key", "mark")).select(F.col("key").alias("doc_id"), F.col("mark").alias("__mark"))
+    marked = docs.withColumn("__mark", F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit(""))))
+    one = marked.join(kept, ["doc_id", "__mark"], "left_semi").dropDuplicates(["doc_id", "__mark"]).drop("__mark")
     return one.unionByName(docs.where("doc_id is null"))
 
 

@@ -8,13 +8,16 @@ from pyspark.sql import SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The session's spark.checkpoint.dir; a folder of its own only where that is unset (tests, one machine)."""
+    """The session's spark.checkpoint.dir. Where it is unset, a folder of its own on one machine (tests); an error on a
+    cluster, whose executors do not see the driver's disk."""
     context = spark.sparkContext
     named = context.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
     held = context._jsc.sc().getCheckpointDir()
     if held.isEmpty():
+        if not (context.master == "local" or context.master.startswith("local[")):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         context.setCheckpointDir(tempfile.mkdtemp(prefix="softdep-"))
         held = context._jsc.sc().getCheckpointDir()
     return held.get().rstrip("/")
