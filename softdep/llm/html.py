@@ -4,26 +4,31 @@ The pages of a host are merged into one tree: a node is the path of tags and cla
 together. Two entropies say how much a node varies between the m pages that have it. A node without text of its own has the
 entropy of its presentations (sequences of children), -sum p log_m p. A node with text has 1 - mean_i H(i) over its distinct
 texts i, where H(i) = log_m(n_i) for a text on n_i of the pages: 0 for a text that all pages share, 1 for texts of one page.
-A branch is unimportant when its node and all nodes below it are under the threshold; it is cut from every page.
-The tree needs min_pages pages. Branches whose tag, role or class names their presentation (menus, forms, adverts, ...) are
-cut on any page, however few its host has. Where article or main elements hold text, the result is the text inside them.
+A branch is as important as the most important node in it; unimportant branches are cut from every page.
 
-All counts are aggregates keyed by host, node and text, so that a host with a third of all pages is no single group. The
-unimportant nodes go back to the pages by a broadcast while they are few (counted first), else by a join on the host.
+How little importance is too little depends on what the markup says beforehand (the prior): a branch inside an article or
+main element goes under main_threshold, any other under threshold, and one whose tag, role or class names its presentation
+(menus, forms, adverts, comments, ...) always, as adverts and comments vary like articles do. So the entropies decide on
+all that has no telling name, inside articles too; hosts of fewer than min_pages pages have the prior alone. Where article
+or main elements hold text, the result is what is left inside them.
+
+A page is parsed once, into its blocks and presentations, which are written to the shared folder; all counts are aggregates
+keyed by host, node and text, so that a host with a third of all pages is no single group. The unimportant branches go back
+to the pages by a broadcast while they are few (counted first), else by a join on the host.
 
 Edge cases. A null or empty page gives an empty text; a null URL is the host "". If the tree would cut all the text of a
-page, it cuts nothing there (a host of equal pages). Broken markup is closed as browsers do. Repeated rows are alike.
+page, it cuts nothing there (a host of equal pages). Broken markup is closed as browsers do; very long pages are parsed
+whole. Repeated rows each count and give equal texts; nodes of equal importance are treated alike. The input's html column,
+and columns named text, host or noise, are replaced or dropped; others stay. An empty table gives no rows.
 """
 
 from __future__ import annotations
 
-import hashlib
 import re
-from collections.abc import Iterator
 from dataclasses import dataclass
 from html import unescape
 
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -170,29 +175,39 @@ def parsed(html: str | None) -> tuple[list[Block], list[tuple[str, str]]]:
     return blocks, styles
 
 
-def _digest(text: str) -> int:
-    return int.from_bytes(hashlib.blake2b(text.encode("utf-8", "replace"), digest_size=8).digest(), "little", signed=True)
+_PARSED = pa.struct([
+    ("blocks", pa.list_(pa.struct([("path", pa.string()), ("text", pa.string()), ("noise", pa.bool_()), ("main", pa.bool_())]))),
+    ("styles", pa.list_(pa.struct([("path", pa.string()), ("look", pa.string())]))),
+])
+
+
+_PARSED_DDL = "struct<blocks: array<struct<path: string, text: string, noise: boolean, main: boolean>>, styles: array<struct<path: string, look: string>>>"
 
 
-def _features(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-    """Each page's nodes: (host, path, is_text, feature), once a page."""
-    for f in frames:
-        rows: list[tuple[str, str, bool, int]] = []
-        for host, html in zip(f["host"], f["html"], strict=True):
-            blocks, styles = parsed(html)
-            seen = {(b.path, True, _digest(b.text)) for b in blocks} | {(p, False, _digest(s)) for p, s in styles}
-            rows += [(host, *x) for x in seen]
-            if len(rows) > 50_000:
-                yield pd.DataFrame(rows, columns=["host", "path", "is_text", "feature"])
-                rows = []
-        yield pd.DataFrame(rows, columns=["host", "path", "is_text", "feature"])
+def page_trees(pages: DataFrame, url: str = "url", html: str = "html") -> DataFrame:
+    """pages without html, with host, blocks (path, text, noise, main) in page order and styles (path, look), as a written
+    table: nothing is parsed twice."""
+    bounded_batches(pages.sparkSession)
+
+    @F.arrow_udf(_PARSED_DDL)
+    def parse(column: pa.Array) -> pa.Array:
+        out = []
+        for page in column.to_pylist():
+            blocks, styles = parsed(page)
+            out.append({"blocks": [{"path": b.path, "text": b.text, "noise": b.noise, "main": b.main} for b in blocks], "styles": [{"path": p, "look": s} for p, s in set(styles)]})
+        return pa.array(out, _PARSED)
 
+    base = pages.drop("noise", "host", "text").withColumn("host", host_of(F.col(url))).withColumn("__p", parse(F.col(html).cast("string")))
+    return written(base.drop(html).select("*", "__p.blocks", "__p.styles").drop("__p"), "trees")
 
-def node_importance(pages: DataFrame, url: str = "url", html: str = "html", decay: float = 0.9) -> DataFrame:
+
+def node_importance(trees: DataFrame, decay: float = 0.9) -> DataFrame:
     """(host, path, pages, importance, branch) of each node of the site style trees; branch is the most important node's
     importance in the branch. A node without text weighs 1 - decay^presentations of its entropy."""
-    slim = pages.select(host_of(F.col(url)).alias("host"), F.col(html).cast("string").alias("html"))
-    seen = slim.mapInPandas(_features, "host string, path string, is_text boolean, feature long").groupBy("host", "path", "is_text", "feature").agg(F.count("*").alias("n"))
+    texts = F.transform("blocks", lambda b: F.struct(b["path"].alias("path"), F.lit(True).alias("is_text"), F.xxhash64(b["text"]).alias("feature")))
+    styles = F.transform("styles", lambda s: F.struct(s["path"].alias("path"), F.lit(False).alias("is_text"), F.xxhash64(s["look"]).alias("feature")))
+    each = trees.select("host", F.explode(F.array_distinct(F.concat(texts, styles))).alias("x"))
+    seen = each.select("host", "x.*").groupBy("host", "path", "is_text", "feature").agg(F.count("*").alias("n"))
     # Pages that have the node: each page that has it gives one presentation.
     node = seen.groupBy("host", "path").agg(
         F.sum(F.when(~F.col("is_text"), F.col("n"))).alias("pages"),
@@ -205,7 +220,7 @@ def node_importance(pages: DataFrame, url: str = "url", html: str = "html", deca
     log_m = F.log(m)
     style = (log_m - F.coalesce("s_log", F.lit(0.0)) / m) / log_m * (1 - F.pow(F.lit(decay), F.coalesce("styles", F.lit(0))))
     text = 1 - F.col("t_log") / F.col("texts") / log_m
-    own = node.select("host", "path", m.alias("pages"), F.when(m == 1, 1.0).when(F.col("texts") > 0, F.greatest(text, F.lit(0.0))).otherwise(style).alias("importance"))
+    own = written(node.select("host", "path", m.alias("pages"), F.when(m == 1, 1.0).when(F.col("texts") > 0, F.greatest(text, F.lit(0.0))).otherwise(style).alias("importance")), "nodes")
     # A path /a/b/c lies in the branches /a, /a/b and /a/b/c.
     steps = F.split("path", "/")
     prefixes = F.transform(F.sequence(F.lit(2), F.greatest(F.size(steps), F.lit(2))), lambda k: F.array_join(F.slice(steps, 1, k), "/"))
@@ -213,9 +228,12 @@ def node_importance(pages: DataFrame, url: str = "url", html: str = "html", deca
     return own.join(branch, ["host", "path"])
 
 
-def noise_nodes(importance: DataFrame, threshold: float = 0.4, min_pages: int = 5) -> DataFrame:
-    """(host, noise): the paths of the host's unimportant branches. Article and main elements are never such branches."""
-    low = importance.where((F.col("pages") >= min_pages) & (F.col("branch") < threshold) & ~F.col("path").rlike(r"/(article|main)(\.[^/]*)?(/|$)"))
+def noise_nodes(importance: DataFrame, threshold: float = 0.4, main_threshold: float = 0.1, min_pages: int = 5) -> DataFrame:
+    """(host, noise): the paths of the host's unimportant branches, inside article and main elements by a threshold of their
+    own. These elements themselves, whatever is in them, are no such branches."""
+    inside = F.col("path").rlike(r"/(article|main)(\.[^/]*)?/")
+    itself = F.col("path").rlike(r"/(article|main)(\.[^/]*)?$")
+    low = importance.where((F.col("pages") >= min_pages) & (F.col("branch") < F.when(inside, main_threshold).otherwise(threshold)) & ~itself)
     return low.groupBy("host").agg(F.array_sort(F.collect_set("path")).alias("noise"))
 
 
@@ -235,18 +253,17 @@ def main_text(html: str | None, noise: frozenset[str] = frozenset()) -> str:
 
 
 def extracted(pages: DataFrame, url: str = "url", html: str = "html", max_broadcast_rows: int = 20_000, **options: float) -> DataFrame:
-    """pages with a column text. Columns of that name or of the names host and noise are replaced or dropped."""
-    bounded_batches(pages.sparkSession)
-    noise = written(noise_nodes(node_importance(pages, url, html), **options), "noise")
+    """pages with a column text in place of html; options are those of noise_nodes."""
+    trees = page_trees(pages, url, html)
+    noise = written(noise_nodes(node_importance(trees), **options), "noise")
     few = noise.agg(F.coalesce(F.sum(F.size("noise")), F.lit(0))).first()[0] <= max_broadcast_rows
-    base = pages.drop("noise", "host", "text").withColumn("host", host_of(F.col(url)))
-    joined = base.join(F.broadcast(noise) if few else noise, "host", "left")
-
-    @F.pandas_udf("string")
-    def text(h: pd.Series, paths: pd.Series) -> pd.Series:
-        return pd.Series([main_text(x, frozenset(p) if p is not None else frozenset()) for x, p in zip(h, paths, strict=True)], dtype=object)
-
-    return joined.withColumn("text", text(F.col(html).cast("string"), F.col("noise"))).drop("host", "noise")
+    joined = trees.join(F.broadcast(noise) if few else noise, "host", "left")
+    cut = lambda b: F.exists(F.coalesce("noise", F.array().cast("array<string>")), lambda n: (b["path"] == n) | F.startswith(b["path"], F.concat(n, F.lit("/"))))
+    plain = joined.withColumn("__plain", F.filter("blocks", lambda b: ~b["noise"]))
+    left = plain.withColumn("__left", F.filter("__plain", lambda b: ~cut(b))).withColumn("__left", F.when(F.size("__left") > 0, F.col("__left")).otherwise(F.col("__plain")))
+    inside = left.withColumn("__main", F.filter("__left", lambda b: b["main"]))
+    best = F.when(F.size("__main") > 0, F.col("__main")).otherwise(F.col("__left"))
+    return inside.withColumn("text", F.array_join(F.transform(best, lambda b: b["text"]), "\n\n")).drop("host", "noise", "blocks", "styles", "__plain", "__left", "__main")
 
 
 def n_chars(text: Column) -> Column:
