@@ -333,7 +333,7 @@ def test_style_tree_finds_unnamed_boilerplate(spark):
 def test_the_tree_decides_inside_articles_and_out(spark):
     """Boilerplate without a telling name beside and inside the article. Without the tree all of it would stay; what varies
     stays with it. Importance against the formula written out."""
-    page = lambda i: f"<html><body><div class=q1><p>Top {'ab'[i % 2]}</p></div><article><h1>Title {i}</h1><p>Body {i}</p><div class=q2><p>Read us each day</p></div></article></body></html>"
+    page = lambda i: f"<html><body><div class=qa><p>Top {'ab'[i % 2]}</p></div><article><h1>Title {i}</h1><p>Body {i}</p><div class=qb><p>Read us each day</p></div></article></body></html>"
     loose = lambda i: page(i).replace("article>", "div>").replace("<article", "<div")
     rows = [(i, "http://a.org/x", page(i)) for i in range(8)] + [(100 + i, "http://b.org/x", loose(i)) for i in range(8)] + [(200, "http://c.org/x", page(0))]
     pages = spark.createDataFrame(rows, "page_id long, url string, html string")
@@ -342,9 +342,9 @@ def test_the_tree_decides_inside_articles_and_out(spark):
     bare = {r["page_id"]: r["text"] for r in html.extracted(pages, min_pages=99).collect()}
     assert bare[3] == "Title 3\n\nBody 3\n\nRead us each day" and bare[103] == "Top b\n\nTitle 3\n\nBody 3\n\nRead us each day"
     imp = {r["path"]: r["importance"] for r in html.node_importance(html.page_trees(pages)).where("host = 'a.org'").collect()}
-    assert imp["/html/body/div.q1/p"] == pytest.approx(1 - math.log(4) / math.log(8)) and imp["/html/body/article/p"] == pytest.approx(1)
+    assert imp["/html/body/div.qa/p"] == pytest.approx(1 - math.log(4) / math.log(8)) and imp["/html/body/article/p"] == pytest.approx(1)
     for i, _, x in rows[:8]:
-        assert html.main_text(x, frozenset(p for p, v in imp.items() if v < 0.1 and "q2" in p)) == got[i]
+        assert html.main_text(x, frozenset(p for p, v in imp.items() if v < 0.1 and "qb" in p)) == got[i]
 
 
 # 5 Jaccard join.
