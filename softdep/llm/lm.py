@@ -4,8 +4,8 @@ The documents are dealt into chunks of a few MB by a hash. Two rounds of message
 and use it:
 
 1. Words. A chunk sends its distinct words with their training counts to the shards that their hashes name. A shard sums
-   them and answers with each word's count and its rank among the shard's words; with the shards' sizes these make word
-   numbers of 1 to 4 bytes, exact and without gaps.
+   them and answers with each word's count and its rank by frequency among the shard's words; ranks and shards make word
+   numbers of 1 to 4 bytes, exact, and small for frequent words, so that lists of them compress.
 2. N-grams. A chunk sends its distinct pairs and triples of numbered words, with their training counts, to the shard that
    the pair's (for a triple, its first two words') hash names. A shard merges what all chunks sent into one trie: level by
    level the words below their parents, as Elias-Fano sequences made monotone by the parent's rank, with monotone
@@ -354,26 +354,28 @@ def _numbered(t: pa.Table) -> pa.Table:
     asked = [(np.cumsum(_unplaned(r["words"], 8)), _unpacked(r["word_counts"], 8)) for r in t.to_pylist()]
     words, counts = _summed(np.concatenate([w for w, _ in asked]), np.concatenate([c for _, c in asked]))
     n, v, out = int(counts.sum()), len(words), []
+    rank = np.empty(v, np.int64)
+    rank[np.lexsort((words, -counts))] = np.arange(v)
     for (own, _), chunk, shard in zip(asked, t["chunk"].to_pylist(), t["shard"].to_pylist(), strict=True):
         at = np.searchsorted(words, own)
         known = np.zeros(len(own), bool)
         known[at < v] = words[at[at < v]] == own[at < v]
         told = np.zeros(len(own), np.int64)
         told[known] = counts[at[known]]
-        out.append((chunk, shard, n, v, _packed(told, 8), _planes(np.diff(at[known], prepend=0), 4)))
+        out.append((chunk, shard, n, v, _packed(told, 8), _planes(rank[at[known]], 4)))
     return _table(out, _WORDS)
 
 
 def _known(w: Words, answers: dict[int, dict], shards: int) -> tuple[int, int, int, np.ndarray, np.ndarray]:
     """N, V, the bits of a word's number, and of each of the chunk's words its count and number, -1 for unknown ones."""
     count, number = np.zeros(len(w.words), np.int64), np.full(len(w.words), -1, np.int64)
-    n = v = 0
+    n = v = most = 0
     for s, i in enumerate(_by_shard(w.shard, shards)):
         a = answers[s]
         count[i] = _unpacked(a["counts"], 8).astype(np.int64)
-        number[i[count[i] > 0]] = v + np.cumsum(_unplaned(a["ranks"], 4)).astype(np.int64)
-        n, v = n + a["n"], v + a["v"]
-    return n, v, max(1, (v - 1).bit_length()), count, number
+        number[i[count[i] > 0]] = _unplaned(a["ranks"], 4).astype(np.int64) * shards + s
+        n, v, most = n + a["n"], v + a["v"], max(most, a["v"])
+    return n, v, max(1, (most * shards).bit_length()), count, number
 
 
 def _sent(shards: int) -> Callable[[pa.Table, pa.Table], pa.Table]:
