@@ -225,8 +225,10 @@ def linked(probed: DataFrame, classes_: DataFrame, percent: int = 80, stars: tup
     least = open_.groupBy("id", "component", "n").agg(F.max(F.struct("held", "token"))["token"].alias("root"))
     sizes = least.groupBy("component").agg(F.count("*").alias("comp_size"))
     rooted = least.join(sizes, "component").withColumn("gc", F.when(F.col("comp_size") >= group_size, F.col("component"))).withColumn("pool", F.struct("gc", "root"))
-    parts = rooted.groupBy("pool").agg(F.count("*").alias("members"))
-    member = written(rooted.join(parts, "pool").select("id", "n", "component", "gc", F.xxhash64("pool", F.pmod(F.xxhash64("id"), F.ceil(F.col("members") / group_size))).alias("grp")), "members")
+    # A pool may be large: its number of members goes to sixteen places, its documents to one of these each.
+    parts = rooted.groupBy("pool").agg(F.count("*").alias("members")).withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(15))))
+    salted = rooted.withColumn("salt", F.pmod(F.xxhash64("id", F.lit(5)), F.lit(16)).cast("int"))
+    member = written(salted.join(parts, ["pool", "salt"]).select("id", "n", "component", "gc", F.xxhash64("pool", F.pmod(F.xxhash64("id"), F.ceil(F.col("members") / group_size))).alias("grp")), "members")
     matrix = written(open_.select("token", "id", "n").join(member.select("id", "grp", "gc"), "id").groupBy("token", "grp").agg(F.first("gc").alias("gc"), F.min("n").alias("lo"), F.max("n").alias("hi")), "matrix")
     # The groups of a token's largest component do not query each other: all other groups query those and one another.
     main = matrix.groupBy("token", "gc").agg(F.count("*").alias("k")).where("gc is not null").groupBy("token").agg(F.max(F.struct("k", "gc")).alias("m")).select("token", F.col("m.gc").alias("main"))
