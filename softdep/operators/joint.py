@@ -24,10 +24,19 @@ def joint_table(rel: Relation, columns: list[str]) -> DataFrame:
     return (df.where(non_null(columns)) if rel.null_policy == "ignore" else df).groupBy(*columns).agg(F.count("*").alias("f"))
 
 
-def chunks(sets: list[Z], size: int = 16) -> list[list[Z]]:
-    """The sets in lexicographic order, cut into runs: neighbours share most of their columns."""
-    ordered = sorted(sets)
-    return [ordered[i : i + size] for i in range(0, len(ordered), size)]
+def chunks(sets: list[Z], size: int = 16, most: int = 30) -> list[list[Z]]:
+    """The sets in lexicographic order, cut into runs: neighbours share most of their columns. A run has at most most
+    attributes, two columns each, as a grouping id has 64 bits."""
+    out: list[list[Z]] = []
+    held: set[int] = set()
+    for z in sorted(sets):
+        if out and len(out[-1]) < size and len(held | set(z)) <= most:
+            out[-1].append(z)
+            held |= set(z)
+        else:
+            out.append([z])
+            held = set(z)
+    return out
 
 
 def chunk_tables(rel: Relation, sets: list[Z]) -> tuple[DataFrame, dict[Z, int], list[int]]:
@@ -41,7 +50,7 @@ def chunk_tables(rel: Relation, sets: list[Z]) -> tuple[DataFrame, dict[Z, int],
     gid = {z: sum(1 << (width - 1 - names.index(p)) for i in attributes if i not in z for p in rel.physical(i)) for z in sets}
     base = rel.codes.select(*names, "w")
     if len(sets) > 1 and rel.null_free:
-        most = prod(rel.marginals[i][0] for i in attributes if i in rel.marginals)
+        most = prod(rel.marginals[i].values for i in attributes if i in rel.marginals)
         if 4 * most <= rel.size:
             # The chunk's columns have few combinations: count these once and roll the sets up from them.
             base = base.groupBy(*names).agg(F.sum("w").alias("w"))
@@ -51,7 +60,14 @@ def chunk_tables(rel: Relation, sets: list[Z]) -> tuple[DataFrame, dict[Z, int],
     return table.where(nulls == F.bit_count("gid")), gid, attributes
 
 
+#: Attributes to a word of a pattern, as in the right-side masks of the lattice.
+WORD = 62
+
+
 def null_patterns(rel: Relation) -> DataFrame:
-    """(null_mask, n): bit i is set where attribute i is NULL."""
-    mask = reduce(lambda a, b: a + b, [F.when(F.col(f"`{c}`").isNull(), F.lit(1 << i)).otherwise(F.lit(0)).cast("long") for i, c in enumerate(rel.columns)])
-    return rel.df.groupBy(mask.alias("null_mask")).agg(F.count("*").alias("n"))
+    """(null_mask array<long>, n): bit i % 62 of word i // 62 is set where attribute i is NULL."""
+    words = []
+    for at in range(0, rel.m, WORD):
+        bits = [F.when(F.col(f"`{c}`").isNull(), F.lit(1 << k)).otherwise(F.lit(0)).cast("long") for k, c in enumerate(rel.columns[at : at + WORD])]
+        words.append(reduce(lambda a, b: a.bitwiseOR(b), bits))
+    return rel.df.groupBy(F.array(*words).alias("null_mask")).agg(F.count("*").alias("n"))

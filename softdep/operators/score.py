@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from softdep.functions import measures
+from softdep.operators.blocks import block_counts
 from softdep.operators.joint import Z, chunk_tables, chunks
 from softdep.relation import Relation
 
@@ -33,7 +34,7 @@ def _folded(rows: DataFrame) -> DataFrame:
     return total.select("cid", "n", "d_lhs", "d_joint", "max_sum", "d_rhs", (F.coalesce("dis", F.lit(0.0)) / n).alias("disagree_lhs"), F.when(F.col("d_rhs") == 1, 0.0).otherwise(1 - F.col("sq") / (n * n)).alias("disagree_rhs"))
 
 
-def _joint_counts(rel: Relation, cands: list[tuple[int, Candidate]], chunk_size: int) -> DataFrame:
+def joint_counts(rel: Relation, cands: list[tuple[int, Candidate]], chunk_size: int = 16) -> DataFrame:
     """One aggregation for each joint set serves all its candidates, and a scan serves a chunk of sets."""
     wanted: dict[Z, list[tuple[int, int]]] = {}
     for cid, (lhs, rhs) in cands:
@@ -56,7 +57,7 @@ def _joint_counts(rel: Relation, cands: list[tuple[int, Candidate]], chunk_size:
     folded = _folded(reduce(DataFrame.union, parts))
     if not rel.null_free:
         return folded
-    known = spark.createDataFrame([(cid, *rel.marginals[rhs]) for cid, (_, rhs) in cands if rhs in rel.marginals], "cid int, d_rhs long, disagree_rhs double")
+    known = spark.createDataFrame([(cid, rel.marginals[rhs].values, rel.marginals[rhs].disagreement) for cid, (_, rhs) in cands if rhs in rel.marginals], "cid int, d_rhs long, disagree_rhs double")
     return folded.drop("d_rhs", "disagree_rhs").join(known, "cid").select("cid", "n", "d_lhs", "d_joint", "max_sum", "d_rhs", "disagree_lhs", "disagree_rhs")
 
 
@@ -78,35 +79,32 @@ def _shared_counts(rel: Relation, cands: list[tuple[int, Candidate]]) -> DataFra
     return _folded(reduce(DataFrame.union, parts))
 
 
-def counts(rel: Relation, cands: list[tuple[int, Candidate]], kernel: str = "joint", chunk_size: int = 16) -> DataFrame:
+def counts(rel: Relation, cands: list[tuple[int, Candidate]], kernel: str = "blocks", chunk_size: int = 16) -> DataFrame:
     """(cid, n, d_lhs, d_joint, max_sum, d_rhs, disagree_lhs, disagree_rhs); a candidate without a tuple has no row.
 
-    Kernels: 'joint' (default), 'lhs_shared', and 'candidate', an aggregation of its own for each candidate.
+    Kernels: 'blocks' (default: refined partitions, NumPy on blocks of rows), 'blocks_each', which shares nothing between
+    candidates and drops no row; and by SQL aggregates alone 'joint' (joint tables by GROUPING SETS), 'lhs_shared', and
+    'candidate', an aggregation of its own for each candidate.
     """
     if not cands:
         return rel.df.sparkSession.createDataFrame([], COUNTS)
+    if kernel in ("blocks", "blocks_each"):
+        return block_counts(rel, cands, kernel == "blocks")
     if kernel == "joint":
-        return _joint_counts(rel, cands, chunk_size)
+        return joint_counts(rel, cands, chunk_size)
     if kernel == "lhs_shared":
         return _shared_counts(rel, cands)
     return reduce(DataFrame.union, [_shared_counts(rel, [c]) for c in cands])
 
 
-def statistics(rel: Relation, cands: list[Candidate], kernel: str = "joint", complete_rows: int | None = None) -> DataFrame:
-    """S-STATS: lhs and rhs positions, counts, rho, mu_plus, is_exact, bound, sound_bound, g3_error, gain, lift.
-
-    Candidates of one tuple or none have n of 0 or 1 and null scores.
-    """
-    numbered = list(enumerate(cands))
-    listed = rel.df.sparkSession.createDataFrame([(i, list(x), a) for i, (x, a) in numbered] or [], "cid int, lhs array<int>, rhs int")
-    c = listed.join(counts(rel, numbered, kernel), "cid", "left")
+def measured(counted: DataFrame, complete_rows: int | None = None) -> DataFrame:
+    """counted (as counts gives it, other columns kept) with rho, mu_plus, is_exact, bound, sound_bound, g3_error, gain, lift
+    instead of max_sum; null for candidates of one tuple or none."""
     n, d, x, a = F.col("n"), F.col("d_lhs"), F.col("disagree_lhs"), F.col("disagree_rhs")
     some = n > 1
-    scored = c.withColumn("n", F.coalesce("n", F.lit(0)))
-    return scored.select(
-        "cid",
-        "lhs",
-        "rhs",
+    own = [c for c in counted.columns if c not in ("n", "max_sum", "d_lhs", "d_joint", "d_rhs", "disagree_lhs", "disagree_rhs")]
+    return counted.withColumn("n", F.coalesce("n", F.lit(0))).select(
+        *own,
         "n",
         "d_lhs",
         "d_joint",
@@ -124,6 +122,14 @@ def statistics(rel: Relation, cands: list[Candidate], kernel: str = "joint", com
     )
 
 
+def statistics(rel: Relation, cands: list[Candidate], kernel: str = "blocks", complete_rows: int | None = None) -> DataFrame:
+    """S-STATS: cid, lhs and rhs positions, counts and measures of every candidate. Those of one tuple or none have n of 0 or 1
+    and null scores."""
+    numbered = list(enumerate(cands))
+    listed = rel.df.sparkSession.createDataFrame([(i, list(x), a) for i, (x, a) in numbered] or [], "cid int, lhs array<int>, rhs int")
+    return measured(listed.join(counts(rel, numbered, kernel), "cid", "left"), complete_rows)
+
+
 def named(rel: Relation, stats: DataFrame) -> DataFrame:
     """stats with lhs as comma-joined column names and rhs as a name."""
     names = F.array(*map(F.lit, rel.columns))
@@ -147,8 +153,11 @@ def holds_exactly(rel: Relation, lhs: list[str], rhs: str) -> bool:
 
 def marginal_agreement(rel: Relation) -> DataFrame:
     """(attribute, n, d, agreement): chance agreement of each attribute over its non-NULL tuples, in one pass."""
-    sets = [(i,) for i in range(rel.m)]
-    table, gid, _ = chunk_tables(rel, sets)
-    names = rel.df.sparkSession.createDataFrame([(gid[(i,)], c) for i, c in enumerate(rel.columns)], "gid long, attribute string")
-    sums = table.groupBy("gid").agg(F.sum("f").alias("n"), F.count("*").alias("d"), F.sum(F.col("f").cast("double") * F.col("f")).alias("q"))
-    return sums.join(F.broadcast(names), "gid").select("attribute", "n", "d", (F.col("q") / F.col("n").cast("double") / F.col("n")).alias("agreement"))
+    parts = []
+    for at in range(0, rel.m, 24):  # a grouping id has 64 bits
+        sets = [(i,) for i in range(at, min(at + 24, rel.m))]
+        table, gid, _ = chunk_tables(rel, sets)
+        names = rel.df.sparkSession.createDataFrame([(gid[z], rel.columns[z[0]]) for z in sets], "gid long, attribute string")
+        sums = table.groupBy("gid").agg(F.sum("f").alias("n"), F.count("*").alias("d"), F.sum(F.col("f").cast("double") * F.col("f")).alias("q"))
+        parts.append(sums.join(F.broadcast(names), "gid").select("attribute", "n", "d", (F.col("q") / F.col("n").cast("double") / F.col("n")).alias("agreement")))
+    return reduce(DataFrame.union, parts)

@@ -11,22 +11,24 @@ def micros(c):
     return F.unix_micros(F.col(c).cast("timestamp"))
 
 
-def previous_value(df: DataFrame, key: str, ts: str, value: str, alias: str) -> DataFrame:
-    """df with the value of the key's latest strictly earlier row; among equal times the greatest value. Null without one."""
-    w = Window.partitionBy(key).orderBy(micros(ts)).rangeBetween(Window.unboundedPreceding, -1)
-    return df.withColumn(alias, F.max(F.struct(micros(ts).alias("t"), F.col(value).alias("v"))).over(w)["v"])
+def previous_value(df: DataFrame, key: str, ts: str, value: str, alias: str, bucket_seconds: int = 86400) -> DataFrame:
+    """df with the value of the key's latest strictly earlier row; among equal times the greatest value. Null without one.
+    Dealt by key and time bucket, as in asof_join."""
+    earlier = df.select(F.col(key), F.col(ts).alias("__earlier"), F.col(value).alias(alias))
+    return asof_join(df, earlier, key, ts, "__earlier", [alias], bucket_seconds, strict=True)
 
 
-def asof_join(left: DataFrame, right: DataFrame, key: str, ts: str, right_ts: str, columns: list[str], bucket_seconds: int = 86400) -> DataFrame:
-    """left with the columns of right's latest row of the key at or before ts. The key's rows are dealt by time bucket, and the
-    last row of earlier buckets is carried over, so that a key with many rows is no single task's."""
+def asof_join(left: DataFrame, right: DataFrame, key: str, ts: str, right_ts: str, columns: list[str], bucket_seconds: int = 86400, strict: bool = False) -> DataFrame:
+    """left with the columns of right's latest row of the key at or before ts (before ts if strict). The key's rows are dealt
+    by time bucket, and the last row of earlier buckets is carried over, so that a key with many rows is no single task's."""
     slot = lambda c: F.floor(micros(c) / (bucket_seconds * 1_000_000))
     r = right.select(F.col(key), slot(right_ts).alias("__slot"), micros(right_ts).alias("__t"), F.struct(micros(right_ts).alias("t"), *columns).alias("__row"))
     li = left.withColumn("__slot", slot(ts)).withColumn("__t", micros(ts)).withColumn("__row", F.lit(None).cast(r.schema["__row"].dataType))
     slots = li.select(key, "__slot").union(r.select(key, "__slot")).distinct().join(r.groupBy(key, "__slot").agg(F.max("__row").alias("__last")), [key, "__slot"], "left")
     carried = slots.withColumn("__carried", F.last("__last", ignorenulls=True).over(Window.partitionBy(key).orderBy("__slot").rowsBetween(Window.unboundedPreceding, -1))).select(key, "__slot", "__carried")
     both = li.withColumn("__left", F.lit(True)).unionByName(r, allowMissingColumns=True)
-    near = both.withColumn("__near", F.max("__row").over(Window.partitionBy(key, "__slot").orderBy("__t").rangeBetween(Window.unboundedPreceding, 0))).where("__left")
+    inside = Window.partitionBy(key, "__slot").orderBy("__t").rangeBetween(Window.unboundedPreceding, -1 if strict else 0)
+    near = both.withColumn("__near", F.max("__row").over(inside)).where("__left")
     out = near.join(carried, [key, "__slot"], "left").withColumn("__found", F.coalesce("__near", "__carried"))
     return out.select(*left.columns, *(F.col(f"__found.{c}").alias(c) for c in columns))
 

@@ -58,7 +58,7 @@ def candidates(rel: str, max_lhs: int) -> list[tuple[tuple[int, ...], int]]:
 def scored(rel: str, cands: list[tuple[tuple[int, ...], int]], source: str | None = None, cols: list[str] | None = None, name: str = "sc") -> str:
     """CTEs that end in one called name: a row for each candidate with every statistic."""
     c = cols or columns(rel)
-    ctes = [f"rel_{name} AS ({source or RELATIONS[rel][0]})"]
+    ctes = [f"rel_{name} AS MATERIALIZED ({source or RELATIONS[rel][0]})"]
     selects = []
     for i, (x, a) in enumerate(cands):
         xs = [c[p] for p in x]
@@ -70,8 +70,8 @@ def scored(rel: str, cands: list[tuple[tuple[int, ...], int]], source: str | Non
              FROM (SELECT {lhs}, sum(f_) AS s_, CAST(sum(f_ * f_) AS DOUBLE) AS q_, count(*) AS k_, max(f_) AS m_ FROM j{i}_{name} GROUP BY {lhs})) l,
             (SELECT 1 - CAST(sum(s_ * s_) AS DOUBLE) / (CAST(sum(s_) AS DOUBLE) * CAST(sum(s_) AS DOUBLE)) AS da, count(*) AS d_rhs FROM (SELECT {rhs}, sum(f_) AS s_ FROM j{i}_{name} GROUP BY {rhs})) r"""
         )
-    ctes.append(f"raw_{name} AS ({' UNION ALL '.join(selects)})")
-    ctes.append(f"""{name} AS (SELECT *, d_joint = d_lhs AS is_exact, CASE WHEN d_joint = d_lhs OR n = d_lhs OR d_rhs = 1 THEN 0 ELSE dx / da * (n - 1) / (n - d_lhs) END AS rho FROM raw_{name} WHERE n > 1)""")
+    ctes.append(f"raw_{name} AS MATERIALIZED ({' UNION ALL '.join(selects)})")
+    ctes.append(f"""{name} AS MATERIALIZED (SELECT *, d_joint = d_lhs AS is_exact, CASE WHEN d_joint = d_lhs OR n = d_lhs OR d_rhs = 1 THEN 0 ELSE dx / da * (n - 1) / (n - d_lhs) END AS rho FROM raw_{name} WHERE n > 1)""")
     return ",\n".join(ctes)
 
 
@@ -143,7 +143,7 @@ WITH one(a, s) AS (SELECT i, (63 - (1 << i)) - CASE WHEN i = 1 THEN 4 ELSE 0 END
 two AS (SELECT p.a AS a, q.a AS b, (p.s & q.s) & ~(1 << p.a) & ~(1 << q.a) AS s FROM one p JOIN one q ON p.a < q.a),
 three AS (SELECT p.a, p.b, q.b AS c, (p.s & q.s) & ~(1 << p.a) & ~(1 << p.b) & ~(1 << q.b) AS s FROM two p JOIN two q ON p.a = q.a AND p.b < q.b WHERE p.s <> 0 AND q.s <> 0)
 SELECT a || ',' || b AS lhs, CAST(s AS BIGINT) AS mask FROM two WHERE s <> 0 UNION ALL SELECT a || ',' || b || ',' || c, CAST(s AS BIGINT) FROM three WHERE s <> 0"""
-_NE = f"ne AS (SELECT *, {MU} AS mu FROM sc WHERE NOT is_exact)"
+_NE = f"ne AS MATERIALIZED (SELECT *, {MU} AS mu, {KEY} AS key FROM sc WHERE NOT is_exact)"
 _DIRTY2 = scored("dirty", candidates("dirty", 2))
 ORACLES["paradigms_dirty"] = f"WITH {_DIRTY2}, {_NE} " + " UNION ALL ".join(
     [f"SELECT 'threshold {t}' AS paradigm, count(*) AS n_results, round(max(mu), 6) AS best FROM ne WHERE mu >= {t}" for t in (0.5, 0.8, 0.9, 0.95)]
@@ -160,9 +160,8 @@ ORACLES["repairs_market"] = _AUDIT + "SELECT j.c_nationkey, j.market AS found, m
 _DEPTHS = f"WITH {scored('dirty', candidates('dirty', 3))}, " + ", ".join(ranked_cte(out=f"r{k}", where=f"len(lpos) <= {k}") for k in (1, 2, 3))
 ORACLES["depth_overlap_dirty"] = _DEPTHS + " " + " UNION ALL ".join(f"SELECT {k} AS max_lhs, 100.0::DOUBLE * count(*) / 20 AS overlap FROM r{k} a JOIN r{k + 1} b ON a.lpos = b.lpos AND a.rpos = b.rpos WHERE a.rank <= 20 AND b.rank <= 20" for k in (1, 2))
 ORACLES["depth_tau_dirty"] = _DEPTHS + ", taus AS (" + " UNION ALL ".join(f"SELECT {k} AS max_lhs, max(CASE WHEN rank = 20 THEN {MU} END) AS tau FROM r{k}" for k in (1, 2, 3)) + ") SELECT max_lhs, round(tau, 6) AS tau, round(tau - lag(tau) OVER (ORDER BY max_lhs), 6) AS increment FROM taus"
-_SCALE = ["l_linenumber", "l_quantity", "l_discount", "l_tax", "l_returnflag", "l_linestatus"]
-_PAIRS = [((x,), a) for x in range(6) for a in range(6) if x != a]
-ORACLES["scale_rows_lineitem"] = "WITH " + ", ".join(scored("lineitem", _PAIRS, f"SELECT * FROM lineitem WHERE (l_orderkey * 31 + l_linenumber) % 10 < {t}", _SCALE, f"s{t}") for t in (1, 2, 4, 6, 8, 10)) + " " + " UNION ALL ".join(
+_PAIRS = candidates("lineitem", 1)
+ORACLES["scale_rows_lineitem"] = "WITH " + ", ".join(scored("lineitem", _PAIRS, f"SELECT * FROM lineitem WHERE (l_orderkey * 31 + l_linenumber) % 10 < {t}", name=f"s{t}") for t in (1, 2, 4, 6, 8, 10)) + " " + " UNION ALL ".join(
     f"SELECT {t} AS tenths, max(n) AS n, CAST(sum(CASE WHEN is_exact THEN 1 ELSE 0 END) AS BIGINT) AS exact, round(max(CASE WHEN NOT is_exact THEN {MU} END), 6) AS best, round(sum({MU}), 6) AS total FROM s{t}" for t in (1, 2, 4, 6, 8, 10)
 )
 ORACLES["cost_model_table"] = " UNION ALL ".join(
@@ -195,4 +194,147 @@ ORACLES["session_scores_events"] = _windows(
     "o AS (SELECT *, CASE WHEN ts - lag(ts) OVER (ORDER BY ts) <= INTERVAL 20 MINUTE THEN 0 ELSE 1 END AS fresh FROM e), p AS (SELECT *, sum(fresh) OVER (ORDER BY ts ROWS UNBOUNDED PRECEDING) AS sid FROM o), w AS (SELECT ts, event_type, k, min(ts) OVER (PARTITION BY sid) AS a, max(ts) OVER (PARTITION BY sid) + INTERVAL 20 MINUTE AS b FROM p)"
 )
 ORACLES["stream_counts_events"] = f"""WITH {_EV} SELECT '{{"event_type":"' || event_type || '"}}' AS lhs_key, CAST(k AS VARCHAR) AS rhs_value, count(*) AS f FROM e WHERE event_type IS NOT NULL AND k IS NOT NULL GROUP BY ALL"""
-ORACLES["rank_by_rhs_dirty"] = f"WITH {_DIRTY2} SELECT lhs, rhs, round({MU}, 6) AS mu_plus, CAST(rank() OVER (PARTITION BY rhs ORDER BY round({MU}, 6) DESC) AS INTEGER) AS rank FROM sc WHERE NOT is_exact"
+_RANKED = f"r AS (SELECT lhs, rhs, round({MU}, 6) AS mu_plus FROM sc WHERE NOT is_exact)"
+ORACLES["rank_by_rhs_dirty"] = f"""WITH {_DIRTY2}, {_RANKED} SELECT lhs, rhs, mu_plus, CAST(rank() OVER w AS INTEGER) AS rank, CAST(dense_rank() OVER w AS INTEGER) AS dense, round(percent_rank() OVER w, 6) AS percent,
+    CAST(ntile(4) OVER (PARTITION BY rhs ORDER BY mu_plus DESC, lhs) AS INTEGER) AS quarter FROM r WINDOW w AS (PARTITION BY rhs ORDER BY mu_plus DESC)"""
+_MARKETS = ["AFRICA", "AMERICA", "ASIA", "EUROPE", "MIDDLE EAST", "OTHER"]
+ORACLES["contingency_dirty"] = "SELECT c_nationkey, " + ", ".join(f"count(*) FILTER (market = '{m}') AS {m.lower().replace(' ', '_')}" for m in _MARKETS) + f" FROM ({RELATIONS['dirty'][0]}) GROUP BY c_nationkey"
+ORACLES["result_identity_dirty"] = "SELECT 'V' || v AS variant, true AS same FROM range(5) t(v)"
+ORACLES["lattice_tables_dirty"] = ORACLES["topk_dirty_late_all_subsets"]
+ORACLES["sentence_dirty"] = f"WITH {_DIRTY2}, {_NE} SELECT lhs, rhs, round(mu, 6) AS mu_plus FROM ne WHERE rhs = 'market' AND mu >= 0.5 ORDER BY mu DESC, len(lpos), lpos LIMIT 10"
+for _k in ("joint", "shared", "each"):
+    ORACLES[f"scores_l1_{_k}_kernel"] = ORACLES["scores_l1_part"]
+ORACLES["scores_l1_many_blocks"] = ORACLES["scores_l1_doc"]
+ORACLES["null_patterns_bits"] = "WITH b AS (SELECT len(list_filter(embedding[1:64], lambda x: x <= 0)) AS nulls FROM embeddings) SELECT CAST(nulls AS BIGINT) AS nulls, CAST(count(*) AS BIGINT) AS n FROM b GROUP BY nulls"
+
+# The three properties, on all scores to depth 2.
+_INSIDE = "EXISTS (SELECT 1 FROM ne t WHERE t.rpos = s.rpos AND len(t.lpos) < len(s.lpos) AND list_has_all(s.lpos, t.lpos))"
+_PLACED = f"pl AS MATERIALIZED (SELECT *, row_number() OVER (ORDER BY key, len(lpos), lpos, rpos) AS place, NOT {_INSIDE} AS least FROM ne s)"
+_KEPT = """p23 AS (SELECT * FROM pl WHERE place <= 2),
+p13 AS (SELECT * FROM (SELECT *, row_number() OVER (ORDER BY place) AS r FROM pl WHERE least) WHERE r <= 2),
+p12 AS (SELECT * FROM p23 WHERE place < coalesce((SELECT min(place) FROM p23 WHERE NOT least), 3))"""
+ORACLES["properties_dirty"] = f"WITH {_DIRTY2}, {_NE}, {_PLACED}, {_KEPT} " + " UNION ALL ".join(
+    f"""SELECT '{n}' AS kept, NOT EXISTS (SELECT 1 FROM {t} WHERE NOT least) AS minimal,
+    coalesce((SELECT max(mu) FROM pl WHERE place NOT IN (SELECT place FROM {t})) <= (SELECT min(mu) FROM {t}) + 1e-9, true) AS top_k, (SELECT count(*) FROM {t}) = least(2, (SELECT count(*) FROM pl)) AS exactly_k"""
+    for n, t in (("P2P3", "p23"), ("P1P3", "p13"), ("P1P2", "p12"))
+)
+ORACLES["incompatibility_dirty"] = f"""WITH {_DIRTY2}, {_NE}, {_PLACED},
+ch AS (SELECT b.rhs, b.rpos, a.lhs AS small, b.lhs AS large, b.lpos AS big, a.mu AS low, b.mu AS high FROM pl a JOIN pl b ON a.rpos = b.rpos AND len(a.lpos) < len(b.lpos) AND list_has_all(b.lpos, a.lpos)
+  WHERE a.least AND b.mu > a.mu + 1e-9 ORDER BY b.mu DESC, len(b.lpos), b.lpos, b.rpos, a.mu DESC, len(a.lpos), a.lpos LIMIT 1),
+th AS (SELECT p.lhs AS other_lhs, p.rhs AS other_rhs, p.mu AS other FROM pl p, ch WHERE p.least AND p.mu > 0 AND p.mu < low AND NOT list_has_any(list_append(p.lpos, p.rpos), list_append(big, ch.rpos)) ORDER BY p.mu DESC, len(p.lpos), p.lpos, p.rpos LIMIT 1)
+SELECT rhs, small, large, round(low, 6) AS low, round(high, 6) AS high, other_lhs, other_rhs, round(other, 6) AS other FROM ch LEFT JOIN th ON true"""
+
+
+# Reliable fraction of information: the mean overlap under permutations, from the numbers of groups by size.
+def rfi(rel: str, cands: list[tuple[tuple[int, ...], int]]) -> str:
+    c, out, ctes = columns(rel), [], [f"rel AS MATERIALIZED ({RELATIONS[rel][0]})"]
+    for i, (x, a) in enumerate(cands):
+        xs = ", ".join(c[p] for p in x)
+        every = [*(c[p] for p in x), c[a]]
+        ctes.append(f"j{i} AS MATERIALIZED (SELECT {', '.join(every)}, count(*) AS f_ FROM rel WHERE {' AND '.join(f'{v} IS NOT NULL' for v in every)} GROUP BY {', '.join(every)})")
+        for side, by in (("l", xs), ("r", c[a])):
+            ctes.append(f"{side}{i} AS MATERIALIZED (SELECT s, count(*) AS c FROM (SELECT sum(f_) AS s FROM j{i} GROUP BY {by}) GROUP BY s)")
+        ctes.append(
+            f"""e{i} AS MATERIALIZED (SELECT sum(l.c * r.c * k / n * log2(n * k / (l.s * r.s)) * exp(lgamma(l.s + 1) + lgamma(n - l.s + 1) + lgamma(r.s + 1) + lgamma(n - r.s + 1) - lgamma(n + 1) - lgamma(k + 1) - lgamma(l.s - k + 1) - lgamma(r.s - k + 1) - lgamma(n - l.s - r.s + k + 1))) AS e
+            FROM (SELECT CAST(s AS DOUBLE) AS s, c FROM l{i}) l, (SELECT CAST(s AS DOUBLE) AS s, c FROM r{i}) r, (SELECT CAST(sum(f_) AS DOUBLE) AS n FROM j{i}), LATERAL (SELECT CAST(unnest(range(CAST(greatest(1, l.s + r.s - n) AS BIGINT), CAST(least(l.s, r.s) AS BIGINT) + 1)) AS DOUBLE) AS k))"""
+        )
+        h = lambda t, s, w: f"(SELECT -sum({w} * ({s} / n) * log2({s} / n)) FROM {t}, (SELECT CAST(sum(f_) AS DOUBLE) AS n FROM j{i}))"
+        out.append(f"SELECT '{','.join(c[p] for p in x)}' AS lhs, '{c[a]}' AS rhs, (SELECT CAST(sum(f_) AS BIGINT) FROM j{i}) AS n, {h(f'l{i}', 's', 'c')} + {h(f'r{i}', 's', 'c')} - {h(f'j{i}', 'f_', '1')} AS mi, {h(f'r{i}', 's', 'c')} AS top, (SELECT e FROM e{i}) AS e")
+    return f"WITH {', '.join(ctes)}, a AS ({' UNION ALL '.join(out)}) SELECT lhs, rhs, n, round(CASE WHEN top <= 1e-15 OR e / top >= 1 - 1e-12 THEN 0 ELSE greatest(0, (mi / top - e / top) / (1 - e / top)) END, 6) AS rfi FROM a"
+
+
+ORACLES["rfi_plus_dirty"] = rfi("dirty", candidates("dirty", 1))
+
+
+# What a search evaluates: the levels one after the other, with the threshold after each candidate.
+def simulated(rel: str, max_lhs: int, k: int, bound: str | None, exact: bool, tag: str) -> str:
+    """CTEs {tag}1, {tag}2, ...: the candidates that each level evaluates, with gone (its right side goes) and tau. bound:
+    strict or sound or None."""
+    depth = min(max_lhs, len(columns(rel)) - 1)
+    b = {"strict": "b_strict", "sound": "b_sound", None: "NULL"}[bound]
+    out = []
+    for level in range(1, depth + 1):
+        parents = "" if level == 1 else f" AND EXISTS (SELECT 1 FROM {tag}{level - 1} p WHERE NOT p.gone AND p.rpos = s.rpos AND p.lpos = s.lpos[1:{level - 1}]) AND EXISTS (SELECT 1 FROM {tag}{level - 1} p WHERE NOT p.gone AND p.rpos = s.rpos AND p.lpos = list_concat(s.lpos[1:{level - 2}], s.lpos[{level}:{level}]))"
+        if not exact:
+            parents = ""
+        before = "".join(f" UNION ALL SELECT ord, key, false FROM {tag}{x} WHERE NOT ex AND NOT skip" for x in range(1, level))
+        out.append(f"{tag}e{level} AS MATERIALIZED (SELECT * FROM sq s WHERE sz = {level}{parents})")
+        out.append(f"{tag}w{level} AS MATERIALIZED (SELECT ord, now, list_sort(list_filter(list(key) OVER (ORDER BY ord ROWS UNBOUNDED PRECEDING), lambda x: x IS NOT NULL)) AS keys FROM (SELECT ord, CASE WHEN NOT ex AND NOT skip THEN key END AS key, true AS now FROM {tag}e{level}{before}))")
+        out.append(f"{tag}t{level} AS MATERIALIZED (SELECT e.*, CASE WHEN len(keys) >= {k} THEN greatest(0, 1 - keys[{k}]) END AS tau, len(keys) AS offered FROM {tag}e{level} e JOIN {tag}w{level} w ON e.ord = w.ord AND w.now)")
+        out.append(f"{tag}{level} AS MATERIALIZED (SELECT *, coalesce(NOT ex AND NOT skip AND {b} IS NOT NULL AND greatest({b}, 0) <= tau, false) AS weak, ex OR skip OR coalesce({b} IS NOT NULL AND greatest({b}, 0) <= tau, false) AS gone FROM {tag}t{level})")
+    return ",\n".join(out)
+
+
+def sequence_cte(rel: str, max_lhs: int) -> str:
+    """All candidates in the order of evaluation, with both bounds."""
+    complete = f"(SELECT count(*) FROM rel_sc WHERE {' AND '.join(f'{c} IS NOT NULL' for c in columns(rel))})"
+    nu = f"CAST(least(n, greatest(2, {complete})) AS DOUBLE)"
+    return f"""{scored(rel, candidates(rel, max_lhs))},
+    sq AS MATERIALIZED (SELECT *, {KEY} AS key FROM (SELECT *, len(lpos) AS sz, row_number() OVER (ORDER BY len(lpos), lpos, rpos) AS ord, n <= 1 AS skip, n > 1 AND d_joint = d_lhs AS ex,
+      CASE WHEN n <= 1 OR d_joint = d_lhs OR n = d_lhs OR d_rhs = 1 THEN 0 ELSE dx / da * (n - 1) / (n - d_lhs) END AS rho,
+      CASE WHEN n > d_lhs AND da > 0 THEN 1 - (n - 1) / (n * da * (n - d_lhs)) END AS b_strict,
+      CASE WHEN n > d_lhs AND da > 0 THEN 1 - ({nu} - 1) / ({nu} * least(1 - 1.0 / d_rhs, (n / {nu}) * (n / {nu}) * da) * (n - d_lhs)) END AS b_sound FROM raw_sc))"""
+
+
+def theoretical(m: int, max_lhs: int) -> int:
+    return sum(comb(m, x) * (m - x) for x in range(1, min(max_lhs, m - 1) + 1))
+
+
+def cost_row(rel: str, variant: str, k: int, max_lhs: int, tag: str) -> str:
+    m = len(columns(rel))
+    depth = min(max_lhs, m - 1)
+    every = " UNION ALL ".join(f"SELECT ord, ex, skip, tau, offered FROM {tag}{x}" for x in range(1, depth + 1))
+    return f"""SELECT '{rel}' AS name, '{variant}' AS variant, {k} AS k, {depth} AS max_lhs, (SELECT count(*) FROM rel_sc) AS n, {m} AS m, count(*) AS ecn, round(1 - count(*) / CAST({theoretical(m, max_lhs)} AS DOUBLE), 6) AS pruning_ratio,
+    count(*) FILTER (ex) AS exact, round(coalesce(arg_max(tau, ord) FILTER (offered >= {k}), -1), 6) AS tau, CAST(least({k}, max(offered)) AS INTEGER) AS n_results FROM ({every})"""
+
+
+def _bound(rel: str) -> str:
+    return "sound" if rel in ("doc", "dirty", "nullbreak") else "strict"
+
+
+_MODES = {"V0": lambda r: (None, False), "V1": lambda r: (None, False), "V2": lambda r: (None, False), "V3": lambda r: (None, True), "V4": lambda r: (_bound(r), True), "off": lambda r: (None, True), "heuristic": lambda r: ("strict", True), "sound": lambda r: ("sound", True)}
+
+
+def costs(rel: str, max_lhs: int, runs: list[tuple[str, int]]) -> str:
+    """A row for each (variant, k)."""
+    tags = [f"{v.lower()}_{k}_" for v, k in runs]
+    return f"WITH {sequence_cte(rel, max_lhs)},\n" + ",\n".join(simulated(rel, max_lhs, k, *_MODES[v](rel), t) for (v, k), t in zip(runs, tags, strict=True)) + "\n" + " UNION ALL ".join(cost_row(rel, v, k, max_lhs, t) for (v, k), t in zip(runs, tags, strict=True))
+
+
+for _r, _l in {"orders": 5, "customer": 4, "part": 5, "events": 5, "doc": 5, "dirty": 5, "conv": 5, "page": 5}.items():
+    ORACLES[f"overall_{_r}"] = costs(_r, _l, [("V0", 20), ("V4", 20)])
+for _r in ("orders", "dirty", "events"):
+    ORACLES[f"workload_ablation_{_r}"] = costs(_r, 5, [(v, 20) for v in ("V0", "V1", "V2", "V3", "V4")])
+ORACLES["workload_scale_k"] = " UNION ALL ".join(f"SELECT * FROM ({costs(r, 3, [('V4', k) for k in (5, 10, 20, 50, 100)])})" for r in ("dirty", "doc"))
+ORACLES["workload_null_bound"] = " UNION ALL ".join(f"SELECT * FROM ({costs(r, d, [(v, k) for v in ('off', 'heuristic', 'sound')])})" for r, k, d in (("doc", 20, 3), ("dirty", 20, 3), ("nullbreak", 1, 2)))
+_LEVELS = []
+for _v, _t in (("V0", "v0_20_"), ("V3", "v3_20_"), ("V4", "v4_20_")):
+    _sum = " + ".join(f"(SELECT count(*) FROM {_t}{x})" for x in range(1, 6))
+    _LEVELS += [
+        f"SELECT '{_v}' AS variant, {x} AS level, count(*) AS ecn, CAST({' + '.join(f'(SELECT count(*) FROM {_t}{y})' for y in range(1, x + 1))} AS BIGINT) AS running_ecn, count(*) FILTER (ex) AS exact, count(*) FILTER (weak) AS bound_pruned, round(coalesce(arg_max(tau, ord) FILTER (offered >= 20), -1), 6) AS tau, round(1 - ({_sum}) / CAST({theoretical(6, 5)} AS DOUBLE), 6) AS pruning_ratio FROM {_t}{x} HAVING count(*) > 0"
+        for x in range(1, 6)
+    ]
+ORACLES["ecn_report_orders"] = f"WITH {sequence_cte('orders', 5)}, " + ", ".join(simulated("orders", 5, 20, *_MODES[v]("orders"), f"{v.lower()}_20_") for v in ("V0", "V3", "V4")) + " " + " UNION ALL ".join(_LEVELS)
+
+
+def sweep(rel: str, most: int, k: int = 20) -> str:
+    """Threshold and overlap by depth, from the list of each depth."""
+    depth = min(most, len(columns(rel)) - 1)
+    lists = ", ".join(ranked_cte(out=f"r{x}", where=f"len(lpos) <= {x}") for x in range(1, depth + 1))
+    share = lambda x: f"(SELECT 100.0::DOUBLE * count(*) / {k} FROM r{x} a JOIN r{x + 1} b ON a.lpos = b.lpos AND a.rpos = b.rpos WHERE a.rank <= {k} AND b.rank <= {k})" if x < depth else "CAST(NULL AS DOUBLE)"
+    return f"WITH {scored(rel, candidates(rel, depth))}, {lists} " + " UNION ALL ".join(f"SELECT '{rel}' AS name, {x} AS max_lhs, round(coalesce(max(CASE WHEN rank = {k} THEN {MU} END), -1), 6) AS tau, {share(x)} AS overlap FROM r{x}" for x in range(1, depth + 1))
+
+
+for _r in ("events", "doc", "dirty"):
+    ORACLES[f"workload_depth_{_r}"] = sweep(_r, 6)
+ORACLES["workload_paradigms"] = f"WITH {scored('dirty', candidates('dirty', 3))}, {_NE} " + " UNION ALL ".join(
+    [f"SELECT 'threshold {t}' AS paradigm, count(*) AS n_results, round(max(mu), 6) AS best FROM ne WHERE mu >= {t}" for t in (0.5, 0.8, 0.9, 0.95)]
+    + ["SELECT 'fixed market', count(*), round(max(mu), 6) FROM (SELECT mu FROM ne WHERE rhs = 'market' ORDER BY mu DESC LIMIT 10)", "SELECT 'global', count(*), round(max(mu), 6) FROM (SELECT mu FROM ne ORDER BY mu DESC LIMIT 20)"]
+)
+ORACLES["workload_case_study"] = f"""WITH {scored('dirty', candidates('dirty', 3))}, {ranked_cte()}, t AS (SELECT * FROM ranked WHERE rank <= 20)
+SELECT CAST(rank AS INTEGER) AS rank, lhs, rhs, round({MU}, 6) AS mu_plus, CAST(n - top AS BIGINT) AS n_violations, CAST((SELECT count(DISTINCT rhs) FROM t u WHERE u.rank <= t.rank) AS INTEGER) AS distinct_rhs,
+round((SELECT count(DISTINCT rhs) FROM t u WHERE u.rank <= t.rank) / CAST(rank AS DOUBLE), 6) AS rhs_per_rank FROM t"""
+# On sign bits no dependency is exact and nothing is pruned: the numbers follow from the number of columns alone.
+ORACLES["workload_scale_columns"] = " UNION ALL ".join(
+    f"SELECT 'bits {b}' AS name, '{v}' AS variant, {b + 1} AS m, (SELECT count(*) FROM embeddings) AS n, CAST({theoretical(b + 1, 2)} AS BIGINT) AS ecn, CAST(0 AS BIGINT) AS exact, 20 AS n_results" for b in (8, 12, 16, 20, 32, 64) for v in ("V0", "V4")
+)

@@ -6,7 +6,7 @@ from collections.abc import Iterator
 from itertools import combinations
 from math import comb
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 Level = dict[tuple[int, ...], int]
@@ -66,7 +66,7 @@ def next_level_df(level: DataFrame, all_subsets: bool = False) -> DataFrame:
     joined = a.join(b, (F.col("a.prefix") == F.col("b.prefix")) & (F.col("a.last") < F.col("b.last")))
     out = joined.select(F.concat("a.lhs", F.array("b.last")).alias("lhs"), F.col("a.lhs").alias("prefix"), F.col("b.last").alias("last"), both.alias("both"))
     # The new members leave the mask.
-    out = out.select("lhs", "prefix", "last", F.transform("both", lambda x, w: x.bitwiseAND(F.bitwise_not(_own_bits(F.col("lhs"), w)))).alias("s_mask"))
+    out = out.select("lhs", "prefix", "last", unset("both", F.col("lhs")).alias("s_mask"))
     if all_subsets:
         one = out.withColumn("i", F.explode(F.sequence(F.lit(1), F.size("lhs"))))
         subset = F.concat(F.slice("lhs", F.lit(1), F.col("i") - 1), F.slice("lhs", F.col("i") + 1, F.size("lhs")))
@@ -76,6 +76,13 @@ def next_level_df(level: DataFrame, all_subsets: bool = False) -> DataFrame:
     return out.where(F.exists("s_mask", lambda x: x != 0))
 
 
-def _own_bits(lhs, word):
+def unset(mask: str, members: Column) -> Column:
+    """mask without the bits of members."""
     zero = F.lit(0).cast("long")
-    return F.aggregate(lhs, zero, lambda acc, i: acc.bitwiseOR(F.when(F.floor(i / 62) == word, F.pow(F.lit(2.0), F.pmod(i, F.lit(62))).cast("long")).otherwise(zero)))
+    own = lambda word: F.aggregate(members, zero, lambda acc, i: acc.bitwiseOR(F.when(F.floor(i / 62) == word, F.pow(F.lit(2.0), F.pmod(i, F.lit(62))).cast("long")).otherwise(zero)))
+    return F.transform(mask, lambda x, w: x.bitwiseAND(F.bitwise_not(own(w))))
+
+
+def held(mask: str, m: int) -> Column:
+    """The attributes whose bits are set, as an array."""
+    return F.filter(F.sequence(F.lit(0), F.lit(m - 1)), lambda i: F.getbit(F.element_at(mask, F.floor(i / 62).cast("int") + 1), F.pmod(i, F.lit(62))) == 1)

@@ -4,17 +4,19 @@ from __future__ import annotations
 
 import uuid
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from softdep import fixtures, workloads
-from softdep.operators import audit, joint, reliable, score, temporal, theory
+from softdep.functions import measures, sqlfront
+from softdep.operators import audit, blocks, joint, reliable, score, temporal, theory
 from softdep.plans import lattice, report
 from softdep.plans.search import Options, exact_dependencies, search, threshold_discovery
 from softdep.relation import Relation
 from softdep.shared import shared_dir
-from softdep.sources.tables import load, relation
+from softdep.sources.tables import load, relation, sign_bits
 from softdep.streaming import audit as stream_audit
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -94,14 +96,13 @@ QUERIES["bound_table_orders"] = lambda s, d: score.named(r := relation(s, d, "or
 @query("sound_bound_doc")
 def sound_bound_doc(spark: SparkSession, sf_dir: str) -> DataFrame:
     rel = relation(spark, sf_dir, "doc")
-    complete = joint.null_patterns(rel).where("null_mask = 0").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-    return score.named(rel, all_stats(rel, 1, complete)).where("not is_exact").select("lhs", "rhs", r6("sound_bound"))
+    return score.named(rel, all_stats(rel, 1, rel.profile.complete)).where("not is_exact").select("lhs", "rhs", r6("sound_bound"))
 
 
 @query("rfi_plus_dirty")
 def rfi_plus_dirty(spark: SparkSession, sf_dir: str) -> DataFrame:
     rel = relation(spark, sf_dir, "dirty")
-    return score.named(rel, reliable.rfi_frame(rel, list(lattice.enumerate_candidates(rel.m, 1)), permutations=20)).select("lhs", "rhs", "n", r6("rfi"))
+    return score.named(rel, reliable.rfi_frame(rel, list(lattice.enumerate_candidates(rel.m, 1)))).select("lhs", "rhs", "n", r6("rfi"))
 
 
 # Exact dependencies.
@@ -112,7 +113,7 @@ for _name in ("customer", "dirty"):
 
 # Searches.
 for _v in ("V0", "V1", "V2", "V3", "V4"):
-    QUERIES[f"topk_{_v.lower()}_part"] = lambda s, d, v=_v: joined(search(relation(s, d, "part"), Options(20, 2, v, kernel="lhs_shared" if v == "V2" else "joint")).frame())
+    QUERIES[f"topk_{_v.lower()}_part"] = lambda s, d, v=_v: joined(search(relation(s, d, "part"), Options(20, 2, v)).frame())
 TOPK_DEPTH = {"orders": 3, "events": 2, "doc": 2, "dirty": 3}
 for _name, _l in TOPK_DEPTH.items():
     QUERIES[f"topk_v4_{_name}"] = lambda s, d, n=_name, k=_l: joined(search(relation(s, d, n), Options(20, k)).frame())
@@ -213,24 +214,18 @@ def ecn_report_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
     rel = relation(spark, sf_dir, "orders")
     frames = [search(rel, Options(20, 5, v)).report.frame(spark) for v in ("V0", "V3", "V4")]
     w = Window.partitionBy("variant").orderBy("level").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    return frames[0].union(frames[1]).union(frames[2]).select("variant", "level", "ecn", F.sum("ecn").over(w).alias("running_ecn"), "exact", r6("tau"), r6("pruning_ratio"))
-
-
-SCALE_COLUMNS = ["l_linenumber", "l_quantity", "l_discount", "l_tax", "l_returnflag", "l_linestatus"]
+    return reduce(DataFrame.union, frames).select("variant", "level", "ecn", F.sum("ecn").over(w).alias("running_ecn"), "exact", "bound_pruned", r6("tau"), r6("pruning_ratio"))
 
 
 @query("scale_rows_lineitem")
 def scale_rows_lineitem(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All columns of growing parts of lineitem: how many dependencies are exact, the best other score, and their sum."""
     li = load(spark, sf_dir, "lineitem").withColumn("bucket", (F.col("l_orderkey") * 31 + F.col("l_linenumber")) % 10)
     parts = []
     for tenths in (1, 2, 4, 6, 8, 10):
-        rel = Relation.of(li.where(F.col("bucket") < tenths).select(*SCALE_COLUMNS))
-        s = all_stats(rel, 1)
+        s = all_stats(Relation.of(li.where(F.col("bucket") < tenths).drop("bucket")), 1)
         parts.append(s.agg(F.lit(tenths).alias("tenths"), F.max("n").alias("n"), F.sum(F.col("is_exact").cast("long")).alias("exact"), F.round(F.max(F.when(~F.col("is_exact"), F.col("mu_plus"))), 6).alias("best"), F.round(F.sum("mu_plus"), 6).alias("total")))
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.union(p)
-    return out
+    return reduce(DataFrame.union, parts)
 
 
 @query("cost_model_table")
@@ -240,7 +235,34 @@ def cost_model_table(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 # Aggregation, joins, windows, streams.
-QUERIES["null_patterns_doc"] = lambda s, d: joint.null_patterns(relation(s, d, "doc"))
+QUERIES["null_patterns_doc"] = lambda s, d: joint.null_patterns(relation(s, d, "doc")).select(F.col("null_mask")[0].alias("null_mask"), "n")
+
+
+@query("null_patterns_bits")
+def null_patterns_bits(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Of 65 columns, in which every negative sign is a NULL: how many rows have each number of them."""
+    df = sign_bits(load(spark, sf_dir, "embeddings"), 64)
+    rel = Relation.of(df.select(*(F.when(F.col(c) == 1, 1).alias(c) for c in df.columns if c != "label"), "label"))
+    ones = F.aggregate("null_mask", F.lit(0), lambda a, w: a + F.bit_count(w))
+    return joint.null_patterns(rel).groupBy(ones.cast("long").alias("nulls")).agg(F.sum("n").alias("n"))
+
+
+for _name, _kernel in (("joint", "joint"), ("shared", "lhs_shared"), ("each", "candidate")):
+    QUERIES[f"scores_l1_{_name}_kernel"] = lambda s, d, k=_kernel: score.named(r := relation(s, d, "part"), score.statistics(r, list(lattice.enumerate_candidates(r.m, 1)), k)).select("lhs", "rhs", "n", "d_lhs", "d_joint", r6("mu_plus"), "is_exact")
+QUERIES["scores_l1_many_blocks"] = lambda s, d: _many_blocks(relation(s, d, "doc"))
+
+
+def _many_blocks(rel: Relation) -> DataFrame:
+    """The score table from counts in blocks of a tenth of the relation."""
+    cands = list(enumerate(lattice.enumerate_candidates(rel.m, 1)))
+    return score_frame(rel, blocks.block_counts(rel, cands, block_rows=max(2, rel.size // 10)), cands)
+
+
+def score_frame(rel: Relation, counted: DataFrame, cands: list) -> DataFrame:
+    listed = rel.df.sparkSession.createDataFrame([(i, list(x), a) for i, (x, a) in cands], "cid int, lhs array<int>, rhs int")
+    n = F.col("n")
+    mu = measures.mu_plus(n, F.col("d_lhs"), F.col("disagree_lhs"), F.col("disagree_rhs"))
+    return score.named(rel, listed.join(counted, "cid")).where("n > 1").select("lhs", "rhs", "n", "d_lhs", "d_joint", F.round(mu, 6).alias("mu_plus"), (F.col("d_joint") == F.col("d_lhs")).alias("is_exact"))
 QUERIES["joint_table_doc"] = lambda s, d: joint.joint_table(relation(s, d, "doc"), ["lang", "quality", "toxic"])
 QUERIES["grouping_sets_part"] = lambda s, d: load(s, d, "part").groupingSets([["p_brand"], ["p_type"], ["p_brand", "p_type"]], "p_brand", "p_type").agg(F.count("*").alias("f"), F.grouping_id().cast("long").alias("gid"))
 QUERIES["cube_part"] = lambda s, d: load(s, d, "part").cube("p_brand", "p_type").agg(F.count("*").alias("f"), F.max("p_size").alias("max_size"))
@@ -289,18 +311,61 @@ def stream_counts_events(spark: SparkSession, sf_dir: str) -> DataFrame:
     base = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
     watched = stream.select("ts", "event_type", F.from_json("props", "k int")["k"].alias("k"))
     stream_audit.stream_counts(watched, WATCHED, f"{base}/counts", f"{base}/state").awaitTermination()
-    return spark.read.parquet(f"{base}/counts")
+    return stream_audit.merged_counts(spark, f"{base}/counts")
 
 
 @query("rank_by_rhs_dirty")
 def rank_by_rhs_dirty(spark: SparkSession, sf_dir: str) -> DataFrame:
     s = score_table(relation(spark, sf_dir, "dirty"), 2).where("n > 1 and not is_exact")
-    return s.select("lhs", "rhs", "mu_plus", F.rank().over(Window.partitionBy("rhs").orderBy(F.desc("mu_plus"))).alias("rank"))
+    w = Window.partitionBy("rhs").orderBy(F.desc("mu_plus"))
+    each = Window.partitionBy("rhs").orderBy(F.desc("mu_plus"), "lhs")
+    return s.select("lhs", "rhs", "mu_plus", F.rank().over(w).alias("rank"), F.dense_rank().over(w).alias("dense"), F.round(F.percent_rank().over(w), 6).alias("percent"), F.ntile(4).over(each).alias("quarter"))
+
+
+@query("contingency_dirty")
+def contingency_dirty(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The joint counts of a dependency as a table of left by right values."""
+    df = relation(spark, sf_dir, "dirty").df
+    markets = ["AFRICA", "AMERICA", "ASIA", "EUROPE", "MIDDLE EAST", "OTHER"]
+    return df.groupBy("c_nationkey").pivot("market", markets).agg(F.count("*")).select("c_nationkey", *(F.coalesce(m, F.lit(0)).alias(m.lower().replace(" ", "_")) for m in markets))
+
+
+@query("result_identity_dirty")
+def result_identity_dirty(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Whether each variant's list is that of the exhaustive search."""
+    rel = relation(spark, sf_dir, "dirty")
+    lists = {v: search(rel, Options(20, 3, v)).frame() for v in ("V0", "V1", "V2", "V3", "V4")}
+    return spark.createDataFrame([(v, report.same_result(lists["V0"], x)) for v, x in lists.items()], "variant string, same boolean")
+
+
+@query("lattice_tables_dirty")
+def lattice_tables_dirty(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A search whose levels after the first are tables."""
+    return joined(search(relation(spark, sf_dir, "dirty"), Options(20, 3, lattice_rows=0)).frame())
+
+
+@query("sentence_dirty")
+def sentence_dirty(spark: SparkSession, sf_dir: str) -> DataFrame:
+    relation(spark, sf_dir, "dirty").df.createOrReplaceTempView("softdep_dirty")
+    found = sqlfront.sql(spark, "DISCOVER TOP 10 DEPENDENCIES FROM softdep_dirty MAX LHS 2 FOR market ABOVE 0.5")
+    return found.select(F.array_join("lhs", ",").alias("lhs"), "rhs", F.round("score", 6).alias("mu_plus"))
+
+
+# Workloads: all columns of their results but the seconds.
+def _rounded(df: DataFrame) -> DataFrame:
+    return df.drop("seconds").withColumns({c: F.round(c, 6) for c in ("pruning_ratio", "tau") if c in df.columns})
 
 
-# Workloads whose results hold run times or search costs: rows only.
-QUERIES["workload_scale_k"] = lambda s, d: workloads.scale_k(s, d, ("dirty",), 2).drop("seconds")
-QUERIES["workload_ablation_orders"] = lambda s, d: workloads.ablation(s, d, ("orders",)).drop("seconds")
-QUERIES["workload_null_bound"] = lambda s, d: workloads.null_bound(s, d).drop("seconds")
-QUERIES["workload_depth_doc"] = lambda s, d: workloads.depth(s, d, ("doc",), 3).drop("seconds")
-QUERIES["workload_case_study"] = lambda s, d: workloads.case_study(s, d, max_lhs=2, k=5)
+for _name in workloads.DEPTH:
+    QUERIES[f"overall_{_name}"] = lambda s, d, n=_name: _rounded(workloads.overall(s, d, (n,)))
+for _name in workloads.SWEEP:
+    QUERIES[f"workload_depth_{_name}"] = lambda s, d, n=_name: _rounded(workloads.depth(s, d, (n,)))
+for _name in workloads.ABLATION:
+    QUERIES[f"workload_ablation_{_name}"] = lambda s, d, n=_name: _rounded(workloads.ablation(s, d, (n,)))
+QUERIES["workload_scale_rows"] = lambda s, d: _rounded(workloads.scale_rows(s, d))
+QUERIES["workload_scale_columns"] = lambda s, d: workloads.scale_columns(s, d).select("name", "variant", "m", "n", "ecn", "exact", "n_results")
+QUERIES["workload_scale_columns_wide"] = lambda s, d: _rounded(workloads.scale_columns_wide(s, d))
+QUERIES["workload_scale_k"] = lambda s, d: _rounded(workloads.scale_k(s, d))
+QUERIES["workload_null_bound"] = lambda s, d: _rounded(workloads.null_bound(s, d))
+QUERIES["workload_paradigms"] = lambda s, d: workloads.paradigms(s, d).withColumn("best", F.round("best", 6))
+QUERIES["workload_case_study"] = lambda s, d: workloads.case_study(s, d).withColumns({"mu_plus": F.round("mu_plus", 6), "rhs_per_rank": F.round("rhs_per_rank", 6)})

@@ -3,17 +3,35 @@
 from __future__ import annotations
 
 from dataclasses import dataclass, field
+from typing import NamedTuple
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 
+class Profile(NamedTuple):
+    """Tuples, those without any NULL, NULLs by attribute, and about how many tuples differ."""
+
+    rows: int
+    complete: int
+    nulls: tuple[int, ...]
+    distinct: int
+
+
+class Marginal(NamedTuple):
+    """Of an attribute over its non-NULL tuples: values, chance disagreement, tuples of the most frequent value."""
+
+    values: int
+    disagreement: float
+    largest: int
+
+
 @dataclass(eq=False)
 class Relation:
     """df restricted to columns, in order. Positions in columns identify attributes everywhere else.
 
-    wide keys strings and floating-point values by 128 hash bits instead of 64; integral values are always keyed exactly.
+    wide keys strings and nested values by 128 hash bits instead of 64; integral and floating-point values are keyed exactly.
     null_policy 'ignore' leaves tuples with a NULL among a candidate's columns out of that candidate; 'as_value' takes NULL
     as one more value. collapse keeps equal tuples as one with a weight; None does so where a sketch says that at most half
     of them differ.
@@ -26,8 +44,8 @@ class Relation:
     null_policy: str = "ignore"
     collapse: bool | None = None
     _codes: DataFrame | None = field(default=None, repr=False)
-    _marginals: dict[int, tuple[int, float]] | None = field(default=None, repr=False)
-    _null_free: bool | None = field(default=None, repr=False)
+    _marginals: dict[int, Marginal] | None = field(default=None, repr=False)
+    _profile: Profile | None = field(default=None, repr=False)
     _size: int | None = field(default=None, repr=False)
 
     @staticmethod
@@ -44,64 +62,78 @@ class Relation:
 
     def physical(self, i: int) -> list[str]:
         """Names of the code columns of attribute i."""
-        return [f"c{i}", f"c{i}w"] if self.wide and not _is_integral(self.df.schema[self.columns[i]].dataType) else [f"c{i}"]
+        return [f"c{i}", f"c{i}w"] if self.wide and not _is_exact(self.df.schema[self.columns[i]].dataType) else [f"c{i}"]
+
+    @property
+    def _coded(self) -> DataFrame:
+        out = []
+        for i, name in enumerate(self.columns):
+            kind = self.df.schema[name].dataType
+            for k, alias in enumerate(self.physical(i)):
+                code = _code(F.col(f"`{name}`"), kind, k)
+                out.append((F.coalesce(code, F.lit(-(2**62) - k)) if self.null_policy == "as_value" else code).alias(alias))
+        return self.df.select(*out)
+
+    @property
+    def profile(self) -> Profile:
+        """One pass over the tuples; a number for each attribute reaches the driver, whatever patterns the NULLs form."""
+        if self._profile is None:
+            coded = self._coded
+            firsts = [self.physical(i)[0] for i in range(self.m)]
+            whole = F.forall(F.array(*firsts), lambda c: c.isNotNull())
+            r = coded.agg(F.count(F.lit(1)), F.count_if(whole), F.approx_count_distinct(F.xxhash64(*coded.columns)), *(F.count(c) for c in firsts)).first()
+            self._profile = Profile(r[0], r[1], tuple(r[0] - x for x in r[3:]), r[2])
+        return self._profile
+
+    @property
+    def weighted(self) -> bool:
+        """Whether equal tuples are kept once."""
+        return 2 * self.profile.distinct <= self.profile.rows if self.collapse is None else self.collapse
 
     @property
     def codes(self) -> DataFrame:
         """One or two long columns for each attribute, equal for equal values, and a weight w. Persisted on first use."""
         if self._codes is None:
-            out = []
-            for i, name in enumerate(self.columns):
-                kind = self.df.schema[name].dataType
-                for k, alias in enumerate(self.physical(i)):
-                    code = _code(F.col(f"`{name}`"), kind, k)
-                    out.append((F.coalesce(code, F.lit(-(2**62) - k)) if self.null_policy == "as_value" else code).alias(alias))
-            coded = self.df.select(*out)
-            every = coded.columns
-            fewer = self.collapse
-            if fewer is None:
-                n, d = coded.agg(F.count(F.lit(1)), F.approx_count_distinct(F.xxhash64(*every))).first()
-                fewer = 2 * d <= n
-            self._codes = (coded.groupBy(*every).agg(F.count(F.lit(1)).alias("w")) if fewer else coded.withColumn("w", F.lit(1).cast("long"))).persist()
+            coded = self._coded
+            self._codes = (coded.groupBy(*coded.columns).agg(F.count(F.lit(1)).alias("w")) if self.weighted else coded.withColumn("w", F.lit(1).cast("long"))).persist()
         return self._codes
 
     @property
     def size(self) -> int:
         """Number of rows of codes."""
         if self._size is None:
-            self._size = self.codes.count()
+            self._size = self.codes.count() if self.weighted else self.profile.rows
         return self._size
 
     @property
     def null_free(self) -> bool:
         """Whether no tuple is left out of any candidate."""
-        if self._null_free is None:
-            firsts = [self.physical(i)[0] for i in range(self.m)]
-            self._null_free = self.codes.where(" or ".join(f"{c} is null" for c in firsts)).isEmpty()
-        return self._null_free
+        return not any(self.profile.nulls)
 
     @property
-    def marginals(self) -> dict[int, tuple[int, float]]:
-        """Of each attribute the number of values and the chance disagreement over all its tuples, by one aggregation."""
+    def marginals(self) -> dict[int, Marginal]:
+        """Of each attribute with a value, by one aggregation for every 24 attributes."""
         if self._marginals is None:
-            sets = [[F.col(p) for p in self.physical(i)] for i in range(self.m)]
-            names = [p for i in range(self.m) for p in self.physical(i)]
-            grouped = self.codes.groupingSets(sets, *names).agg(F.sum("w").alias("s"), F.grouping_id().alias("gid"))
-            rows = grouped.groupBy("gid").agg(F.count(F.lit(1)).alias("d"), F.sum("s").alias("n"), F.sum(F.col("s").cast("double") * F.col("s")).alias("q")).collect()
-            width = len(names)
-            by = {r["gid"]: r for r in rows}
-            gid = lambda i: sum(1 << (width - 1 - k) for k, p in enumerate(names) if p not in self.physical(i))
-            self._marginals = {i: (r["d"], 0.0 if r["d"] == 1 else 1 - r["q"] / r["n"] / r["n"]) for i in range(self.m) if (r := by.get(gid(i)))}
+            self._marginals = {}
+            for at in range(0, self.m, 24):
+                some = range(at, min(at + 24, self.m))
+                names = [p for i in some for p in self.physical(i)]
+                gid = {sum(1 << (len(names) - 1 - k) for k, p in enumerate(names) if p not in self.physical(i)): i for i in some}
+                grouped = self.codes.groupingSets([[F.col(p) for p in self.physical(i)] for i in some], *names).agg(F.sum("w").alias("s"), F.grouping_id().alias("gid"))
+                held = grouped.where(F.coalesce(*(F.col(self.physical(i)[0]) for i in some)).isNotNull())
+                sums = held.groupBy("gid").agg(F.count(F.lit(1)).alias("d"), F.sum("s").alias("n"), F.sum(F.col("s").cast("double") * F.col("s")).alias("q"), F.max("s").alias("top"))
+                self._marginals |= {gid[r["gid"]]: Marginal(r["d"], 0.0 if r["d"] == 1 else 1 - r["q"] / r["n"] / r["n"], r["top"]) for r in sums.collect()}
         return self._marginals
 
     def release(self) -> None:
         if self._codes is not None:
             self._codes.unpersist()
-        self._codes = self._marginals = self._null_free = self._size = None
+        self._codes = self._marginals = self._profile = self._size = None
 
 
-def _is_integral(kind: T.DataType) -> bool:
-    return isinstance(kind, (T.IntegralType, T.BooleanType, T.DateType, T.TimestampType))
+def _is_exact(kind: T.DataType) -> bool:
+    """Whether one long tells values apart: as itself, or as a hash, which is one to one on 64 bits."""
+    return isinstance(kind, (T.IntegralType, T.BooleanType, T.DateType, T.TimestampType, T.FloatType, T.DoubleType))
 
 
 def _code(c: Column, kind: T.DataType, salt: int) -> Column:

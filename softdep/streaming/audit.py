@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from softdep.functions import measures
@@ -37,34 +37,57 @@ def scored(counts: DataFrame, by: list[str]) -> DataFrame:
     return both.select(*by, "n", "d_lhs", "d_joint", F.when(F.col("n") > 1, measures.mu_plus(n, F.col("d_lhs"), F.col("dis") / n, dis_a)).alias("mu_plus"))
 
 
-def windowed_scores(events: DataFrame, ad: Watched, ts: str = "ts", window: str = "1 day", slide: str | None = None, session_gap: str | None = None, watermark: str | None = None) -> DataFrame:
-    """Scores by tumbling, sliding or session window, of a batch. A stream uses stream_windowed, which scores each batch's
-    finished windows. Session windows here are those of all rows, not of one key."""
-    w = F.session_window(ts, session_gap) if session_gap else F.window(ts, window, slide)
+def sessions(events: DataFrame, ts: str, gap: str) -> DataFrame:
+    """(slot, start, end): the session of each time slot as long as the gap that has a row. Rows of a slot are of one session,
+    so that sessions follow from the first and last time of each slot: the one ordered pass is over slots, of which there
+    are as many as the time span has gaps, whatever the number of rows."""
+    micros = F.unix_micros(F.timestamp_micros(F.lit(0)) + F.expr(f"interval {gap}"))
+    slots = events.select(F.unix_micros(F.col(ts).cast("timestamp")).alias("t"), micros.alias("gap")).where("t is not null")
+    slots = slots.groupBy(F.floor(F.col("t") / F.col("gap")).alias("slot"), "gap").agg(F.min("t").alias("a"), F.max("t").alias("b"))
+    in_order = Window.orderBy("slot")
+    fresh = slots.withColumn("fresh", F.when(F.col("a") - F.lag("b").over(in_order) <= F.col("gap"), 0).otherwise(1))
+    numbered = fresh.withColumn("sid", F.sum("fresh").over(in_order))
+    bounds = numbered.groupBy("sid").agg(F.min("a").alias("a"), (F.max("b") + F.max("gap")).alias("b"))
+    return numbered.select("sid", "slot").join(bounds, "sid").select("slot", F.timestamp_micros("a").alias("start"), F.timestamp_micros("b").alias("end"))
+
+
+def windowed_scores(events: DataFrame, ad: Watched, ts: str = "ts", window: str = "1 day", slide: str | None = None, session_gap: str | None = None) -> DataFrame:
+    """Scores by tumbling, sliding or session window, of a batch. A stream uses stream_counts with a window, which counts each
+    batch's finished windows. Session windows here are those of all rows, not of one key."""
     if session_gap:
-        # A session is closed over all rows, so its bounds come first and the rows join it by time.
-        bounds = events.groupBy(w.alias("w")).agg(F.count("*").alias("c")).select(F.col("w.start").alias("start"), F.col("w.end").alias("end"))
-        joined = events.join(F.broadcast(bounds), (F.col(ts) >= F.col("start")) & (F.col(ts) < F.col("end")))  # a row for each session
-        counts = joint_counts(joined, ad, ["start", "end"])
+        w = sessions(events, ts, session_gap)
+        gap = F.unix_micros(F.timestamp_micros(F.lit(0)) + F.expr(f"interval {session_gap}"))
+        # Counted by slot first, so that the join is of few rows.
+        by_slot = joint_counts(events.withColumn("slot", F.floor(F.unix_micros(F.col(ts).cast("timestamp")) / gap)), ad, ["slot"])
+        counts = by_slot.join(w, "slot").groupBy("start", "end", "lhs_key", "rhs_value").agg(F.sum("f").alias("f"))
     else:
-        counts = joint_counts(events.withColumn("__w", w), ad, [F.col("__w.start").alias("start"), F.col("__w.end").alias("end")])
+        counts = joint_counts(events.withColumn("__w", F.window(ts, window, slide)), ad, [F.col("__w.start").alias("start"), F.col("__w.end").alias("end")])
     return scored(counts, ["start", "end"])
 
 
 def stream_counts(stream: DataFrame, ad: Watched, table: str, checkpoint: str, watermark: str | None = None, ts: str = "ts", window: str | None = None):
-    """A started query that keeps the joint counts of all rows so far in a table of the catalogue, replaced by each batch in
-    complete mode, or of finished windows appended once their watermark has passed. Trigger: what is there now."""
+    """A started query that writes joint counts to a folder for each batch: of the batch's rows, which merged_counts adds up
+    (counts are additive, so no state is kept), or of the windows that the watermark has closed. A batch that runs again
+    replaces its folder. Trigger: what is there now."""
+
+    def put(batch: DataFrame, number: int) -> None:
+        if window:
+            counts = batch.select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "lhs_key", "rhs_value", "f")
+        else:
+            counts = joint_counts(batch, ad)
+        counts.write.mode("overwrite").parquet(f"{table}/batch={number}")
+
     if window:
-        counts = joint_counts(timed(stream, ts).withWatermark(ts, watermark or "0 seconds").withColumn("__w", F.window(ts, window)), ad, [F.col("__w").alias("w")])
-        mode = "append"
+        closed = joint_counts(timed(stream, ts).withWatermark(ts, watermark or "0 seconds").withColumn("__w", F.window(ts, window)), ad, [F.col("__w").alias("w")])
+        writer = closed.writeStream.outputMode("append")
     else:
-        counts, mode = joint_counts(stream, ad), "complete"
+        writer = stream.writeStream
+    return writer.option("checkpointLocation", checkpoint).trigger(availableNow=True).foreachBatch(put).start()
 
-    def put(batch: DataFrame, _: int) -> None:
-        flat = batch.select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "lhs_key", "rhs_value", "f") if window else batch
-        flat.write.mode("append" if window else "overwrite").parquet(table)
 
-    return counts.writeStream.outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).foreachBatch(put).start()
+def merged_counts(spark: SparkSession, table: str) -> DataFrame:
+    """(lhs_key, rhs_value, f) over all batches of stream_counts without a window."""
+    return spark.read.parquet(table).groupBy("lhs_key", "rhs_value").agg(F.sum("f").alias("f"))
 
 
 def deduplicated(stream: DataFrame, key: str = "event_id", ts: str = "ts", watermark: str = "1 day") -> DataFrame:

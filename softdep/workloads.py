@@ -9,14 +9,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from softdep import fixtures
-from softdep.operators import audit
+from softdep.plans.report import described
 from softdep.plans.search import Found, Options, search, threshold_discovery
 from softdep.relation import Relation
 from softdep.sources.tables import load, relation, sign_bits
 
-#: Depth for each relation, so that candidates times tuples stay within one machine.
-DEPTH = {"lineitem": 2, "orders": 5, "customer": 4, "part": 5, "events": 5, "doc": 5, "dirty": 5, "conv": 5, "page": 4, "bits": 2, "wide": 1}
-ABLATION = {"orders": 5, "dirty": 4, "events": 4, "bits": 1}
+#: Depth for each relation.
+DEPTH = {"lineitem": 3, "orders": 5, "customer": 4, "part": 5, "events": 5, "doc": 5, "dirty": 5, "conv": 5, "page": 5, "bits": 3, "wide": 2}
+ABLATION = {"orders": 5, "dirty": 5, "events": 5, "bits": 2}
+SWEEP = {"events": 6, "doc": 6, "dirty": 6, "lineitem": 3}
 ROW = "name string, variant string, k int, max_lhs int, n long, m int, ecn long, pruning_ratio double, exact long, tau double, seconds double, n_results int"
 
 
@@ -31,31 +32,53 @@ def _frame(spark: SparkSession, rows: list[tuple]) -> DataFrame:
 
 def overall(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = tuple(DEPTH), k: int = 20) -> DataFrame:
     """Exhaustive against pruned search on every relation."""
-    return _frame(spark, [_row(n, search(relation(spark, sf_dir, n), Options(k, DEPTH[n], v))) for n in names for v in ("V0", "V4")])
+    rows = []
+    for n in names:
+        rel = relation(spark, sf_dir, n)
+        rows += [_row(n, search(rel, Options(k, DEPTH[n], v, keep_scored=False))) for v in ("V0", "V4")]
+        rel.release()
+    return _frame(spark, rows)
 
 
-def depth(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("events", "doc", "dirty"), most: int = 5, k: int = 20) -> DataFrame:
+def depth(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = tuple(SWEEP), k: int = 20) -> DataFrame:
     """(name, max_lhs, tau, seconds, overlap): overlap is the share of the list that the next depth keeps, in per cent."""
     rows = []
     for n in names:
         rel = relation(spark, sf_dir, n)
-        found = [search(rel, Options(k, d)) for d in range(1, most + 1)]
+        found = [search(rel, Options(k, d, keep_scored=False)) for d in range(1, min(SWEEP[n], rel.m - 1) + 1)]
         lists = [{(x, a) for _, x, a, _ in f.entries} for f in found]
         for d, f in enumerate(found):
-            rows.append((n, d + 1, float(f.report.tau_by_level[-1]), f.report.seconds, 100.0 * len(lists[d] & lists[d + 1]) / k if d + 1 < most else None))
+            rows.append((n, d + 1, float(f.report.tau_by_level[-1]), f.report.seconds, 100.0 * len(lists[d] & lists[d + 1]) / k if d + 1 < len(found) else None))
+        rel.release()
     return spark.createDataFrame(rows, "name string, max_lhs int, tau double, seconds double, overlap double")
 
 
-def scale_rows(spark: SparkSession, sf_dir: str, max_lhs: int = 1, k: int = 20) -> DataFrame:
-    """Fractions of lineitem by a hash of its keys."""
+def scale_rows(spark: SparkSession, sf_dir: str, max_lhs: int = 2, k: int = 20) -> DataFrame:
+    """Fractions of lineitem by a hash of its keys, all columns."""
     li = load(spark, sf_dir, "lineitem").withColumn("bucket", (F.col("l_orderkey") * 31 + F.col("l_linenumber")) % 10)
-    return _frame(spark, [_row(f"lineitem {10 * t} %", search(Relation.of(li.where(F.col("bucket") < t).drop("bucket")), Options(k, max_lhs, v))) for t in (1, 2, 4, 6, 8, 10) for v in ("V0", "V4")])
+    rows = []
+    for t in (1, 2, 4, 6, 8, 10):
+        rel = Relation.of(li.where(F.col("bucket") < t).drop("bucket"))
+        rows += [_row(f"lineitem {10 * t} %", search(rel, Options(k, max_lhs, v, keep_scored=False))) for v in ("V0", "V4")]
+        rel.release()
+    return _frame(spark, rows)
 
 
-def scale_columns(spark: SparkSession, sf_dir: str, bits: tuple[int, ...] = (8, 12, 16, 20, 32, 64), max_lhs: int = 1, k: int = 20) -> DataFrame:
+def scale_columns(spark: SparkSession, sf_dir: str, bits: tuple[int, ...] = (8, 12, 16, 20, 32, 64), max_lhs: int = 2, k: int = 20) -> DataFrame:
     """More and more sign bits of the embeddings; no dependency is exact and nothing is pruned."""
     e = load(spark, sf_dir, "embeddings")
-    return _frame(spark, [_row(f"bits {b}", search(Relation.of(sign_bits(e, b)), Options(k, max_lhs, v))) for b in bits for v in ("V0", "V4")])
+    return _frame(spark, [_row(f"bits {b}", search(rel, Options(k, max_lhs, v, keep_scored=False))) for b in bits for rel in [Relation.of(sign_bits(e, b))] for v in ("V0", "V4")])
+
+
+def scale_columns_wide(spark: SparkSession, sf_dir: str, prefixes: tuple[int, ...] = (4, 8, 11, 14), max_lhs: int = 2, k: int = 20) -> DataFrame:
+    """The first columns of the joined tables: many are exact dependencies of others."""
+    df = relation(spark, sf_dir, "wide").df
+    rows = []
+    for m in prefixes:
+        rel = Relation.of(df.select(*df.columns[:m]))
+        rows += [_row(f"wide {m}", search(rel, Options(k, max_lhs, v, keep_scored=False))) for v in ("V0", "V4")]
+        rel.release()
+    return _frame(spark, rows)
 
 
 def scale_k(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("dirty", "doc"), max_lhs: int = 3) -> DataFrame:
@@ -63,13 +86,14 @@ def scale_k(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("dirty",
 
 
 def ablation(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = tuple(ABLATION), k: int = 20) -> DataFrame:
-    """V0 to V4, with a count of its own for each candidate before the left side is shared. All lists must be equal."""
+    """V0 to V4 with one kernel, which counts each candidate anew before left sides are shared. All lists must be equal."""
     rows = []
     for n in names:
         rel = relation(spark, sf_dir, n)
+        rel.codes.count()
         base = None
         for v in ("V0", "V1", "V2", "V3", "V4"):
-            f = search(rel, Options(k, ABLATION[n], v, kernel="candidate" if v in ("V0", "V1") and rel.m < 10 else "lhs_shared" if rel.m < 10 else "joint"))
+            f = search(rel, Options(k, ABLATION[n], v, keep_scored=False))
             key = [(r, x, a, round(s, 9)) for r, x, a, s in f.entries]
             base = base or key
             if key != base:
@@ -100,16 +124,11 @@ def paradigms(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def case_study(spark: SparkSession, sf_dir: str, name: str = "dirty", max_lhs: int = 3, k: int = 20) -> DataFrame:
-    """S-TOPK with the number of distinct right sides and, for each entry, how many tuples violate it."""
-    rel = relation(spark, sf_dir, name)
-    f = search(rel, Options(k, max_lhs))
-    c, rows = rel.columns, []
-    for r, x, a, s in f.entries:
-        rows.append((r, ",".join(c[i] for i in x), c[a], s, audit.violations(rel, [c[i] for i in x], c[a]).where("is_violation").count(), len({e[2] for e in f.entries[:r]})))
-    return spark.createDataFrame(rows, "rank int, lhs string, rhs string, mu_plus double, n_violations long, distinct_rhs int")
+    """The list with how many tuples violate each entry, and the right sides met so far."""
+    return described(search(relation(spark, sf_dir, name), Options(k, max_lhs)))
 
 
-WORKLOADS: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (overall, depth, scale_rows, scale_columns, scale_k, ablation, null_bound, paradigms, case_study)}
+WORKLOADS: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (overall, depth, scale_rows, scale_columns, scale_columns_wide, scale_k, ablation, null_bound, paradigms, case_study)}
 
 
 def main(arguments: list[str]) -> None:
