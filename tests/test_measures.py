@@ -1,16 +1,20 @@
 """Hand values, brute force on pairs of rows, and invariants of the scores."""
 
 import itertools
+import math
 import random
+from collections import Counter
 from fractions import Fraction
 
+import numpy as np
 import pytest
 
 from softdep import fixtures
 from softdep.functions import measures, udfs
-from softdep.operators import reliable, score
+from softdep.operators import blocks, reliable, score
 from softdep.operators.joint import joint_table, null_patterns
 from softdep.plans.lattice import enumerate_candidates
+from softdep.plans.search import Options, search
 from softdep.relation import Relation
 
 
@@ -44,7 +48,7 @@ def test_six_rows(spark):
     assert r["rho"] == pytest.approx(20 / 33) and r["mu_plus"] == pytest.approx(13 / 33) and r["bound"] == pytest.approx(6 / 11)
 
 
-@pytest.mark.parametrize("kernel", ["joint", "lhs_shared", "candidate"])
+@pytest.mark.parametrize("kernel", ["blocks", "blocks_each", "joint", "lhs_shared", "candidate"])
 def test_random_relations_against_pairs(spark, kernel):
     rng = random.Random(5)
     for nulls in (0.0, 0.25):
@@ -113,15 +117,54 @@ def test_information_measures(spark):
     rel = fixtures.six(spark)
     f = reliable.fraction_of_information(rel, ["x"], "a")
     assert 0 < f < 1
-    got = reliable.rfi_frame(rel, [((0,), 1)], permutations=50).first()
-    assert 0 <= got["rfi"] <= f
-    assert abs(reliable.rfi_prime_plus(rel, ["x"], "a", permutations=5) - got["rfi"]) < 0.6
+    got = reliable.rfi_frame(rel, [((0,), 1), ((1,), 0)]).collect()
+    assert {tuple(r["lhs"]) for r in got} == {(0,), (1,)} and all(0 <= r["rfi"] <= f for r in got if r["rhs"] == 1)
+    assert reliable.rfi_prime_plus(rel, ["x"], "a") == pytest.approx(next(r["rfi"] for r in got if r["rhs"] == 1))
+
+
+def test_permutation_mean_against_all_permutations():
+    """Of six tuples, every permutation of the right side; and Stirling's series against sums of logarithms."""
+    left, right = [0, 0, 0, 1, 1, 2], [0, 0, 1, 1, 1, 2]
+    entropy = lambda x: -sum(c / 6 * math.log2(c / 6) for c in Counter(x).values())
+    gains = [entropy(left) + entropy(p) - entropy(zip(left, p, strict=True)) for p in itertools.permutations(right)]
+    sizes = lambda x: np.array(sorted(Counter(x).values()))
+    assert reliable.expected_information(sizes(left), sizes(right)) == pytest.approx(sum(gains) / len(gains))
+    assert reliable.log_factorial(np.array([0, 1, 5, 15, 16, 17, 400])) == pytest.approx([math.lgamma(x + 1) for x in (0, 1, 5, 15, 16, 17, 400)])
+
+
+@pytest.mark.parametrize("collapse", [False, True])
+def test_many_blocks_count_as_one(spark, collapse):
+    """Fine and coarse columns, with NULLs and a hot value, in blocks of any size."""
+    rng = random.Random(7)
+    rows = [(rng.randrange(40), "hot" if rng.random() < 0.4 else f"v{rng.randrange(30)}", rng.randrange(2), None if rng.random() < 0.2 else rng.randrange(25), rng.random() < 0.5) for _ in range(150)]
+    rel = Relation.of(spark.createDataFrame(rows, "a int, b string, c int, d int, e boolean"), collapse=collapse)
+    cands = list(enumerate(enumerate_candidates(5, 2)))
+    key = lambda df: {r["cid"]: [round(x, 9) for x in r[1:]] for r in df.collect()}
+    want = key(score.joint_counts(rel, cands))
+    assert key(blocks.block_counts(rel, cands)) == want
+    for size in (20, 70):
+        assert key(blocks.block_counts(rel, cands, block_rows=size)) == want
+
+
+@pytest.mark.parametrize("m", [64, 65, 109])
+def test_wide_tables(spark, m):
+    rows = [tuple(None if (i + k) % 11 == 0 else (i * (k + 3)) % 5 for k in range(m)) for i in range(30)]
+    rel = Relation.of(spark.createDataFrame(rows, ", ".join(f"c{k} int" for k in range(m))))
+    f = search(rel, Options(20, 1))
+    assert f.report.ecn == m * (m - 1) and len(f.entries) == 20
+    for x, a in [((0,), m - 1), ((m - 1,), 3)]:
+        n, mu, exact = brute(rows, x, a)
+        assert f.scored[(x, a)]["n"] == n and f.scored[(x, a)]["is_exact"] == exact and f.scored[(x, a)]["mu_plus"] == pytest.approx(mu)
+    words = {tuple(r["null_mask"]): r["n"] for r in null_patterns(rel).collect()}
+    seen = Counter(tuple(sum(1 << (k % 62) for k in range(62 * w, min(62 * w + 62, m)) if r[k] is None) for w in range(-(-m // 62))) for r in rows)
+    assert words == dict(seen)
+    assert score.marginal_agreement(rel).count() == m
 
 
 def test_joint_table_and_patterns(spark):
     rel = Relation.of(spark.createDataFrame([(1, None), (1, 2), (1, 2)], "a int, b int"))
     assert [tuple(r) for r in joint_table(rel, ["a", "b"]).collect()] == [(1, 2, 2)]
-    assert {r["null_mask"]: r["n"] for r in null_patterns(rel).collect()} == {0: 2, 2: 1}
+    assert {tuple(r["null_mask"]): r["n"] for r in null_patterns(rel).collect()} == {(0,): 2, (2,): 1}
 
 
 def test_bound_holds_for_descendants_without_nulls(spark):

@@ -135,8 +135,31 @@ def test_reports(spark, sf, tmp_path):
     assert spark.read.parquet(str(tmp_path / "t")).where("relation = 'orders'").count() == 20
 
 
+def test_level_tables_give_the_same_search(spark, sf):
+    """Levels as tables, in small batches, against the driver's with the same late test."""
+    rel = relation(spark, sf, "dirty")
+    a, b = search(rel, Options(20, 3, tau_policy="level_end")), search(rel, Options(20, 3, lattice_rows=0, batch=30))
+    assert a.entries == b.entries and [(x.ecn, x.exact, x.bound_pruned) for x in a.report.levels] == [(x.ecn, x.exact, x.bound_pruned) for x in b.report.levels]
+    every = [search(rel, Options(20, 3, propagation="all_subsets", **o)) for o in ({"tau_policy": "level_end"}, {"lattice_rows": 0})]
+    assert every[0].entries == every[1].entries and every[0].report.ecn == every[1].report.ecn
+
+
+def test_time_limit_inside_a_level(spark, sf):
+    f = search(relation(spark, sf, "part"), Options(5, 1, time_limit_s=0.0, batch=7))
+    assert f.report.ecn == 7 and not f.report.complete and len(f.scored) == 7
+
+
+def test_spark_costs_are_counted(spark, sf):
+    at = search(relation(spark, sf, "part"), Options(5, 1)).report.levels[0]
+    assert at.jobs >= 1 and at.tasks >= at.jobs and at.shuffle_bytes > 0 and at.driver_rows == at.ecn
+
+
 def test_sentence(spark, sf):
     load(spark, sf, "part").createOrReplaceTempView("part")
     assert sql(spark, "DISCOVER TOP 3 DEPENDENCIES FROM part MAX LHS 2 FOR p_brand").count() == 3
     assert sql(spark, "discover dependencies from part max lhs 1 above 0.9").count() == 0
+    above = sql(spark, "discover top 2 dependencies from part max lhs 2 for p_brand with variant v3 above 0.0").collect()
+    assert len(above) == 2 and {r["rhs"] for r in above} == {"p_brand"} and above[0]["score"] >= above[1]["score"]
+    every = sql(spark, "discover dependencies from part max lhs 2 for p_brand above 0.0").collect()
+    assert max(r["score"] for r in every) == above[0]["score"]
     assert sql(spark, "select 1 as x").first()["x"] == 1

@@ -29,11 +29,28 @@ def test_the_three_cannot_hold_together(scores):
     assert got["P1P2"].minimal and not got["P1P2"].exactly_k
 
 
-def test_witness(scores, dirty):
+def test_properties_count_dependencies_outside_the_result(spark):
+    """Two on one right side, the larger better, and one apart: the result without the smaller is still not minimal."""
+    scores = spark.createDataFrame([([0], 2, 0.5, 0.5), ([0, 1], 2, 0.1, 0.9), ([3], 4, 0.2, 0.8)], "lhs array<int>, rhs int, rho double, mu_plus double")
+    key = lambda df: [(tuple(r["lhs"]), r["rhs"]) for r in theory.ranked(df).collect()]
+    got = {k: theory.enforce(scores, 2, k) for k in ("P2P3", "P1P3", "P1P2")}
+    assert {k: key(v) for k, v in got.items()} == {"P2P3": [((0, 1), 2), ((3,), 4)], "P1P3": [((3,), 4), ((0,), 2)], "P1P2": []}
+    assert {k: theory.check_properties(v, scores, 2) for k, v in got.items()} == {"P2P3": theory.Properties(False, True, True), "P1P3": theory.Properties(True, False, True), "P1P2": theory.Properties(True, True, False)}
     w = theory.incompatibility_witness(scores).first()
-    names = lambda x: [dirty.columns[i] for i in x]
-    assert names(w["small"]) == ["market"] and names(w["large"]) == ["c_mktsegment", "market"] and dirty.columns[w["rhs"]] == "r_name"
-    assert w["high"] == pytest.approx(0.961334, abs=1e-6) and w["low"] == pytest.approx(0.960052, abs=1e-6) and w["other"] == pytest.approx(0.906374, abs=1e-6)
+    assert (w["small"], w["large"], w["rhs"], w["low"], w["high"], w["other_lhs"]) == ([0], [0, 1], 2, 0.5, 0.9, None)
+    lower = scores.union(spark.createDataFrame([([5], 6, 0.7, 0.3)], scores.schema))
+    assert theory.incompatibility_witness(lower).first()["other_lhs"] == [5]
+
+
+def test_witness(scores):
+    """Among the three, for k = 2: the best two are not minimal, the minimal two are not the best, and no two are both."""
+    w = theory.incompatibility_witness(scores).first()
+    assert set(w["small"]) < set(w["large"]) and w["high"] > w["low"] > w["other"] > 0
+    assert not {*w["other_lhs"], w["other_rhs"]} & {*w["large"], w["rhs"]}
+    three = scores.sparkSession.createDataFrame([(w["small"], w["rhs"], 1 - w["low"], w["low"]), (w["large"], w["rhs"], 1 - w["high"], w["high"]), (w["other_lhs"], w["other_rhs"], 1 - w["other"], w["other"])], scores.schema)
+    for keep, lost in (("P2P3", "minimal"), ("P1P3", "top_k"), ("P1P2", "exactly_k")):
+        p = theory.check_properties(theory.enforce(three, 2, keep), three, 2)
+        assert [k for k, v in vars(p).items() if not v] == [lost]
 
 
 def test_scores_move_both_ways(scores):
@@ -50,6 +67,11 @@ def test_violations_are_the_planted_flips(spark, sf, dirty):
     assert audit.violations(dirty, ["r_name"], "market", keep_all=True).count() == dirty.df.where("market is not null").count()
 
 
+def test_salted_violations_are_the_broadcast_ones(dirty):
+    key = lambda df: sorted(map(repr, df.collect()))
+    assert key(audit.violations(dirty, ["c_nationkey"], "market")) == key(audit.violations(dirty, ["c_nationkey"], "market", max_broadcast_rows=0))
+
+
 def test_violation_ties_and_nulls(spark):
     from softdep.relation import Relation
 
@@ -88,8 +110,9 @@ def test_stream_counts_are_the_batch_counts(spark, event_files, tmp_path_factory
     out = str(tmp_path_factory.mktemp("s"))
     stream_audit.stream_counts(stream, ad, f"{out}/t", f"{out}/c").awaitTermination()
     key = lambda df: sorted(map(tuple, df.collect()))
-    assert key(spark.read.parquet(f"{out}/t")) == key(stream_audit.joint_counts(batch, ad))
-    a, b = (stream_audit.scored(x, []).first() for x in (spark.read.parquet(f"{out}/t"), stream_audit.joint_counts(batch, ad)))
+    merged = stream_audit.merged_counts(spark, f"{out}/t")
+    assert key(merged) == key(stream_audit.joint_counts(batch, ad))
+    a, b = (stream_audit.scored(x, []).first() for x in (merged, stream_audit.joint_counts(batch, ad)))
     assert a["n"] == b["n"] and a["mu_plus"] == pytest.approx(b["mu_plus"])
 
 
