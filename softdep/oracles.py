@@ -63,7 +63,7 @@ def scored(rel: str, cands: list[tuple[tuple[int, ...], int]], source: str | Non
     for i, (x, a) in enumerate(cands):
         xs = [c[p] for p in x]
         lhs, rhs, all_ = ", ".join(xs), c[a], [*xs, c[a]]
-        ctes.append(f"j{i}_{name} AS (SELECT {', '.join(all_)}, count(*) AS f_ FROM rel_{name} WHERE {' AND '.join(f'{v} IS NOT NULL' for v in all_)} GROUP BY {', '.join(all_)})")
+        ctes.append(f"j{i}_{name} AS MATERIALIZED (SELECT {', '.join(all_)}, count(*) AS f_ FROM rel_{name} WHERE {' AND '.join(f'{v} IS NOT NULL' for v in all_)} GROUP BY {', '.join(all_)})")
         selects.append(
             f"""SELECT '{",".join(xs)}' AS lhs, '{rhs}' AS rhs, {list(x)} AS lpos, {a} AS rpos, l.n, l.d_lhs, l.d_joint, l.dx, r.da, r.d_rhs, l.top FROM
             (SELECT CAST(coalesce(sum(s_), 0) AS BIGINT) AS n, count(*) AS d_lhs, CAST(sum(k_) AS BIGINT) AS d_joint, sum(CASE WHEN k_ > 1 THEN s_ - q_ / s_ ELSE 0 END) / sum(s_) AS dx, CAST(sum(m_) AS BIGINT) AS top

@@ -327,7 +327,7 @@ def contingency_dirty(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The joint counts of a dependency as a table of left by right values."""
     df = relation(spark, sf_dir, "dirty").df
     markets = ["AFRICA", "AMERICA", "ASIA", "EUROPE", "MIDDLE EAST", "OTHER"]
-    return df.groupBy("c_nationkey").pivot("market", markets).agg(F.count("*")).select("c_nationkey", *(F.coalesce(m, F.lit(0)).alias(m.lower().replace(" ", "_")) for m in markets))
+    return df.groupBy("c_nationkey").pivot("market", markets).agg(F.count("n_name")).select("c_nationkey", *(F.coalesce(F.col(f"`{m}`"), F.lit(0)).alias(m.lower().replace(" ", "_")) for m in markets))
 
 
 @query("result_identity_dirty")
