@@ -10,8 +10,9 @@ feeds are escaped too. The loss mask holds the code-point spans of the assistant
 
 Edge cases. Null roles and texts are empty. A message whose parent is null, absent or itself is a root. Messages on a
 cycle have no root and belong to no path; rootless() returns them. Repeated ids of one tree make repeated paths of equal
-text, so ids should be unique: conversations() numbers rows by turn, role and text. A null tree id is one tree. An empty
-table gives no conversation.
+text, so ids should be unique: conversations() numbers rows by turn, role and text. Branches of equal score rank by depth,
+then by the smaller leaf. A null tree id is one tree. Very long texts stay whole. Only the columns named below are read, so
+others cannot clash. An empty table gives no conversation.
 """
 
 from __future__ import annotations

@@ -11,8 +11,9 @@ Only sums by source are aggregated. The table of rates is broadcast while it has
 
 Edge cases. A null source is the source null, weighed by default_weight as every source without a weight. A source of
 weight 0 (or below, or null) goes. A source whose texts are all empty has no size to fill and goes too, unless sizes count
-documents. Repeated rows of one id are copied alike. A null id hashes as the empty string. Empty tables stay empty.
-Columns named copies, copy or shuffle_key are replaced.
+documents. Repeated rows of one id are copied alike, and equal shuffle keys stay in any order. A null id hashes as the empty
+string. Very long texts move whole, a copy at a time. Empty tables stay empty. Columns named copies, copy or shuffle_key are
+replaced, others go along.
 """
 
 from __future__ import annotations

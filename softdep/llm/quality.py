@@ -11,7 +11,9 @@ loses more than a share alpha of its good documents to all rules together.
 Edge cases. A null or blank text has no words: all counts 0, base_failed. A null or odd language belongs to the stratum
 "other", so that there are at most 26^2 + 26^3 + 1 strata and the cutoff table is safe to broadcast. A stratum with too
 few labels to certify any cutoff rejects nothing. Null labels are ignored; conflicting labels of one id count as good.
-Repeated rows are each judged. Columns of the input that carry an output's name are replaced.
+Repeated rows are each judged; rows of equal rates are judged alike, and a rate equal to its cutoff passes. Very long texts
+are counted whole, in the memory of their row. Columns of the input that carry an output's name are replaced; empty tables
+give no rows and no cutoffs.
 """
 
 from __future__ import annotations

@@ -12,7 +12,8 @@ header fields in PERMITTED; all others come from the stored response.
 
 Edge cases. A response at the same instant is not earlier; among equal instants the greatest id is latest. A null URL or
 time is never resolved (no_prior). Null headers are empty maps; names are compared in lower case, and of names that differ
-in case only the last in order counts. Repeated rows are resolved alike.
+in case only the last in order counts. Repeated rows are resolved alike. Very long URLs and headers are kept whole. Only the
+five columns named below are read, so others cannot clash. An empty table gives no rows.
 """
 
 from __future__ import annotations
