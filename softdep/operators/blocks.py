@@ -29,8 +29,9 @@ Z = tuple[int, ...]
 Candidate = tuple[Z, int]
 Numbered = tuple[int, Candidate]
 
-#: Rows and cells of a block at most, on average; and row visits that are worth a task of their own.
-BLOCK_ROWS, BLOCK_CELLS, TASK_VISITS = 1_000_000, 32_000_000, 40_000_000
+#: Rows and cells of a block at most, on average; row visits that are worth a task of their own, and what a candidate costs
+#: besides its rows, in visits.
+BLOCK_ROWS, BLOCK_CELLS, TASK_VISITS, CANDIDATE_VISITS = 1_000_000, 32_000_000, 40_000_000, 20_000
 
 TOTALS = ("cid", "n", "d_lhs", "d_joint", "max_sum", "dis", "d_rhs", "sq")
 TOTALS_DDL = "cid int, n long, d_lhs long, d_joint long, max_sum long, dis double, d_rhs long, sq double"
@@ -286,7 +287,8 @@ def block_counts(rel: Relation, cands: list[Numbered], reuse: bool = True, block
     # One hash of 64 bits tells a block's values apart.
     columns = {i: rel.physical(i)[:1] for i in used}
     base = rel.codes.select(*(c for i in used for c in columns[i]), *(["w"] if rel.weighted else []))
-    slices = max(1, min(rel.df.sparkSession.sparkContext.defaultParallelism, len(cands), rel.size * len(cands) // TASK_VISITS))
+    work = (rel.size + CANDIDATE_VISITS) * len(cands)
+    slices = max(1, min(rel.df.sparkSession.sparkContext.defaultParallelism, len(cands), work // TASK_VISITS))
     jobs = _dealt(cands, slices)
     if slices == 1:
         dealt = base.repartition(1)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from dataclasses import dataclass, field
+from functools import reduce
 from typing import NamedTuple
 
 from pyspark.sql import Column, DataFrame
@@ -80,7 +81,7 @@ class Relation:
         if self._profile is None:
             coded = self._coded
             firsts = [self.physical(i)[0] for i in range(self.m)]
-            whole = F.forall(F.array(*firsts), lambda c: c.isNotNull())
+            whole = reduce(lambda a, b: a + b, [F.col(c).isNull().cast("int") for c in firsts]) == 0
             r = coded.agg(F.count(F.lit(1)), F.count_if(whole), F.approx_count_distinct(F.xxhash64(*coded.columns)), *(F.count(c) for c in firsts)).first()
             self._profile = Profile(r[0], r[1], tuple(r[0] - x for x in r[3:]), r[2])
         return self._profile
