@@ -53,6 +53,14 @@ def test_witness(scores):
         assert [k for k, v in vars(p).items() if not v] == [lost]
 
 
+def test_witness_ties_go_to_positions(spark):
+    """Equal scores that differ in the last digit by the order in which rows were summed."""
+    less, more = 0.5, 0.5 + 1e-15
+    rows = [([0], 9, 0.4, 0.6), ([0, 1], 9, 0.1, 0.9 - 1e-15), ([0, 2], 9, 0.1, 0.9), ([4], 5, less, 1 - more), ([6], 5, less, 1 - less)]
+    w = theory.incompatibility_witness(spark.createDataFrame(rows, "lhs array<int>, rhs int, rho double, mu_plus double")).first()
+    assert (w["large"], w["other_lhs"]) == ([0, 1], [4])
+
+
 def test_scores_move_both_ways(scores):
     assert not theory.growth_chains(scores).isEmpty()
     assert not theory.subset_pairs(scores).where("high < low - 1e-9").isEmpty()
