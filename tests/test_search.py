@@ -1,11 +1,15 @@
 """Searches: variants agree, counts match arithmetic, the NULL counterexample, the measured regressions."""
 
+import os
+import time
+
 import pytest
 
 from softdep import fixtures
 from softdep.functions.sqlfront import sql
+from softdep.operators import blocks
 from softdep.plans import lattice, report
-from softdep.plans.search import Options, exact_dependencies, search, threshold_discovery
+from softdep.plans.search import Options, counted_all, exact_dependencies, search, threshold_discovery
 from softdep.plans.topk import BoundedTopK
 from softdep.relation import Relation
 from softdep.sources.sinks import write_report, write_topk
@@ -163,3 +167,28 @@ def test_sentence(spark, sf):
     every = sql(spark, "discover dependencies from part max lhs 2 for p_brand above 0.0").collect()
     assert max(r["score"] for r in every) == above[0]["score"]
     assert sql(spark, "select 1 as x").first()["x"] == 1
+
+
+def test_searches_share_counts(spark, sf):
+    """A search from counts taken once gives the list and costs of one that counts for itself, and counts nothing more."""
+    rel = relation(spark, sf, "dirty")
+    ledger = counted_all(rel, 3)
+    assert len(ledger) == lattice.candidate_count(rel.m, 3)
+    for v in ("V0", "V4"):
+        alone, shared = search(rel, Options(20, 3, v)), search(rel, Options(20, 3, v, ledger=ledger))
+        what = lambda f: ([e[:3] for e in f.entries], f.report.ecn, f.report.exact_count, [x.bound_pruned for x in f.report.levels])
+        assert what(alone) == what(shared)
+    assert len(ledger) == lattice.candidate_count(rel.m, 3)
+
+
+def test_pivots_leave_no_exchange_files(spark, sf):
+    """Counts of many blocks: the relation's exchanges are gone when they are known."""
+    rel = relation(spark, sf, "orders")
+    rel.codes.count()
+    rel.marginals  # noqa: B018 -- its exchange is not in question
+    disk = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager()
+    shuffles = lambda: {f for f in disk.getAllFiles().mkString("\n").split("\n") if f.endswith(".data")}
+    before = shuffles()
+    blocks.block_counts(rel, [(i, ((0,), i)) for i in range(1, rel.m)], block_rows=2000).toArrow()
+    time.sleep(1)
+    assert sum(map(os.path.getsize, shuffles() - before)) < 50_000  # a small join of counts
