@@ -33,8 +33,8 @@ def test_every_query_without_sql_gives_rows(spark, sf):
         assert not queries.QUERIES[name](spark, sf).isEmpty(), name
 
 
-@pytest.mark.parametrize("name", ["nullbreak_exhaustive", "nullbreak_sound"])
-def test_null_queries_read_a_given_table(spark, sf, name):
+@pytest.mark.parametrize("name", ["nullbreak_exhaustive", "nullbreak_sound", "six_row_example"])
+def test_queries_of_small_examples_read_a_given_table(spark, sf, name):
     assert queries.QUERIES[name](spark, sf).first()["lhs"].split(",")[0] in oracles.columns("doc")
 
 
