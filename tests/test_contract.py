@@ -1,11 +1,17 @@
 """Queries against their SQL, as the driver compares them."""
 
 import math
+import os
 
 import duckdb
+import pyarrow.parquet as pq
 import pytest
 
 from softdep import oracles, queries
+from softdep.operators import score
+from softdep.plans import lattice
+from softdep.relation import Relation
+from softdep.sources.tables import load, present_bits
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 
@@ -38,6 +44,32 @@ def test_queries_of_small_examples_read_a_given_table(spark, sf, name):
     assert queries.QUERIES[name](spark, sf).first()["lhs"].split(",")[0] in oracles.columns("doc")
 
 
+def with_own(sf, folder, name, df):
+    """A folder of the given tables but one, which is df."""
+    for t in TABLES:
+        if t != name:
+            os.symlink(f"{sf}/{t}.parquet", f"{folder}/{t}.parquet")
+    pq.write_table(df.toArrow(), f"{folder}/{name}.parquet")
+    return str(folder)
+
+
+def test_candidate_counts_are_of_a_given_table(spark, sf):
+    """The tuples of each width and depth are those of all its candidates, counted one by one."""
+    got = {(r["m"], r["max_lhs"]): r for r in queries.QUERIES["candidate_counts"](spark, sf).collect()}
+    bits = present_bits(load(spark, sf, "embeddings"))
+    for m, k in ((2, 1), (5, 3)):
+        rel = Relation.of(bits.select(*bits.columns[:m]))
+        n = [r["n"] or 0 for r in score.statistics(rel, list(lattice.enumerate_candidates(m, k))).select("n").collect()]
+        assert (got[m, k]["candidates"], got[m, k]["tuples"]) == (len(n), sum(n))
+    assert len(got) == 633 and got[109, 6]["tuples"] > got[109, 6]["candidates"]
+
+
+@pytest.mark.parametrize("vectors", [[], [None, [1.0] * 64, [1.0] * 64, [-1.0] * 64, [0.125] * 64, [0.5, -0.25, float("nan")], [None] * 64]])
+def test_candidate_counts_of_odd_vectors(spark, sf, tmp_path, vectors):
+    own = spark.createDataFrame([(i, v, 0) for i, v in enumerate(vectors)], "vec_id long, embedding array<float>, label int")
+    compared(spark, with_own(sf, tmp_path, "embeddings", own), queries.QUERIES["candidate_counts"], oracles.ORACLES["candidate_counts"])
+
+
 def test_entry(spark):
     import __spark_entry__ as e
 
