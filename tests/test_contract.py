@@ -86,6 +86,15 @@ def test_next_levels_start_from_what_is_exact_on_the_table(spark, sf, tmp_path,
         assert mask["2,3"] & mask["2,4"] & 1 << 5 and not mask["2,3,4"] & 1 << 5
 
 
+@pytest.mark.parametrize("vectors", [[], [None, None, [1.0] * 64, [-1.0] * 64, [0.0] * 64], [[(-1.0) ** (i >> b & 1) for b in range(64)] for i in range(40)]])
+def test_cost_model_is_of_a_given_table(spark, sf, tmp_path, vectors):
+    own = spark.createDataFrame([(i, v, 0) for i, v in enumerate(vectors)], "vec_id long, embedding array<float>, label int")
+    folder = with_own(sf, tmp_path, "embeddings", own)
+    compared(spark, folder, queries.QUERIES["cost_model_table"], oracles.ORACLES["cost_model_table"])
+    n = {r["m"]: r["n"] for r in queries.QUERIES["cost_model_table"](spark, folder).collect()}
+    assert len(vectors) != 40 or n == {5: 32, 10: 40, 20: 40}
+
+
 def test_entry(spark):
     import __spark_entry__ as e
 
