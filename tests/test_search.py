@@ -5,11 +5,13 @@ import time
 
 import pytest
 
-from softdep import fixtures
+from pyspark.sql import functions as F
+
+from softdep import fixtures, workloads
 from softdep.functions.sqlfront import sql
 from softdep.operators import blocks
 from softdep.plans import lattice, report
-from softdep.plans.search import Options, counted_all, exact_dependencies, search, threshold_discovery
+from softdep.plans.search import Options, counted_all, counted_parts, exact_dependencies, search, threshold_discovery
 from softdep.plans.topk import BoundedTopK
 from softdep.relation import Relation
 from softdep.sources.sinks import write_report, write_topk
@@ -192,3 +194,39 @@ def test_pivots_leave_no_exchange_files(spark, sf):
     blocks.block_counts(rel, [(i, ((0,), i)) for i in range(1, rel.m)], block_rows=2000).toArrow()
     time.sleep(1)
     assert sum(map(os.path.getsize, shuffles() - before)) < 50_000  # a small join of counts
+
+
+@pytest.mark.parametrize(("twice", "block_rows"), [(False, 1_000_000), (False, 300), (True, 100)])
+def test_parts_count_as_each_alone(spark, sf, twice, block_rows):
+    """Parts that each hold the ones before, counted at once, in one block and in many, with NULLs and equal tuples; some tuples
+    are in none."""
+    df = relation(spark, sf, "doc").df.select("doc_id", "lang", "quality", "size_band")
+    if twice:
+        df = df.drop("doc_id").union(df.drop("doc_id"))
+    number = F.pmod(F.xxhash64(*df.columns), F.lit(10))
+    shares = (1, 9)
+    parts = [Relation.of(df.where(number < t)) for t in shares]
+    layer = F.coalesce(*(F.when(number < t, i) for i, t in enumerate(shares)))
+    for part, ledger in zip(parts, counted_parts(df, layer, parts, 2, block_rows=block_rows), strict=True):
+        given = part.profile
+        part.release()
+        alone = counted_all(part, 2)
+        assert ledger.keys() == alone.keys() and given[:3] == part.profile[:3]
+        for c, counts in alone.items():
+            assert ledger[c] == (counts and pytest.approx(counts, abs=1e-12)), c
+
+
+def test_parts_share_their_exchanges(spark, sf, monkeypatch):
+    """scale_rows exchanges lineitem for all its parts at once: the bytes are those of one search of all rows, not of six."""
+    monkeypatch.setattr(blocks, "BLOCK_ROWS", 20_000)
+    for f in (blocks.block_counts, blocks.whole, counted_parts):
+        monkeypatch.setattr(f, "__defaults__", tuple(20_000 if x == 1_000_000 else x for x in f.__defaults__))
+    one, all_ = report.LevelReport(1), report.LevelReport(1)
+    rel = Relation.of(load(spark, sf, "lineitem"))
+    with report.Watch(spark, one):
+        counted_all(rel, 1)
+    rel.release()
+    with report.Watch(spark, all_):
+        rows = workloads.scale_rows(spark, sf, max_lhs=1, shared=True).collect()
+    assert [r["n"] for r in rows[::2]] == sorted(r["n"] for r in rows[::2]) and rows[-1]["n"] == load(spark, sf, "lineitem").count()
+    assert all_.shuffle_bytes < 1.5 * one.shuffle_bytes
